@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
-from . import source_mix, url_rules
+from . import decontaminate, source_mix, token_orc, url_rules
 
 QUERIES = {
     "op3_source_mix": source_mix.op3_source_mix,
+    "op4_token_orc": token_orc.op4_token_orc,
+    "op7_decontaminate": decontaminate.op7_decontaminate,
     "op9_url_rules": url_rules.op9_url_rules,
 }
 
 ORACLES = {
     "op3_source_mix": source_mix.ORACLE,
+    "op7_decontaminate": decontaminate.ORACLE,
     "op9_url_rules": url_rules.ORACLE,
 }
