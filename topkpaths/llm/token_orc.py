@@ -21,7 +21,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from . import common, kernels
+from . import common
+from .kernels import string_views
 
 common.by_value(__name__)
 
@@ -60,7 +61,7 @@ class WordIds(dict):
 
 
 def encoder(name: str, end_id: int):
-    end, views = np.array([end_id], "<u4").tobytes(), kernels.string_views
+    end, views = np.array([end_id], "<u4").tobytes(), string_views
 
     def run(batches):
         table, seq = WordIds(tokenizer_path(name)), 0
