@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import chat_snapshots, decontaminate, language_mixture, media_avi, quality_crf, source_mix, token_orc, url_rules
+from . import chat_snapshots, decontaminate, language_mixture, media_avi, quality_crf, source_mix, substring_rlz, token_orc, url_rules
 
 QUERIES = {
     "op1_quality_crf": quality_crf.op1_quality_crf,
+    "op2_substring_rlz": substring_rlz.op2_substring_rlz,
     "op3_source_mix": source_mix.op3_source_mix,
     "op4_token_orc": token_orc.op4_token_orc,
     "op5_chat_snapshots": chat_snapshots.op5_chat_snapshots,
@@ -16,6 +17,7 @@ QUERIES = {
 }
 
 ORACLES = {
+    "op2_substring_rlz": substring_rlz.ORACLE,
     "op3_source_mix": source_mix.ORACLE,
     "op5_chat_snapshots": chat_snapshots.ORACLE,
     "op7_decontaminate": decontaminate.ORACLE,
