@@ -13,6 +13,9 @@ their texts; an empty table gives empty files and no rows; extra columns are ign
 
 from __future__ import annotations
 
+import json
+import sys
+import types
 import zlib
 
 import numpy as np
@@ -41,18 +44,55 @@ def tokenizer_path(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def _byte_letters() -> dict[int, str]:
+    """Latin-1 letters as the characters that stand for their UTF-8 bytes in a byte-level vocabulary."""
+    shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    hidden = [b for b in range(256) if b not in shown]
+    sign = {b: chr(b) for b in shown} | {b: chr(256 + k) for k, b in enumerate(hidden)}
+    return {c: "".join(sign[b] for b in chr(c).encode()) for c in range(128, 256)}
+
+
 class WordIds(dict):
-    """word -> its ids as little-endian 32-bit integers."""
+    """word -> its ids as little-endian 32-bit integers.
+
+    A plain word (Latin-1 letters between runs of punctuation) is cut into these runs here and only new runs go to the
+    tokenizer's model; any other word goes through the whole tokenizer.
+    """
+
+    MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"
+    LETTERS = _byte_letters()
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
-        self.encode = Tokenizer.from_file(path).encode
+        tokenizer = Tokenizer.from_file(path)
+        self.encode, self.model, self.runs = tokenizer.encode, tokenizer.model, {}
+        described = json.loads(tokenizer.to_str())
+        # the short way is that of a lower-casing vocabulary that cuts letters from marks
+        self.plain = described["model"].get("end_of_word_suffix") == "</w>" and "Lowercase" in json.dumps(described["normalizer"]) and "ByteLevel" in json.dumps(described["pre_tokenizer"])
+
+    def run(self, part: str) -> bytes:
+        got = self.runs.get(part)
+        if got is None:
+            if len(self.runs) >= TABLE_WORDS:
+                self.runs.clear()
+            got = self.runs[part] = np.array([t.id for t in self.model.tokenize(part.translate(self.LETTERS))], "<u4").tobytes()
+        return got
 
     def __missing__(self, word: bytes) -> bytes:
         if len(self) >= TABLE_WORDS:
             self.clear()
-        ids = np.array(self.encode(word.decode("utf-8", "replace"), add_special_tokens=False).ids, "<u4").tobytes()
+        text = word.decode("utf-8", "replace")
+        tail = text.lstrip(self.MARKS)
+        core = tail.rstrip(self.MARKS)
+        if self.plain and core.isalpha() and (core.isascii() or max(core) <= "\xff") and "<|" not in text:
+            ids = self.run(core.lower())
+            if len(tail) < len(text):
+                ids = self.run(text[: len(text) - len(tail)]) + ids
+            if len(core) < len(tail):
+                ids += self.run(tail[len(core) :])
+        else:
+            ids = np.array(self.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
         self[word] = ids
         return ids
 
@@ -60,11 +100,19 @@ class WordIds(dict):
         return b"".join(map(self.__getitem__, raw.split()))
 
 
+def kept_table(path: str) -> WordIds:
+    """The worker process keeps its table from task to task."""
+    state = sys.modules.setdefault("_topkpaths_worker_state", types.ModuleType("_topkpaths_worker_state"))
+    if path not in state.__dict__:
+        state.__dict__[path] = WordIds(path)
+    return state.__dict__[path]
+
+
 def encoder(name: str, end_id: int):
     end, views = np.array([end_id], "<u4").tobytes(), string_views
 
     def run(batches):
-        table, seq = WordIds(tokenizer_path(name)), 0
+        table, seq = kept_table(tokenizer_path(name)), 0
         for batch in batches:
             data, offs = views(batch.column("text"))
             at, n = 0, batch.num_rows
