@@ -6,12 +6,14 @@ Order: grams stand rare-first, by counts over all documents in a table of fixed
 several grams only blurs the order), then by hash. Two linked sets share a gram among their first n - ceil(0.75 n) + 1
 grams, so only these are posted.
 Equal sets are one class from the start, each task posts a class once, and only classes are compared.
-Round one verifies neighbours: in each posting list, in order of set size, each class with the one before it. Families
-of near copies, however large, fall together after a linear number of checks.
-Round two compares what is left: classes of different components that share a posted gram. Pairs must pass the length
-filter (sizes within 0.75), the positional filter (places in both prefixes leave room for enough shared grams) and, as
-suffix filter, a count: if the sets are to share a grams, the posted prefixes must share at least
-min(a - n + p) over both sides, so pairs with fewer posted grams in common fall without a look at the texts.
+Round one checks neighbours: in each posting list, in order of set size, each class with the one before it.
+Round two checks the members of long lists with the list's hub, the class whose grams are the most shared; in a family of
+near copies that is a text close to all others. Both rounds make a number of pairs in proportion to the lists, and a
+family, however large, falls together. The last round compares what is left: classes of different components that
+share a posted gram.
+Filters before a pair's texts are read: sizes within 0.75; the places of the shared gram leave room for the grams needed,
+a = ceil(3 (n + m) / 7); and, as suffix filter, a count: a linked pair's posted prefixes share at least
+min(a - n + p) grams over both sides, p grams being posted, so the two short prefixes are intersected first.
 Every pair is verified once, on its texts' whole sets. Links within one component add nothing to the answer.
 
 Hot keys: a family's postings spread over its prefix grams, frequent grams stand last and are rarely posted; class and
@@ -42,7 +44,8 @@ GRAM = 5
 SLOT_BITS, CHUNK_BITS = 18, 12
 #: Most ids that are broadcast (8 bytes each); more are joined by a shuffle.
 BROADCAST_IDS = 1_000_000
-#: Edges, ids and hashes are BIGINT.
+#: Lists of at least so many classes get rounds of checks against their hub before all that is left is compared.
+HUB_LIST, HUB_ROUNDS = 12, 1
 _SALT = 0x5851F42D4C957F2D
 
 
@@ -164,11 +167,14 @@ def verifier(batches):
         yield pa.RecordBatch.from_arrays([batch.column("a").take(take), batch.column("b").take(take)], names=["a", "b"])
 
 
+def _needed(x: str, y: str):
+    """Grams that a linked pair shares at least: ceil(3 (n + m) / 7)."""
+    return F.ceil(3 * (F.col(f"{x}n") + F.col(f"{y}n")) / F.lit(7))
+
+
 def _room(x: str, y: str):
-    """Grams that a pair must share: ceil(3 (n + m) / 7); and those its posted places leave room for."""
-    need = F.ceil(3 * (F.col(f"{x}n") + F.col(f"{y}n")) / F.lit(7))
-    room = F.least(F.col(f"{x}pos"), F.col(f"{y}pos")) + 1 + F.least(F.col(f"{x}n") - F.col(f"{x}pos") - 1, F.col(f"{y}n") - F.col(f"{y}pos") - 1)
-    return need, room
+    """Grams that a pair can share if this one is the first they share."""
+    return F.least(F.col(f"{x}n") - F.col(f"{x}pos"), F.col(f"{y}n") - F.col(f"{y}pos"))
 
 
 def _length_fits(x: str, y: str):
@@ -187,6 +193,19 @@ def verify(pairs: DataFrame, reps: DataFrame, docs: DataFrame, tag: str) -> Data
     return common.spill(full.mapInArrow(verifier, "a bigint, b bigint").distinct(), f"{tag}-links")
 
 
+def promising(pairs: DataFrame, prefixes: DataFrame, tag: str) -> DataFrame:
+    """(a, b) of the pairs whose posted prefixes share enough grams; prefixes: sig, n, grams."""
+    side = lambda s: prefixes.select(F.col("sig").alias(s), F.col("n").alias(f"{s}n"), F.col("grams").alias(f"{s}g"))
+    posted = lambda s: F.col(f"{s}n") - F.floor((3 * F.col(f"{s}n") + 3) / 4) + 1
+    least = F.greatest(F.lit(1), F.least(*[_needed("a", "b") - F.col(f"{s}n") + posted(s) for s in "ab"]))
+    both = pairs.join(side("a"), "a").join(side("b"), "b")
+    return common.spill(both.where(F.size(F.array_intersect("ag", "bg")) >= least).select("a", "b"), tag)
+
+
+def _pairs_of(joined: DataFrame, x: str, y: str) -> DataFrame:
+    return joined.select(F.least(f"{x}sig", f"{y}sig").alias("a"), F.greatest(f"{x}sig", f"{y}sig").alias("b")).distinct()
+
+
 def classes(docs: DataFrame) -> DataFrame:
     """(doc_id, n_shingles, component_id) for every row."""
     spark = docs.sparkSession
@@ -206,32 +225,48 @@ def classes(docs: DataFrame) -> DataFrame:
     live = posted.select("*", F.lag(F.struct("sig", "n", "pos")).over(chain).alias("p"), (F.min("sig").over(group) != F.max("sig").over(group)).alias("shared")).where("shared").drop("shared")
     live = live.where(F.col("p").isNull() | (F.col("p.sig") != F.col("sig")))
     live = common.spill(live.select("gram", "sig", "n", "pos", F.col("p.sig").alias("psig"), F.col("p.n").alias("pn"), F.col("p.pos").alias("ppos")), "join-live")
+    prefixes = common.spill(live.groupBy("sig").agg(F.first("n").alias("n"), F.collect_list("gram").alias("grams")), "join-prefixes")
+    stars = lambda links: components(links, lambda df: common.spill(df, "join-stars"))
+
+    # neighbours in the order of set size
+    near = _pairs_of(live.where(F.col("psig").isNotNull() & _length_fits("", "p") & (_room("", "p") >= _needed("", "p"))), "", "p")
+    tried = promising(near, prefixes, "join-near")
+    links = verify(tried, reps, docs, "join-near")
+    root = stars(links)
+
+    # long lists: each class with the list's hub, the class whose grams are the most shared
+    for turn in range(HUB_ROUNDS):
+        open_ = _still_open(live, root)
+        size = open_.groupBy("gram").agg(F.count("*").alias("c")).where(F.col("c") >= HUB_LIST)
+        long_ = common.spill(open_.join(common.spill(size, "join-sizes"), "gram"), "join-long")
+        weight = long_.groupBy("sig").agg(F.sum("c").alias("weight"))
+        hub = long_.join(weight, "sig").groupBy("gram").agg(F.max(F.struct("weight", "sig", "n", "pos", "root")).alias("h"))
+        hub = common.spill(hub.select("gram", F.col("h.sig").alias("hsig"), F.col("h.n").alias("hn"), F.col("h.pos").alias("hpos"), F.col("h.root").alias("hroot")), "join-hubs")
+        met = long_.join(hub, "gram").where((F.col("root") != F.col("hroot")) & _length_fits("", "h"))
+        fresh = promising(_pairs_of(met, "", "h").join(tried, ["a", "b"], "left_anti"), prefixes, "join-hub")
+        tried = tried.union(fresh)
+        links = links.union(verify(fresh, reps, docs, "join-hub"))
+        root = stars(links)
+
+    # what is left: classes of different components that can share their first gram in this list
+    open_ = _still_open(live, root)
+    side = lambda s: open_.select("gram", *[F.col(c).alias(s + c) for c in ("sig", "n", "pos", "root")])
+    met = side("x").join(side("y"), "gram").where((F.col("xsig") < F.col("ysig")) & (F.col("xroot") != F.col("yroot")) & _length_fits("x", "y") & (_room("x", "y") >= _needed("x", "y")))
+    far = promising(_pairs_of(met, "x", "y").join(tried, ["a", "b"], "left_anti"), prefixes, "join-far")
+    root = stars(links.union(verify(far, reps, docs, "join-far")))
+
+    placed = common.spill(known.join(root, F.col("sig") == F.col("node"), "left").select("doc_id", "id", "n", F.coalesce("root", "sig").alias("root")), "join-placed")
+    least_id = common.spill(placed.where("n > 0").groupBy("root").agg(F.min("id").alias("component_id")), "join-ids")
+    out = placed.join(least_id, "root", "left")
+    return out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("id")).alias("component_id"))
 
-    need, room = _room("", "p")
-    near = live.where(F.col("psig").isNotNull() & _length_fits("", "p") & (room >= need))
-    near = common.spill(near.select(F.least("sig", "psig").alias("a"), F.greatest("sig", "psig").alias("b")).distinct(), "join-near")
-    links = verify(near, reps, docs, "join-near")
-    root = components(links, lambda df: common.spill(df, "join-stars"))
 
+def _still_open(live: DataFrame, root: DataFrame) -> DataFrame:
+    """The posting lists in which more than one component is left: gram, sig, n, pos, root."""
     named = live.select("gram", "sig", "n", "pos").join(root, F.col("sig") == F.col("node"), "left").select("gram", "sig", "n", "pos", F.coalesce("root", "sig").alias("root"))
     named = common.spill(named, "join-named")
-    mixed_ = named.groupBy("gram").agg((F.min("root") != F.max("root")).alias("several")).where("several").select("gram")
-    open_ = common.spill(named.join(mixed_, "gram", "left_semi"), "join-open")
-    x = open_.select("gram", F.col("sig").alias("xsig"), F.col("n").alias("xn"), F.col("pos").alias("xpos"), F.col("root").alias("xroot"))
-    y = open_.select("gram", F.col("sig").alias("ysig"), F.col("n").alias("yn"), F.col("pos").alias("ypos"), F.col("root").alias("yroot"))
-    need, room = _room("x", "y")
-    met = x.join(y, "gram").where((F.col("xsig") < F.col("ysig")) & (F.col("xroot") != F.col("yroot")) & _length_fits("x", "y") & (room >= need))
-    least = F.greatest(F.lit(1), F.least(*[F.first(need) - F.first(f"{s}n") + F.first(F.col(f"{s}n") - F.floor((3 * F.col(f"{s}n") + 3) / 4) + 1) for s in "xy"]))
-    far = met.groupBy(F.col("xsig").alias("a"), F.col("ysig").alias("b")).agg(F.count("*").alias("met"), least.alias("least")).where("met >= least").select("a", "b")
-    far = common.spill(far.join(near, ["a", "b"], "left_anti"), "join-far")
-    more = verify(far, reps, docs, "join-far")
-    root = components(links.union(more), lambda df: common.spill(df, "join-stars"))
-
-    placed = known.join(root, F.col("sig") == F.col("node"), "left").select("doc_id", "id", "n", F.coalesce("root", "sig").alias("root"))
-    placed = common.spill(placed, "join-placed")
-    least_id = placed.where("n > 0").groupBy("root").agg(F.min("id").alias("component_id"))
-    out = placed.join(least_id, "root", "left")
-    return out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("id")).alias("component_id"))
+    several = named.groupBy("gram").agg((F.min("root") != F.max("root")).alias("several")).where("several").select("gram")
+    return common.spill(named.join(common.spill(several, "join-several"), "gram", "left_semi"), "join-open")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
