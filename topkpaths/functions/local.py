@@ -7,37 +7,38 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import arrow_udf, pandas_udf, udf, udtf
 
 from ..paths import sequential
 
 
-@udf("array<bigint>")
+@udf(T.ArrayType(T.LongType()))
 def turned(nodes):
     """The canonical orientation of a path, row by row."""
     return None if nodes is None else nodes if nodes[0] < nodes[-1] else nodes[::-1]
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def ratio(found: pd.Series, bound: pd.Series) -> pd.Series:
     """Found weight over its bound."""
     return found / bound.where(bound != 0, np.nan)
 
 
-@arrow_udf("double")
+@arrow_udf(T.DoubleType())
 def ratio_arrow(found: pa.Array, bound: pa.Array) -> pa.Array:
     import pyarrow.compute as pc
 
     return pc.divide(pc.cast(found, pa.float64()), pc.cast(bound, pa.float64()))
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def heaviest_three(w: pd.Series) -> float:
     """Sum of the three largest values of a group."""
     return float(w.nlargest(3).sum())
 
 
-@udtf(returnType="component: bigint, rank: int, path: string, weight: bigint")
+@udtf(returnType=T.StructType([T.StructField("component", T.LongType()), T.StructField("rank", T.IntegerType()), T.StructField("path", T.StringType()), T.StructField("weight", T.LongType())]))
 class LocalPaths:
     """heaviest_paths_local(TABLE(edges) PARTITION BY component, length, k): exact search inside one small component."""
 

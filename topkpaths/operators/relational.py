@@ -177,19 +177,25 @@ op("a_having", "select o_custkey, count(*) as n from orders group by o_custkey h
     lambda t: t("orders").groupBy("o_custkey").agg(F.count("*").alias("n")).where("n > 15"))
 
 # windows
-_LW = W.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice")
+def _lw():
+    return W.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice")
+
+
+def _pw():
+    return W.partitionBy("p_brand").orderBy("p_size")
+
+
 _LWS = "over (partition by l_orderkey order by l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice)"
 op("w_row_number", f"select l_orderkey, l_partkey, row_number() {_LWS} as rn from lineitem")(
-    lambda t: t("lineitem").select("l_orderkey", "l_partkey", F.row_number().over(_LW).alias("rn")))
-_PW = W.partitionBy("p_brand").orderBy("p_size")
+    lambda t: t("lineitem").select("l_orderkey", "l_partkey", F.row_number().over(_lw()).alias("rn")))
 op("w_rank_dense", "select p_partkey, rank() over w as r, dense_rank() over w as dr from part window w as (partition by p_brand order by p_size)")(
-    lambda t: t("part").select("p_partkey", F.rank().over(_PW).alias("r"), F.dense_rank().over(_PW).alias("dr")))
+    lambda t: t("part").select("p_partkey", F.rank().over(_pw()).alias("r"), F.dense_rank().over(_pw()).alias("dr")))
 op("w_ntile", "select p_partkey, ntile(4) over (partition by p_brand order by p_size, p_partkey)::int as q from part")(
     lambda t: t("part").select("p_partkey", F.ntile(4).over(W.partitionBy("p_brand").orderBy("p_size", "p_partkey")).alias("q")))
 op("w_percent_rank", "select p_partkey, round(percent_rank() over w, 6) as pr, round(cume_dist() over w, 6) as cd from part window w as (partition by p_brand order by p_size)")(
-    lambda t: t("part").select("p_partkey", F.round(F.percent_rank().over(_PW), 6).alias("pr"), F.round(F.cume_dist().over(_PW), 6).alias("cd")))
+    lambda t: t("part").select("p_partkey", F.round(F.percent_rank().over(_pw()), 6).alias("pr"), F.round(F.cume_dist().over(_pw()), 6).alias("cd")))
 op("w_lag_lead", f"select l_orderkey, l_partkey, lag(l_partkey) {_LWS} as before, lead(l_partkey, 1, -1) {_LWS} as after from lineitem")(
-    lambda t: t("lineitem").select("l_orderkey", "l_partkey", F.lag("l_partkey").over(_LW).alias("before"), F.lead("l_partkey", 1, -1).over(_LW).alias("after")))
+    lambda t: t("lineitem").select("l_orderkey", "l_partkey", F.lag("l_partkey").over(_lw()).alias("before"), F.lead("l_partkey", 1, -1).over(_lw()).alias("after")))
 op("w_first_last", "select o_orderkey, first_value(o_orderkey) over w as a, last_value(o_orderkey) over w as z, nth_value(o_orderkey, 2) over w as b from orders window w as (partition by o_custkey order by o_orderdate, o_orderkey rows between unbounded preceding and unbounded following)")(
     lambda t: t("orders").select("o_orderkey", *[f.over(W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey").rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias(n) for f, n in ((F.first("o_orderkey"), "a"), (F.last("o_orderkey"), "z"), (F.nth_value("o_orderkey", 2), "b"))]))
 op("w_running_sum", "select o_orderkey, round(sum(o_totalprice) over (partition by o_custkey order by o_orderdate, o_orderkey rows unbounded preceding), 2) as run from orders")(

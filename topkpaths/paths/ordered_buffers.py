@@ -74,7 +74,8 @@ class Search:
             raw = keep(grown, f"grown{level}")
             made = raw.count()
             once = expand.deduplicated(raw, self.g.directed)
-            if self.guard in ("none", "peak") and buffer.batches:  # other sub-paths may have made it before
+            # other sub-paths may have made it before; with the end guard only two edges of one weight in different blocks
+            if buffer.batches and (level == 2 or self.guard in ("none", "peak")):
                 once = once.join(expand.canonical(buffer.table(), self.g.directed).select("nodes"), "nodes", "left_anti").select(*expand.COLUMNS)
             batch = keep(once, f"level{level}")
             new = batch.count()
