@@ -148,11 +148,13 @@ def keyed(docs: DataFrame) -> DataFrame:
 def lookups(rows: DataFrame) -> DataFrame:
     """Every phrase whose anchor is known elsewhere: anchor, phrase, kid, th, pos, n, copies, ref (first place), others (phrases of the anchor)."""
     found = rows.select("kid", "th", "text").mapInArrow(phrase_rows, "anchor bigint, phrase bigint, kid bigint, th int, pos int, n int")
-    live = found.groupBy("anchor").count().where("count > 1").select("anchor")
+    # written apart: then both sides of each join are plain exchanges, whose hot keys Spark splits
+    live = common.spill(found.groupBy("anchor").count().where("count > 1").select("anchor"), "rlz-live")
     known = common.spill(found.join(live, "anchor", "left_semi"), "rlz-known")
     index = known.groupBy("anchor", "phrase").agg(F.count("*").alias("copies"), F.min(F.struct("kid", "th", "pos")).alias("ref"))
-    blocks = index.groupBy("anchor").agg(F.count("*").alias("others"))
-    return known.join(index.join(blocks, "anchor"), ["anchor", "phrase"])
+    index = common.spill(index, "rlz-index")
+    blocks = common.spill(index.groupBy("anchor").agg(F.count("*").alias("others")), "rlz-blocks")
+    return known.join(common.spill(index.join(blocks, "anchor"), "rlz-index"), ["anchor", "phrase"])
 
 
 def spans(docs: DataFrame, rows: DataFrame) -> DataFrame:
