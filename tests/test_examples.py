@@ -51,3 +51,12 @@ def test_guard_makes_each_path_once_without_ties():
     r = seq.buffers([(a, b, 1000 * w + i) for i, (a, b, w) in enumerate(SIX_NODES)], 5)
     assert seq.buffers(SIX_NODES, 5, guard="strict")["duplicates"] == 0
     assert r["duplicates"] < seq.buffers(SIX_NODES, 5, guard="none")["duplicates"]
+
+
+def test_one_sided_growth_reads_more():
+    """The rejected form: still exact, but it waits for light beginnings."""
+    for n in (2, 3, 4):
+        one, both = seq.buffers(SIX_NODES, n, 3, ends="one"), seq.buffers(SIX_NODES, n, 3, guard="none")
+        assert [w for _, w in one["paths"]] == [w for _, w in both["paths"]] and one["edges_read"] >= both["edges_read"]
+    chain = thousandths(chain_and_star(10))
+    assert seq.buffers(chain, 3, ends="one")["edges_read"] > seq.buffers(chain, 3)["edges_read"]

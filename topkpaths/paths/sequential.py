@@ -59,8 +59,14 @@ def rank_scan(edges, length: int, k: int = 1, exact_ties: bool = False) -> dict:
     return {"paths": best, "edges_read": len(steps), "joins": joins, "built": built, "steps": steps}
 
 
-def buffers(edges, length: int, k: int = 1, guard: str = "ends", lazy: bool = False, budget: int | None = None) -> dict:
-    """Demand-driven ordered buffers: one release at a time. lazy: extensions come one by one, heaviest first."""
+def buffers(edges, length: int, k: int = 1, guard: str = "ends", lazy: bool = False, budget: int | None = None, ends: str = "both") -> dict:
+    """Demand-driven ordered buffers: one release at a time. lazy: extensions come one by one, heaviest first.
+
+    ends='one' (an ablation) grows each direction of a path at its last node only. Guards don't apply, and a path must
+    wait for its lighter beginning, so the bound of length 2 falls more slowly.
+    """
+    one = ends == "one"
+    guard = "none" if one else guard
     g = Small(edges)
     heap = {i: [] for i in range(2, length + 1)}  # (-w, nodes, first, last, peak, first eid, last eid)
     have = {i: set() for i in range(2, length + 1)}
@@ -75,7 +81,7 @@ def buffers(edges, length: int, k: int = 1, guard: str = "ends", lazy: bool = Fa
 
     def add(level, nodes, w, first, last, peak, fe, le):
         count["joins"] += 1
-        if nodes[0] > nodes[-1]:
+        if not one and nodes[0] > nodes[-1]:
             nodes, first, last, fe, le = nodes[::-1], last, first, le, fe
         if nodes in have[level]:
             count["duplicates"] += 1
@@ -87,7 +93,7 @@ def buffers(edges, length: int, k: int = 1, guard: str = "ends", lazy: bool = Fa
     def options(nodes, first, last, peak, fe, le):
         """Extensions of a path, heaviest appended edge first."""
         right = [(x, t, i, True) for x, t, i in g.next[nodes[-1]] if t not in nodes and allowed(x, i, first, fe, peak)]
-        left = [(x, t, i, False) for x, t, i in g.next[nodes[0]] if t not in nodes and allowed(x, i, last, le, peak)]
+        left = [] if one else [(x, t, i, False) for x, t, i in g.next[nodes[0]] if t not in nodes and allowed(x, i, last, le, peak)]
         return sorted(right + left, key=lambda o: (-o[0], o[2]))
 
     def grow(path, w, option, level):
@@ -126,8 +132,10 @@ def buffers(edges, length: int, k: int = 1, guard: str = "ends", lazy: bool = Fa
             return False
         a, b, w, i = g.edges[read]
         read += 1
-        theta[2] = bounds.after_read(w) if read < len(g.edges) else bounds.NONE_LEFT
+        theta[2] = (w + g.top if one else bounds.after_read(w)) if read < len(g.edges) else bounds.NONE_LEFT
         extend(((a, b), w, w, w, i, i), w, 2)
+        if one:
+            extend(((b, a), w, w, w, i, i), w, 2)
         return True
 
     def pull(level):
@@ -161,7 +169,8 @@ def buffers(edges, length: int, k: int = 1, guard: str = "ends", lazy: bool = Fa
         got = pull(length) if length > 1 else None
         if got is None:
             break
-        out.append((got[1], -got[0]))
+        if (canonical(got[1]), -got[0]) not in out:
+            out.append((canonical(got[1]), -got[0]))
     if length == 1:
         out = [((a, b), w) for a, b, w, _ in g.edges[:k]]
     return {"paths": out, "edges_read": read, **{c: count[c] for c in ("joins", "built", "duplicates", "accesses")}, "steps": steps, "buffers": heap, "best": best_of, "stopped": full() and len(out) < k, "graph": g}

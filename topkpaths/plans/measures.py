@@ -10,8 +10,8 @@ from pyspark.sql.window import Window
 
 from .. import bounds
 from ..graph.model import Graph
-from ..paths.canonical_growth import canonical_growth
 from ..paths.budgeted import budgeted_search
+from ..paths.canonical_growth import canonical_growth
 
 
 def timed(call):
@@ -67,3 +67,59 @@ def rho_table(spark: SparkSession, g: Graph, lengths, budgets) -> DataFrame:
             top = r.paths.first()
             rows.append((n, c, top and top["weight"], r.summary["bound"] and float(r.summary["bound"]), r.summary["rho"], r.summary["exact"]))
     return spark.createDataFrame(rows, "length int, budget int, weight bigint, bound double, rho double, exact boolean")
+
+
+def quality_table(spark: SparkSession, g: Graph, lengths, budget: int) -> DataFrame:
+    """(length, method, weight, bound): exact, beam, budgeted and greedy side by side."""
+    from ..api import heaviest_paths
+
+    rows, best = [], optimal_weights(g, max(2, min(lengths)))
+    for n in lengths:
+        limit = int(bounds.best_split_bound(best, n))
+        for method, options in (("canonical_growth", {}), ("beam", {}), ("budgeted", {"budget": budget}), ("greedy", {})):
+            top = heaviest_paths(g, n, 1, method, **options).paths.first()
+            rows.append((n, method, top and top["weight"], limit))
+    return spark.createDataFrame(rows, "length int, method string, weight bigint, bound bigint")
+
+
+def longest_length(spark: SparkSession, g: Graph, max_paths: int, upto: int, guards=("none", "ends", "strict")) -> DataFrame:
+    """(guard, longest, held): the longest length that ordered buffers solve within a number of held paths."""
+    from ..paths.ordered_buffers import Search
+
+    rows = []
+    for guard in guards:
+        last = (guard, 1, 0)
+        for n in range(2, upto + 1):
+            run = Search(g, n, guard, budget=max_paths)
+            run.more(1)
+            if run.stopped:
+                break
+            last = (guard, n, run.held)
+        rows.append(last)
+    return spark.createDataFrame(rows, "guard string, longest int, held long")
+
+
+def spark_costs(spark: SparkSession, call) -> tuple[object, dict]:
+    """(result, jobs, stages and tasks it took)"""
+    import uuid
+
+    sc, group = spark.sparkContext, uuid.uuid4().hex
+    sc.setJobGroup(group, "measured")
+    out = call()
+    tracker = sc.statusTracker()
+    jobs = tracker.getJobIdsForGroup(group)
+    stages = {s for j in jobs if (info := tracker.getJobInfo(j)) for s in info.stageIds}
+    tasks = sum(info.numTasks for s in stages if (info := tracker.getStageInfo(s)))
+    sc._jsc.clearJobGroup()
+    return out, {"jobs": len(jobs), "stages": len(stages), "tasks": tasks}
+
+
+def cost_table(spark: SparkSession, g: Graph, length: int, methods) -> DataFrame:
+    """(method, seconds, jobs, stages, tasks)"""
+    from ..api import heaviest_paths
+
+    rows = []
+    for method in methods:
+        (_, sec), cost = spark_costs(spark, lambda m=method: timed(lambda: heaviest_paths(g, length, 1, m)))
+        rows.append((method, round(sec, 3), cost["jobs"], cost["stages"], cost["tasks"]))
+    return spark.createDataFrame(rows, "method string, seconds double, jobs int, stages int, tasks int")

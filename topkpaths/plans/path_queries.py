@@ -265,6 +265,8 @@ def _counted(s, d):
             for guard in ("none", "peak", "ends", "strict"):
                 b = sequential.buffers(edges, n, guard=guard)
                 out.append((name, f"buffers {guard}", n, b["edges_read"], b["joins"], b["built"], b["duplicates"]))
+            y = sequential.buffers(edges, n, ends="one")
+            out.append((name, "buffers one end", n, y["edges_read"], y["joins"], y["built"], y["duplicates"]))
             z = sequential.buffers(edges, n, lazy=True)
             out.append((name, "buffers lazy", n, z["edges_read"], z["joins"], z["built"], z["duplicates"]))
     return out
@@ -300,6 +302,9 @@ QUERIES |= {
     "m_overlap": lambda s, d: M.overlap(_top_baskets(s, d)),
     "m_surprise": lambda s, d: M.surprise(_top_baskets(s, d), B.load(s, d, "part").where("p_size > 25").select(F.col("p_partkey").alias("id"))),
     "m_path_labels": lambda s, d: heaviest_paths(B.stand_in(s, d, "topic"), 2, 5).named(),
+    "m_quality_by_length": lambda s, d: M.quality_table(s, B.stand_in(s, d, "baskets"), (4,), 500),
+    "m_longest_length": lambda s, d: M.longest_length(s, B.stand_in(s, d, "baskets"), 1500, 3),
+    "m_spark_costs": lambda s, d: M.cost_table(s, B.stand_in(s, d, "baskets"), 3, ("enumerate", "canonical_growth", "greedy")),
     "h_upper_bound": lambda s, d: M.bound_table(s, B.stand_in(s, d, "baskets"), 4, range(5, 13)),
     "h_rho_by_length": lambda s, d: M.rho_table(s, B.stand_in(s, d, "topic"), (6, 15, 25), (20_000,)),
     "h_rho_by_budget": lambda s, d: M.rho_table(s, B.stand_in(s, d, "topic"), (25,), (10, 100, 1000, 10_000)),
