@@ -48,10 +48,11 @@ def _highest(df: DataFrame | None, column: str = "w") -> float:
 class Search:
     """The state of a run; `more` continues it for further answers."""
 
-    def __init__(self, g: Graph, length: int, guard: str = "ends", release: str | int = "drain", bound: str = "plain", block: int = 64, budget: int | None = None):
+    def __init__(self, g: Graph, length: int, guard: str = "ends", release: str | int = "drain", bound: str = "plain", block: int | None = None, budget: int | None = None):
         if length < 1:
             raise ValueError("length is the number of edges, at least 1")
-        self.g, self.length, self.guard, self.release, self.bound, self.block, self.budget = g, length, guard, release, bound, block, budget
+        self.g, self.length, self.guard, self.release, self.bound, self.budget = g, length, guard, release, bound, budget
+        self.block = block or max(64, g.n_edges // 32)  # doubles each round
         self.levels = {i: Level() for i in range(2, length + 1)}
         self.theta = {i: float(v) for i, v in bounds.first_bounds(length, g.max_w).items()}
         self.read, self.joins, self.built, self.steps, self.stopped = 0, 0, 0, [], False
@@ -161,7 +162,7 @@ class Search:
         return PathResult(expand.answers(spark, rows, self.length), summary, self.steps, self.g.labels)
 
 
-def ordered_buffers(g: Graph, length: int, k: int = 1, guard: str = "ends", release: str | int = "drain", bound: str = "plain", block: int = 64) -> PathResult:
+def ordered_buffers(g: Graph, length: int, k: int = 1, guard: str = "ends", release: str | int = "drain", bound: str = "plain", block: int | None = None) -> PathResult:
     """Exact top-k by sum. guard: none, peak, ends, strict; release: drain, or the most rows a step; bound: plain, peak."""
     if bound == "peak" and guard == "none":
         raise ValueError("the peak bound needs a guard")
