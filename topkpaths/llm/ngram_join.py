@@ -187,7 +187,6 @@ def verify(pairs: DataFrame, reps: DataFrame, docs: DataFrame, tag: str) -> Data
     need = common.spill(sigs.join(reps, "sig").select("sig", F.col("id").alias("rep_id")), f"{tag}-need")
     ids = F.broadcast(need) if need.count() <= BROADCAST_IDS else need
     texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(ids, F.col("doc_id").cast("long") == F.col("rep_id")).select("sig", "text")
-    texts = texts.repartition(common.shuffle_width(docs.sparkSession), "sig")
     left = pairs.join(texts.select(F.col("sig").alias("a"), F.col("text").alias("text_a")), "a")
     full = left.join(texts.select(F.col("sig").alias("b"), F.col("text").alias("text_b")), "b").select("a", "b", "text_a", "text_b")
     return common.spill(full.mapInArrow(verifier, "a bigint, b bigint").distinct(), f"{tag}-links")
