@@ -1,11 +1,13 @@
 """Benchmark decontamination: one Aho-Corasick automaton over the windows of all test items scans each text once.
 
-Texts and items are normalised alike (ASCII lower case; words of letters, digits and non-ASCII bytes, joined by one
-space), so a window is one pattern with a space on both sides and the automaton's matches are whole words. Matches are
-kept as word ranges and mapped back to character offsets of the original text.
+Texts and items are normalised alike (ASCII lower case; words of letters, digits and non-ASCII bytes). Each different
+word of the items becomes one letter, all other words one more, so a window is a pattern of ten letters, matches are
+whole words, and the automaton has a node a word instead of a node a byte. Matches are word ranges, mapped back to
+character offsets of the original text.
 
-The automaton is broadcast, so its size is checked: items beyond MAX_ITEM_BYTES are dealt into blocks by id and the
-text passes the blocks' automata one after the other. Texts are never shuffled.
+The patterns are broadcast and every worker process holds an automaton, so their size is checked: items beyond
+MAX_ITEM_BYTES are dealt into blocks by id and the text passes the blocks' automata one after the other. Texts are never
+shuffled.
 
 Edge cases: null or wordless texts have no words and no hits; an item without words has no window; equal windows of
 several items hit for all of them; repeated rows are judged one by one; an empty benchmark hits nothing.
@@ -14,6 +16,9 @@ several items hit for all of them; repeated rows are judged one by one; an empty
 from __future__ import annotations
 
 import hashlib
+import sys
+import types
+import uuid
 
 import numpy as np
 import pyarrow as pa
@@ -25,8 +30,9 @@ from . import common
 common.by_value(__name__)
 
 WINDOW = 10
-#: Most bytes of item text behind one broadcast automaton.
-MAX_ITEM_BYTES = 16_000_000
+#: Most bytes of item text behind one automaton (some 450 MB in each worker). So few bytes hold fewer different
+#: words than there are letters.
+MAX_ITEM_BYTES = 4_000_000
 #: Bytes that are no part of a word, A-Z in lower case.
 _TABLE = bytes(b + 32 if 65 <= b <= 90 else b if b >= 0x80 or 48 <= b <= 57 or 97 <= b <= 122 else 32 for b in range(256))
 
@@ -35,46 +41,60 @@ def words_of(raw: bytes) -> list[bytes]:
     return raw.translate(_TABLE).split()
 
 
-def windows_of(words: list[bytes], width: int = WINDOW) -> list[bytes]:
-    if not words:
-        return []
-    if len(words) < width:
-        return [b" ".join(words)]
-    return [b" ".join(words[i : i + width]) for i in range(len(words) - width + 1)]
+def windows_of(letters: list[str], width: int = WINDOW) -> list[str]:
+    """Windows of an item given as one letter a word."""
+    text = "".join(letters)
+    return [text[i : i + width] for i in range(max(1, len(text) - width + 1))] if text else []
 
 
-def patterns_of(items: list[tuple[str, str]], width: int = WINDOW) -> list[tuple[str, int, list[str]]]:
-    """(pattern, words in it, ids of the items that have it)"""
-    found: dict[bytes, set] = {}
+def letter(k: int) -> str:
+    """The k-th code point, surrogates left out; the first stands for all words that no item has."""
+    return chr(k if k < 0xD800 else k + 0x800)
+
+
+def patterns_of(items: list[tuple[str, str]], width: int = WINDOW) -> tuple[dict[bytes, str], list[tuple[str, list[str]]]]:
+    """(letter of each item word, windows as (letters, ids of the items that have it))"""
+    letters: dict[bytes, str] = {}
+    found: dict[str, set] = {}
     for item_id, text in items:
-        for w in windows_of(words_of((text or "").encode()), width):
+        for w in windows_of([letters.setdefault(x, letter(len(letters) + 1)) for x in words_of((text or "").encode())], width):
             found.setdefault(w, set()).add(item_id)
-    return [(" " + w.decode("latin-1") + " ", w.count(b" ") + 1, sorted(ids)) for w, ids in found.items()]
+    return letters, [(w, sorted(ids)) for w, ids in found.items()]
 
 
 def automaton_of(patterns):
+    """(letter of each item word, automaton over letters)"""
     import ahocorasick
 
+    letters, windows = patterns
     out = ahocorasick.Automaton()
-    for text, width, ids in patterns:
-        out.add_word(text, (width, ids))
+    for text, ids in windows:
+        out.add_word(text, (len(text), ids))
     if len(out):
         out.make_automaton()
-    return out
+    return letters, out
 
 
-def hits_in(raw: bytes, automaton) -> tuple[int, list[list[int]], list[str]]:
+def kept_automaton(key: str, patterns):
+    """The worker process keeps its last automaton from task to task."""
+    state = sys.modules.setdefault("_topkpaths_automaton", types.ModuleType("_topkpaths_automaton"))
+    if getattr(state, "key", None) != key:
+        state.key = state.automaton = None  # frees the one before
+        state.automaton = automaton_of(patterns.value)
+        state.key = key
+    return state.automaton
+
+
+def hits_in(raw: bytes, letters: dict[bytes, str], automaton) -> tuple[int, list[list[int]], list[str]]:
     """(words, merged word ranges, items)"""
     words = words_of(raw)
     if not words or not len(automaton):
         return len(words), [], []
-    norm = (b" " + b" ".join(words) + b" ").decode("latin-1")
-    found = list(automaton.iter(norm))
+    other, get = letter(0), letters.get
+    found = list(automaton.iter("".join([get(w, other) for w in words])))
     if not found:
         return len(words), [], []
-    spaces = np.flatnonzero(np.frombuffer(norm.encode("latin-1"), np.uint8) == 32)
-    last = np.searchsorted(spaces, [end for end, _ in found])
-    ranges = sorted({(int(j) - width, int(j)) for j, (_, (width, _)) in zip(last, found)})
+    ranges = sorted({(end + 1 - width, end + 1) for end, (width, _) in found})
     return len(words), merge(ranges), sorted({i for _, (_, ids) in found for i in ids})
 
 
@@ -102,16 +122,17 @@ _RANGES, _ITEMS = pa.list_(pa.list_(pa.int64())), pa.list_(pa.string())
 
 def scanner(patterns, views, last: bool):
     """views: the kernel that gives a column's bytes; last: whether to give offsets and drop the text."""
+    key = uuid.uuid4().hex
 
     def run(batches):
-        automaton = automaton_of(patterns.value)
+        letters, automaton = kept_automaton(key, patterns)
         for batch in batches:
             data, offs = views(batch.column("text"))
             n_words, ranges, items, spans = [], [], [], []
             old_r, old_i = batch.column("ranges").to_pylist(), batch.column("items").to_pylist()
             for i in range(batch.num_rows):
                 raw = data[offs[i] : offs[i + 1]].tobytes()
-                n, r, ids = hits_in(raw, automaton)
+                n, r, ids = hits_in(raw, letters, automaton)
                 if old_r[i]:
                     r, ids = merge([*r, *old_r[i]]), sorted({*ids, *old_i[i]})
                 n_words.append(n)
@@ -168,7 +189,10 @@ def op7_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
 def brute(texts: dict, items: dict, width: int = WINDOW) -> dict:
     """The same by plain comparison, for tests."""
     out = {}
-    wins = {i: {tuple(w.split(b" ")) for w in windows_of(words_of((t or "").encode()), width)} for i, t in items.items()}
+    wins = {}
+    for i, t in items.items():
+        w = words_of((t or "").encode())
+        wins[i] = {tuple(w[p : p + width]) for p in range(max(1, len(w) - width + 1))} if w else set()
     for d, t in texts.items():
         w = words_of((t or "").encode())
         hit, ids = set(), set()
