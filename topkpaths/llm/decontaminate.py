@@ -1,9 +1,9 @@
 """Benchmark decontamination: one Aho-Corasick automaton over the windows of all test items scans each text once.
 
 Texts and items are normalised alike (ASCII lower case; words of letters, digits and non-ASCII bytes). Each different
-word of the items becomes one letter, all other words one more, so a window is a pattern of ten letters, matches are
-whole words, and the automaton has a node a word instead of a node a byte. Matches are word ranges, mapped back to
-character offsets of the original text.
+word of the items has a code of two or three letters, all other words are one mark, so matches are whole words and the
+automaton has two or three nodes a word instead of one a byte; a node has few branches, as they are tried in turn. Matches
+are word ranges, mapped back to character offsets of the original text.
 
 The patterns are broadcast and every worker process holds an automaton, so their size is checked: items beyond
 MAX_ITEM_BYTES are dealt into blocks by id and the text passes the blocks' automata one after the other. Texts are never
@@ -30,9 +30,8 @@ from . import common
 common.by_value(__name__)
 
 WINDOW = 10
-#: Most bytes of item text behind one automaton (some 450 MB in each worker). So few bytes hold fewer different
-#: words than there are letters.
-MAX_ITEM_BYTES = 4_000_000
+#: Most bytes of item text behind one automaton (some 450 MB in each worker), and letters in a place of a code.
+MAX_ITEM_BYTES, BASE = 2_000_000, 64
 #: Bytes that are no part of a word, A-Z in lower case.
 _TABLE = bytes(b + 32 if 65 <= b <= 90 else b if b >= 0x80 or 48 <= b <= 57 or 97 <= b <= 122 else 32 for b in range(256))
 
@@ -41,38 +40,43 @@ def words_of(raw: bytes) -> list[bytes]:
     return raw.translate(_TABLE).split()
 
 
-def windows_of(letters: list[str], width: int = WINDOW) -> list[str]:
-    """Windows of an item given as one letter a word."""
-    text = "".join(letters)
-    return [text[i : i + width] for i in range(max(1, len(text) - width + 1))] if text else []
+def windows_of(words: list, width: int = WINDOW) -> list[list]:
+    return [words[i : i + width] for i in range(max(1, len(words) - width + 1))] if words else []
 
 
-def letter(k: int) -> str:
-    """The k-th code point, surrogates left out; the first stands for all words that no item has."""
-    return chr(k if k < 0xD800 else k + 0x800)
+def codes_of(words) -> dict[bytes, str]:
+    """Each word as letters, equally many for all: the first below BASE + 1, the others above, so codes can't overlap."""
+    out, n = {}, 1
+    while BASE**n < len(words):
+        n += 1
+    for k, word in enumerate(words):
+        rest = [chr(BASE + 1 + k // BASE**i % BASE) for i in range(1, n)]
+        out[word] = "".join([chr(1 + k % BASE), *rest])
+    return out
 
 
-def patterns_of(items: list[tuple[str, str]], width: int = WINDOW) -> tuple[dict[bytes, str], list[tuple[str, list[str]]]]:
-    """(letter of each item word, windows as (letters, ids of the items that have it))"""
-    letters: dict[bytes, str] = {}
-    found: dict[str, set] = {}
-    for item_id, text in items:
-        for w in windows_of([letters.setdefault(x, letter(len(letters) + 1)) for x in words_of((text or "").encode())], width):
-            found.setdefault(w, set()).add(item_id)
-    return letters, [(w, sorted(ids)) for w, ids in found.items()]
+def patterns_of(items: list[tuple[str, str]], width: int = WINDOW) -> tuple[dict[bytes, str], list[tuple[str, int, list[str]]]]:
+    """(code of each item word, windows as (codes, words, ids of the items that have it))"""
+    split = [(item_id, words_of((text or "").encode())) for item_id, text in items]
+    codes = codes_of(dict.fromkeys(w for _, words in split for w in words))
+    found: dict[str, tuple[int, set]] = {}
+    for item_id, words in split:
+        for w in windows_of([codes[x] for x in words], width):
+            found.setdefault("".join(w), (len(w), set()))[1].add(item_id)
+    return codes, [(w, n, sorted(ids)) for w, (n, ids) in found.items()]
 
 
 def automaton_of(patterns):
-    """(letter of each item word, automaton over letters)"""
+    """(code of each item word, automaton over codes)"""
     import ahocorasick
 
-    letters, windows = patterns
+    codes, windows = patterns
     out = ahocorasick.Automaton()
-    for text, ids in windows:
-        out.add_word(text, (len(text), ids))
+    for text, width, ids in windows:
+        out.add_word(text, (width, ids))
     if len(out):
         out.make_automaton()
-    return letters, out
+    return codes, out
 
 
 def kept_automaton(key: str, patterns):
@@ -85,16 +89,19 @@ def kept_automaton(key: str, patterns):
     return state.automaton
 
 
-def hits_in(raw: bytes, letters: dict[bytes, str], automaton) -> tuple[int, list[list[int]], list[str]]:
+def hits_in(raw: bytes, codes: dict[bytes, str], automaton) -> tuple[int, list[list[int]], list[str]]:
     """(words, merged word ranges, items)"""
     words = words_of(raw)
     if not words or not len(automaton):
         return len(words), [], []
-    other, get = letter(0), letters.get
-    found = list(automaton.iter("".join([get(w, other) for w in words])))
+    get = codes.get
+    text = "".join([get(w, "\0") for w in words])
+    found = list(automaton.iter(text))
     if not found:
         return len(words), [], []
-    ranges = sorted({(end + 1 - width, end + 1) for end, (width, _) in found})
+    starts = np.flatnonzero(np.frombuffer(text.encode("latin-1"), np.uint8) <= BASE)
+    last = np.searchsorted(starts, [end for end, _ in found], side="right")
+    ranges = sorted({(int(j) - width, int(j)) for j, (_, (width, _)) in zip(last, found)})
     return len(words), merge(ranges), sorted({i for _, (_, ids) in found for i in ids})
 
 
@@ -125,14 +132,14 @@ def scanner(patterns, views, last: bool):
     key = uuid.uuid4().hex
 
     def run(batches):
-        letters, automaton = kept_automaton(key, patterns)
+        codes, automaton = kept_automaton(key, patterns)
         for batch in batches:
             data, offs = views(batch.column("text"))
             n_words, ranges, items, spans = [], [], [], []
             old_r, old_i = batch.column("ranges").to_pylist(), batch.column("items").to_pylist()
             for i in range(batch.num_rows):
                 raw = data[offs[i] : offs[i + 1]].tobytes()
-                n, r, ids = hits_in(raw, letters, automaton)
+                n, r, ids = hits_in(raw, codes, automaton)
                 if old_r[i]:
                     r, ids = merge([*r, *old_r[i]]), sorted({*ids, *old_i[i]})
                 n_words.append(n)
