@@ -20,11 +20,14 @@ LEVELS_PER_PLAN = 3
 
 
 def beam(g: Graph, length: int, k: int, width: int = 200, agg: str = "sum") -> list:
-    """The best of `width` paths kept per level: (nodes, w) rows, a lower bound for exact runs."""
+    """The best of `width` paths kept per level: (nodes, w) rows, a lower bound for exact runs.
+
+    A level holds at most max(width, 4 k) paths, so on large graphs these are broadcast and the edges are only scanned.
+    """
     edges = g.edges.where(F.col("eid") < max(width, 4 * k))
     paths = expand.start_paths(g, agg, edges)
     for level in range(2, length + 1):
-        grown = expand.deduplicated(expand.extend_both(paths, g, "none", agg), g.directed)
+        grown = expand.deduplicated(expand.extend_both(paths, g, "none", agg, few=True), g.directed)
         paths = grown.orderBy(F.desc("w"), "nodes").limit(max(width, 4 * k))
         if level % LEVELS_PER_PLAN == 0:
             paths = keep(paths, "beam")

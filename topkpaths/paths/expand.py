@@ -27,9 +27,10 @@ def start_paths(g: Graph, agg: str = "sum", edges: DataFrame | None = None) -> D
 
 
 def both_ways(paths: DataFrame) -> DataFrame:
-    """Each path and its reverse."""
-    back = paths.select(F.reverse("nodes").alias("nodes"), "w", F.col("last_w").alias("first_w"), F.col("first_w").alias("last_w"), "peak_w", F.col("last_eid").alias("first_eid"), F.col("first_eid").alias("last_eid"))
-    return paths.union(back)
+    """Each path and its reverse, in one pass over the paths."""
+    same = F.struct(*COLUMNS)
+    back = F.struct(F.reverse("nodes").alias("nodes"), "w", F.col("last_w").alias("first_w"), F.col("first_w").alias("last_w"), "peak_w", F.col("last_eid").alias("first_eid"), F.col("first_eid").alias("last_eid"))
+    return paths.select(F.inline(F.array(same, back)))
 
 
 def _guard(kind: str, w: Column, eid: Column, far_w: Column, far_eid: Column, peak: Column) -> Column | None:
@@ -37,9 +38,18 @@ def _guard(kind: str, w: Column, eid: Column, far_w: Column, far_eid: Column, pe
     return {"none": None, "peak": w <= peak, "ends": w <= far_w, "strict": eid > far_eid}[kind]
 
 
-def extend_right(paths: DataFrame, g: Graph, arcs: DataFrame, guard: str = "none", agg: str = "sum", extra=None) -> DataFrame:
-    """Appends an edge behind the last node; extra(path, arc weight, arc eid) may add a condition to the join."""
-    p, a = paths.alias("p"), g.side(arcs).alias("a")
+def _sides(paths: DataFrame, arcs: DataFrame, g: Graph, few: bool) -> tuple[DataFrame, DataFrame]:
+    if few and not g.small:
+        return F.broadcast(paths).alias("p"), arcs.alias("a")
+    return paths.alias("p"), g.side(arcs).alias("a")
+
+
+def extend_right(paths: DataFrame, g: Graph, arcs: DataFrame, guard: str = "none", agg: str = "sum", extra=None, few: bool = False) -> DataFrame:
+    """Appends an edge behind the last node; extra(path, arc weight, arc eid) may add a condition to the join.
+
+    few: the paths are of a bounded number, so they are broadcast and the adjacency is only scanned.
+    """
+    p, a = _sides(paths, arcs, g, few)
     on = (F.element_at("p.nodes", -1) == F.col("a.head")) & ~F.array_contains("p.nodes", F.col("a.tail"))
     rule = _guard(guard, F.col("a.w"), F.col("a.eid"), F.col("p.first_w"), F.col("p.first_eid"), F.col("p.peak_w"))
     for cond in (rule, extra and extra(F.col("a.w"), F.col("a.eid"))):
@@ -50,9 +60,9 @@ def extend_right(paths: DataFrame, g: Graph, arcs: DataFrame, guard: str = "none
         F.greatest("p.peak_w", "a.w").alias("peak_w"), "p.first_eid", F.col("a.eid").alias("last_eid"))
 
 
-def extend_left(paths: DataFrame, g: Graph, arcs: DataFrame, guard: str = "none", agg: str = "sum", extra=None) -> DataFrame:
+def extend_left(paths: DataFrame, g: Graph, arcs: DataFrame, guard: str = "none", agg: str = "sum", extra=None, few: bool = False) -> DataFrame:
     """Puts an edge before the first node; arcs lead against the direction of the graph."""
-    p, a = paths.alias("p"), g.side(arcs).alias("a")
+    p, a = _sides(paths, arcs, g, few)
     on = (F.element_at("p.nodes", 1) == F.col("a.head")) & ~F.array_contains("p.nodes", F.col("a.tail"))
     rule = _guard(guard, F.col("a.w"), F.col("a.eid"), F.col("p.last_w"), F.col("p.last_eid"), F.col("p.peak_w"))
     for cond in (rule, extra and extra(F.col("a.w"), F.col("a.eid"))):
@@ -63,8 +73,11 @@ def extend_left(paths: DataFrame, g: Graph, arcs: DataFrame, guard: str = "none"
         F.greatest("p.peak_w", "a.w").alias("peak_w"), F.col("a.eid").alias("first_eid"), "p.last_eid")
 
 
-def extend_both(paths: DataFrame, g: Graph, guard: str = "none", agg: str = "sum", extra=None) -> DataFrame:
-    return extend_right(paths, g, g.arcs(), guard, agg, extra).union(extend_left(paths, g, g.arcs(inward=True), guard, agg, extra))
+def extend_both(paths: DataFrame, g: Graph, guard: str = "none", agg: str = "sum", extra=None, few: bool = False) -> DataFrame:
+    """Extends at both ends. Undirected: a path's left end is its reverse's right end, so one join does both."""
+    if not g.directed:
+        return extend_right(both_ways(paths), g, g.arcs(), guard, agg, extra, few)
+    return extend_right(paths, g, g.arcs(), guard, agg, extra, few).union(extend_left(paths, g, g.arcs(inward=True), guard, agg, extra, few))
 
 
 def oriented(nodes: Column, directed: bool) -> Column:
