@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-_MODULES = ["topkpaths.plans.graph_queries", "topkpaths.plans.path_queries", "topkpaths.operators.relational", "topkpaths.operators.scalars", "topkpaths.functions.queries", "topkpaths.sources.queries", "topkpaths.streaming.queries"]
+_MODULES = ["topkpaths.plans.graph_queries", "topkpaths.plans.path_queries", "topkpaths.plans.workloads", "topkpaths.operators.relational", "topkpaths.operators.scalars", "topkpaths.functions.queries", "topkpaths.sources.queries", "topkpaths.streaming.queries"]
 
 
 def _collect(what: str) -> dict:
