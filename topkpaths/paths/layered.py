@@ -14,7 +14,7 @@ from .result import PathResult
 def layered_paths(edges: DataFrame, k: int = 1, method: str = "bfs", layers: int | None = None, first: int = 256) -> PathResult:
     """The k heaviest paths over the first `layers` steps; edges: (layer, src, dst, w), each into the next layer.
 
-    bfs: the k best per node and layer (acyclic, so no set is needed). dfs: all paths, pruned by the best possible rest.
+    bfs: the k best per node and layer (acyclic, so no set is needed). dfs: paths pruned by the best possible rest from their last node.
     ta: heaviest edges first, in growing prefixes, until no unread edge can matter.
     """
     spark = edges.sparkSession
@@ -45,29 +45,32 @@ def _bfs(e, n, k, tops, _):
     return expand.top(paths, k, True).collect(), {"exact": True}  # k rows
 
 
+def _rests(e, n):
+    """Layer -> (node, rest): the heaviest way on from each node whose next edge is in that layer and that reaches the last."""
+    out = {}
+    for layer in range(n - 1, 0, -1):
+        on = e.where(F.col("layer") == layer)
+        if layer < n - 1:
+            on = on.join(out[layer + 1].withColumnRenamed("node", "dst"), "dst").withColumn("w", F.col("w") + F.col("rest"))
+        out[layer] = keep(on.groupBy(F.col("src").alias("node")).agg(F.max("w").alias("rest")), "rest")
+    return out
+
+
 def _dfs(e, n, k, tops, _):
-    seed = sorted(((tuple(r[0]), r[1]) for r in _bfs_beam(e, n, k)), key=lambda r: (-r[1], r[0]))[:k]
-    tau = seed[-1][1] if len(seed) >= k else None
-    rest = [sum(tops.get(j, 0) for j in range(i + 1, n)) for i in range(n)]
-    paths = _first(e)
+    rests, paths = _rests(e, n), _first(e)
     for layer in range(n):
         paths = _step(paths, e, layer) if layer else paths
-        if tau is not None:
-            paths = paths.where(F.col("w") + rest[layer] >= tau)
+        most = F.col("w")
+        if layer < n - 1:  # a path that cannot reach the last layer goes
+            paths = paths.join(rests[layer + 1], F.element_at("nodes", -1) == F.col("node"))
+            most = most + F.col("rest")
+        # each of these leads to a path as heavy as its bound, so k of them leave no better one out, ties included
+        paths = paths.orderBy(most.desc(), "nodes").limit(k).select("nodes", "w")
         if layer % 4 == 3:
             paths = keep(paths, "depth")
     return expand.top(paths, k, True).collect(), {"exact": True}  # k rows
 
 
-def _bfs_beam(e, n, k, width: int = 2000):
-    paths = _first(e)
-    for layer in range(1, n):
-        paths = _step(paths, e, layer).orderBy(F.desc("w"), "nodes").limit(width)
-        if layer % 5 == 0:
-            paths = keep(paths, "beam")
-    return expand.top(paths, k, True).collect()
-
-
 def _ta(e, n, k, tops, first):
     ranked = keep(e.where(F.col("layer") < n).withColumn("rk", F.row_number().over(Window.partitionBy("layer").orderBy(F.desc("w"), "src", "dst"))), "ranked")
     most = ranked.agg(F.max("rk")).first()[0] or 0

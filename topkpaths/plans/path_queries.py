@@ -164,6 +164,19 @@ best as (select [a.src, a.dst, b.dst, c.dst, e.dst] as n, a.w + b.w + c.w + e.w
 select (row_number() over (order by v desc, n))::int as rank, array_to_string(n, '>') as path, 4 as length, v::bigint as weight from best"""
 
 
+def _layered_whole(method, k=5):
+    """Over every layer of the table, from the first day to the last."""
+    def run(s, d):
+        r = layered_paths(B.layer_edges(s, d), k, method)
+        return r.paths.select("rank", F.array_join(F.transform("nodes", lambda x: x.cast("string")), ">").alias("path"), "length", "weight")
+
+    return run
+
+
+# no SQL twins: tests hold the methods against brute force on many layers
+QUERIES |= {f"p_layered_{_m}_whole": _layered_whole(_m) for _m in ("bfs", "dfs", "ta")}
+
+
 def _sql(form):
     def run(s, d):
         return S.heaviest_paths_sql(s, B.stand_in(s, d, "baskets"), 3, 10, form).select(F.array_join(F.transform("nodes", lambda x: x.cast("string")), ">").alias("path"), F.col("w").alias("weight"))
@@ -238,6 +251,7 @@ QUERIES |= {
     "app_routes": lambda s, d: apps.plan_routes(B.road_distances(s, d).select("src", "dst", F.round("dist", 6).alias("dist")), 5, 3).named(),
     "app_flow_chains": lambda s, d: apps.flow_chains(B.topic_moves(s, d), 3, 5).named(),
     "app_stable_chains": lambda s, d: apps.stable_chains(B.layer_edges(s, d).where("layer < 3"), 3, 3).paths.select("rank", F.array_join(F.transform("nodes", lambda x: x.cast("string")), ">").alias("path"), "length", "weight"),
+    "app_stable_chains_whole": lambda s, d: apps.stable_chains(B.layer_edges(s, d), 3).paths.select("rank", F.array_join(F.transform("nodes", lambda x: x.cast("string")), ">").alias("path"), "length", "weight"),
 }
 ORACLES |= {
     "app_sequences": S.path_sql("baskets", 3, 5, edges=_GOOD),
