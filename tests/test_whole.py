@@ -4,7 +4,10 @@ import random
 
 import pytest
 
+from topkpaths.api import heaviest_paths
 from topkpaths.graph import builders as B
+from topkpaths.graph.builders import literal
+from topkpaths.paths import budgeted
 from topkpaths.paths.layered import layered_paths
 from topkpaths.plans import registry
 
@@ -45,3 +48,12 @@ def test_layers_against_all_chains(spark, method):
     want = sorted(chains, key=lambda c: (-c[1], c[0]))[:4]
     got = layered_paths(spark.createDataFrame(rows, "layer long, src long, dst long, w long"), 4, method, first=2).paths.orderBy("rank").collect()
     assert [(tuple(x["nodes"]), x["weight"]) for x in got] == want
+
+
+def test_budget_reads_buffers_to_the_end(spark, monkeypatch):
+    """A heavy star leads nowhere; the only path of the length starts below the first rows of the buffer."""
+    monkeypatch.setattr(budgeted, "TOP_ROWS", 4)
+    edges = [(1, i, 0.9) for i in range(2, 9)] + [(100 + i, 101 + i, 0.1) for i in range(5)]
+    r = heaviest_paths(literal(spark, edges), 5, 1, "budgeted", budget=25, block=64)
+    assert not r.summary["exact"]
+    assert [tuple(x["nodes"]) for x in r.paths.collect()] == [tuple(range(100, 106))]

@@ -13,7 +13,7 @@ from .neighbours import Neighbours
 from .ordered_buffers import Search
 from .result import PathResult
 
-#: Paths of a frozen buffer that completion takes over at a time.
+#: Paths of a frozen buffer that completion reads at a time.
 TOP_ROWS = 2000
 
 
@@ -51,23 +51,30 @@ def _complete(g: Graph, run: Search, length: int, k: int) -> list:
     seen: dict[int, set] = {i: set() for i in range(1, length + 1)}
     found: list = []
     stored = {i: v.table() for i, v in run.levels.items() if v.rows}
+    last: dict[int, tuple] = {}  # the last row read of a frozen buffer
 
-    def take(i: int) -> bool:
-        """The frozen buffer's rows, once."""
-        t = stored.pop(i, None)
-        if t is None:
-            return False
-        for r in t.select("nodes", "w").orderBy(F.desc("w"), "nodes").limit(TOP_ROWS).collect():
-            heapq.heappush(heaps[i], (-r["w"], tuple(r["nodes"])))
-        return bool(heaps[i])
+    def fill(i: int) -> None:
+        """Reads on in the frozen buffer until the heap's best path comes before all that is unread."""
+        while i in stored and not (heaps[i] and i in last and heaps[i][0] <= last[i]):
+            t = stored[i]
+            if i in last:
+                w, nodes = -last[i][0], F.array(*[F.lit(x) for x in last[i][1]])
+                t = t.where((F.col("w") < w) | ((F.col("w") == w) & (F.col("nodes") > nodes)))
+            rows = [(-r["w"], tuple(r["nodes"])) for r in t.select("nodes", "w").orderBy(F.desc("w"), "nodes").limit(TOP_ROWS).collect()]
+            for r in rows:
+                heapq.heappush(heaps[i], r)
+            if len(rows) < TOP_ROWS:
+                del stored[i]
+            else:
+                last[i] = rows[-1]
 
     while len(found) < k:
         level = next((i for i in range(length, 0, -1) if heaps[i] or i in stored), None)
         if level is None:
             break
-        if not heaps[level] and not take(level):
+        fill(level)
+        if not heaps[level]:
             continue
-        take(level)
         w, nodes = heapq.heappop(heaps[level])
         if nodes in seen[level]:
             continue
