@@ -94,6 +94,23 @@ def test_ngram_join(spark):
     assert {i for i in kept if i is not None} == {i for i, c in low.items() if i is not None and c == i}
 
 
+def test_ngram_join_rows_without_id(spark):
+    """Null ids link two documents, copy one, and make a component of their own."""
+    base = [f"b{i}" for i in range(100)]
+    mid, far = ["x"] * 7 + base[7:], ["y"] * 7 + base[7:93] + ["z"] * 7
+    bridge = base[:93] + ["z"] * 7
+    alone, copy = [f"n{i}" for i in range(60)], [f"c{i}" for i in range(60)]
+    texts = [(1, mid), (None, base), (None, bridge), (2, far), (None, alone), (None, alone), (None, alone[:-1] + ["q"]), (5, copy), (None, copy[:-1] + ["q"])]
+    texts = [(i, " ".join(w)) for i, w in texts] + [(None, ""), (None, None), (None, "short one")]
+    got = sorted((tuple(x) for x in ngram_join.classes(docs_of(spark, texts)).collect()), key=repr)
+    assert got == brute_join(texts)
+    kept = [(x["doc_id"], x["text"]) for x in ngram_join.keep_one(docs_of(spark, texts)).collect()]
+    assert sum(i is None and t in [texts[4][1], texts[6][1]] for i, t in kept) == 1
+    rest = sorted([x for x in kept if x[1] not in [texts[4][1], texts[6][1]]], key=repr)
+    ids = {i for i, _, c in got if i is not None and i == c}
+    assert rest == sorted([x for x in texts if x[0] in ids] + texts[-3:], key=repr)
+
+
 def test_ngram_join_families(spark):
     """Families of edited copies, where neighbours by size often miss each other."""
     r = random.Random(8)

@@ -20,8 +20,9 @@ Hot keys: a family's postings spread over its prefix grams, frequent grams stand
 component joins are equi-joins over pre-aggregated sides.
 
 Edge cases: null, empty and wordless texts have no grams and link with nothing; with one to four words the whole
-sequence is the one gram; equal rows are one class; rows with a null id take part, and a component of null ids alone has a
-null id; an empty table gives no rows; extra columns are ignored (`classes`) or kept (`keep_one`).
+sequence is the one gram; equal rows are one class; rows with a null id take part (a set that only they hold is found again
+by a hash of its text), and a component of null ids alone has a null id, of which `keep_one` keeps one row; an empty table
+gives no rows; extra columns are ignored (`classes`) or kept (`keep_one`).
 Grams are compared by 64-bit hashes, classes by set size and 64 bits.
 """
 
@@ -86,7 +87,7 @@ def profile(batches):
     """A row a document, and at the end the task's counts by slot."""
     tables: dict = {}
     counts = np.zeros(1 << SLOT_BITS, np.int64)
-    names = ["doc_id", "n", "sig", "chunk", "sums"]
+    names = ["doc_id", "key", "n", "sig", "chunk", "sums"]
     kind = None
     for batch in batches:
         kind = batch.column("doc_id").type
@@ -95,11 +96,11 @@ def profile(batches):
             doc, grams = sets_of(data, offs[lo : hi + 1], tables)
             counts += np.bincount(slot_of(grams), minlength=1 << SLOT_BITS)
             size, sig = signatures(doc, grams, hi - lo)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(lo, hi - lo), pa.array(size.astype(np.int32)), pa.array(signed(sig)), pa.nulls(hi - lo, pa.int32()), pa.nulls(hi - lo, pa.binary())], names=names)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(lo, hi - lo), batch.column("key").slice(lo, hi - lo), pa.array(size.astype(np.int32)), pa.array(signed(sig)), pa.nulls(hi - lo, pa.int32()), pa.nulls(hi - lo, pa.binary())], names=names)
     if kind is not None and counts.any():
         k = 1 << (SLOT_BITS - CHUNK_BITS)
         blobs = [c.tobytes() for c in counts.reshape(k, -1)]
-        yield pa.RecordBatch.from_arrays([pa.nulls(k, kind), pa.nulls(k, pa.int32()), pa.nulls(k, pa.int64()), pa.array(range(k), pa.int32()), pa.array(blobs, pa.binary())], names=names)
+        yield pa.RecordBatch.from_arrays([pa.nulls(k, kind), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int32()), pa.nulls(k, pa.int64()), pa.array(range(k), pa.int32()), pa.array(blobs, pa.binary())], names=names)
 
 
 def adder(batches):
@@ -181,12 +182,26 @@ def _length_fits(x: str, y: str):
     return 4 * F.least(f"{x}n", f"{y}n") >= 3 * F.greatest(f"{x}n", f"{y}n")
 
 
+def _key():
+    """What tells rows with a null id apart: a hash of the text; null for all other rows."""
+    return F.when(F.col("doc_id").cast("long").isNull(), F.xxhash64(F.coalesce("text", F.lit(""))))
+
+
 def verify(pairs: DataFrame, reps: DataFrame, docs: DataFrame, tag: str) -> DataFrame:
-    """(a, b) of the pairs that link; pairs: a, b (set names); reps: sig -> doc_id of a row with that set."""
+    """(a, b) of the pairs that link; pairs: a, b (set names); reps: sig -> id of a row with that set, or its key if none has one."""
     sigs = pairs.select(F.col("a").alias("sig")).union(pairs.select(F.col("b").alias("sig"))).distinct()
-    need = common.spill(sigs.join(reps, "sig").select("sig", F.col("id").alias("rep_id")), f"{tag}-need")
-    ids = F.broadcast(need) if need.count() <= BROADCAST_IDS else need
-    texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(ids, F.col("doc_id").cast("long") == F.col("rep_id")).select("sig", "text")
+    need = common.spill(sigs.join(reps, "sig").select("sig", F.col("id").alias("rep_id"), F.col("key").alias("rep_key")), f"{tag}-need")
+    few = lambda df, n: F.broadcast(df) if n <= BROADCAST_IDS else df
+    n, n_keys = need.agg(F.count("rep_id"), F.count("rep_key")).first()
+    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
+    ids = few(need.where("rep_id is not null").select("sig", "rep_id"), n)
+    texts = rows.join(ids, F.col("doc_id").cast("long") == F.col("rep_id")).select("sig", "text")
+    if n_keys:  # copies of a text have one key, so one of them is taken
+        keys = few(need.where("rep_key is not null").select("sig", "rep_key"), n_keys)
+        nameless = rows.where(F.col("doc_id").cast("long").isNull()).select(_key().alias("key"), "text")
+        if n_keys > BROADCAST_IDS:
+            nameless = nameless.groupBy("key").agg(F.first("text").alias("text"))
+        texts = texts.union(nameless.join(keys, F.col("key") == F.col("rep_key")).groupBy("sig").agg(F.first("text").alias("text")))
     left = pairs.join(texts.select(F.col("sig").alias("a"), F.col("text").alias("text_a")), "a")
     full = left.join(texts.select(F.col("sig").alias("b"), F.col("text").alias("text_b")), "b").select("a", "b", "text_a", "text_b")
     return common.spill(full.mapInArrow(verifier, "a bigint, b bigint").distinct(), f"{tag}-links")
@@ -207,17 +222,22 @@ def _pairs_of(joined: DataFrame, x: str, y: str) -> DataFrame:
 
 def classes(docs: DataFrame) -> DataFrame:
     """(doc_id, n_shingles, component_id) for every row."""
+    return _placed(docs).drop("least_key", "key")
+
+
+def _placed(docs: DataFrame) -> DataFrame:
+    """(doc_id, n_shingles, component_id, key, least_key) for every row; least_key: of a component of null ids alone, else null."""
     spark = docs.sparkSession
     rows = docs.select("doc_id", "text")
     kind = rows.schema["doc_id"].dataType.simpleString()
-    both = common.spill(rows.mapInArrow(profile, f"doc_id {kind}, n int, sig bigint, chunk int, sums binary"), "join-profile")
-    known = both.where("chunk is null").select("doc_id", F.col("doc_id").cast("long").alias("id"), "n", "sig")
+    both = common.spill(rows.withColumn("key", _key()).mapInArrow(profile, f"doc_id {kind}, key bigint, n int, sig bigint, chunk int, sums binary"), "join-profile")
+    known = both.where("chunk is null").select("doc_id", F.col("doc_id").cast("long").alias("id"), "key", "n", "sig")
     slots = both.where("chunk is not null").select("chunk", "sums").repartition(min(common.shuffle_width(spark), 1 << (SLOT_BITS - CHUNK_BITS)), "chunk").mapInArrow(adder, "chunk int, sums binary").collect()  # 2^SLOT_BITS sums
     counts = np.zeros(1 << SLOT_BITS, np.int64)
     for chunk, sums in slots:
         counts[chunk << CHUNK_BITS : (chunk + 1) << CHUNK_BITS] = np.frombuffer(sums, np.int64)
     rank = spark.sparkContext.broadcast(np.minimum(np.log2(counts + 1) * 1024, 65535).astype(np.uint16))
-    reps = known.where("n > 0").groupBy("sig").agg(F.min("id").alias("id")).where("id is not null")
+    reps = known.where("n > 0").groupBy("sig").agg(F.min("id").alias("id"), F.min("key").alias("key")).withColumn("key", F.when(F.col("id").isNull(), F.col("key")))
 
     posted = rows.mapInArrow(poster(rank), "gram bigint, sig bigint, n int, pos int")
     chain, group = Window.partitionBy("gram").orderBy("n", "sig"), Window.partitionBy("gram")
@@ -254,10 +274,10 @@ def classes(docs: DataFrame) -> DataFrame:
     far = promising(_pairs_of(met, "x", "y").join(tried, ["a", "b"], "left_anti"), prefixes, "join-far")
     root = stars(links.union(verify(far, reps, docs, "join-far")))
 
-    placed = common.spill(known.join(root, F.col("sig") == F.col("node"), "left").select("doc_id", "id", "n", F.coalesce("root", "sig").alias("root")), "join-placed")
-    least_id = common.spill(placed.where("n > 0").groupBy("root").agg(F.min("id").alias("component_id")), "join-ids")
+    placed = common.spill(known.join(root, F.col("sig") == F.col("node"), "left").select("doc_id", "id", "key", "n", F.coalesce("root", "sig").alias("root")), "join-placed")
+    least_id = common.spill(placed.where("n > 0").groupBy("root").agg(F.min("id").alias("component_id"), F.min("key").alias("least_key")), "join-ids")
     out = placed.join(least_id, "root", "left")
-    return out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("id")).alias("component_id"))
+    return out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("id")).alias("component_id"), "key", F.when((F.col("n") > 0) & F.col("component_id").isNull(), F.col("least_key")).alias("least_key"))
 
 
 def _still_open(live: DataFrame, root: DataFrame) -> DataFrame:
@@ -269,11 +289,21 @@ def _still_open(live: DataFrame, root: DataFrame) -> DataFrame:
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """The rows with the smallest id of each component, columns unchanged. Rows that share that id all stay."""
-    stay = classes(docs).where(F.col("component_id").isNull() | (F.col("doc_id").cast("long") == F.col("component_id"))).select("doc_id").distinct()
+    """The rows with the smallest id of each component, columns unchanged. Rows that share that id all stay.
+
+    Of a component of null ids alone one row stays; rows without words and id all stay.
+    """
+    placed = common.spill(_placed(docs), "join-keep")
+    stay = placed.where(F.col("doc_id").cast("long") == F.col("component_id")).select("doc_id").distinct()
     names = docs.columns
-    kept = docs.alias("d").join(stay.alias("s"), F.col("d.doc_id").eqNullSafe(F.col("s.doc_id")), "left_semi")
-    return kept.select(*[F.col(f"d.`{c}`") for c in names])
+    kept = docs.join(stay, "doc_id", "left_semi").select(*[docs[f"`{c}`"] for c in names])
+    nameless = placed.where("component_id is null")
+    if nameless.limit(1).count() == 0:
+        return kept
+    one = nameless.where("n_shingles > 0 and key = least_key").select("key").distinct()
+    tagged = docs.where(docs["doc_id"].cast("long").isNull()).select(F.struct(*[docs[f"`{c}`"] for c in names]).alias("row"), _key().alias("key"), F.coalesce("text", F.lit("")).rlike(r"[^\x20\x09-\x0D]").alias("worded"))
+    first = tagged.where("worded").groupBy("key").agg(F.first("row").alias("row")).join(one, "key", "left_semi")
+    return kept.unionByName(tagged.where("not worded").select("row.*")).unionByName(first.select("row.*"))
 
 
 def op6_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
