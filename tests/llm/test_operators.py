@@ -145,6 +145,16 @@ def test_decontaminate(spark):
     assert len(empty) == len(texts) and not any(x["contaminated"] for x in empty)
 
 
+def test_decontaminate_items_without_id(spark):
+    secret, known = (" ".join(f"{c}{i}" for i in range(12)) for c in "sk")
+    bench = [(None, secret), (None, "two words"), ("7", known)]
+    docs = docs_of(spark, [(1, "a " + secret + " b"), (2, "only two words"), (3, known + " " + secret), (4, "none of it")])
+    items = spark.createDataFrame(bench, "item_id string, text string")
+    for size in (decontaminate.MAX_ITEM_BYTES, 20):
+        got = {x["doc_id"]: (x["n_hit"], x["n_items"], x["contaminated"]) for x in decontaminate.digest(decontaminate.find(docs, items, max_bytes=size)).collect()}
+        assert got == {1: (12, 0, True), 2: (2, 0, True), 3: (24, 1, True), 4: (0, 0, False)}
+
+
 def test_source_mix(spark):
     r = random.Random(2)
     texts = [(i, "w " * r.randrange(0, 60)) for i in range(400)] + [(400, None), (401, "one"), (401, "one")]

@@ -6,11 +6,12 @@ automaton has two or three nodes a word instead of one a byte; a node has few br
 are word ranges, mapped back to character offsets of the original text.
 
 The patterns are broadcast and every worker process holds an automaton, so their size is checked: items beyond
-MAX_ITEM_BYTES are dealt into blocks by id and the text passes the blocks' automata one after the other. Texts are never
+MAX_ITEM_BYTES are dealt into blocks by id and text and the text passes the blocks' automata one after the other. Texts are never
 shuffled.
 
 Edge cases: null or wordless texts have no words and no hits; an item without words has no window; equal windows of
-several items hit for all of them; repeated rows are judged one by one; an empty benchmark hits nothing.
+several items hit for all of them; repeated rows are judged one by one; an empty benchmark hits nothing; the windows of an
+item with a null id hit like all others, but the list of items does not name it.
 """
 
 from __future__ import annotations
@@ -55,14 +56,16 @@ def codes_of(words) -> dict[bytes, str]:
     return out
 
 
-def patterns_of(items: list[tuple[str, str]], width: int = WINDOW) -> tuple[dict[bytes, str], list[tuple[str, int, list[str]]]]:
+def patterns_of(items: list[tuple[str | None, str]], width: int = WINDOW) -> tuple[dict[bytes, str], list[tuple[str, int, list[str]]]]:
     """(code of each item word, windows as (codes, words, ids of the items that have it))"""
     split = [(item_id, words_of((text or "").encode())) for item_id, text in items]
     codes = codes_of(dict.fromkeys(w for _, words in split for w in words))
     found: dict[str, tuple[int, set]] = {}
     for item_id, words in split:
         for w in windows_of([codes[x] for x in words], width):
-            found.setdefault("".join(w), (len(w), set()))[1].add(item_id)
+            ids = found.setdefault("".join(w), (len(w), set()))[1]
+            if item_id is not None:
+                ids.add(item_id)
     return codes, [(w, n, sorted(ids)) for w, (n, ids) in found.items()]
 
 
@@ -164,7 +167,7 @@ def find(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, max_bytes:
     from .kernels import string_views
 
     spark = docs.sparkSession
-    items = benchmark.select(F.col("item_id").cast("string").alias("item_id"), F.coalesce("text", F.lit("")).alias("text")).where("item_id is not null")
+    items = benchmark.select(F.col("item_id").cast("string").alias("item_id"), F.coalesce("text", F.lit("")).alias("text"))
     total = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     blocks = max(1, -(-int(total) // max_bytes))
     kept = [docs[c] for c in carry]
@@ -173,7 +176,7 @@ def find(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, max_bytes:
     base = ", ".join(f"`{c}` {types[c].simpleString()}" for c in carry)
     out = docs.select(*kept, docs["text"].alias("text"), F.lit(0).cast("long").alias("n_words"), F.array().cast("array<array<bigint>>").alias("ranges"), F.array().cast("array<string>").alias("items"))
     for k in range(blocks):
-        own = items.where(F.pmod(F.xxhash64("item_id"), F.lit(blocks)) == k) if blocks > 1 else items
+        own = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == k) if blocks > 1 else items
         patterns = spark.sparkContext.broadcast(patterns_of([(r[0], r[1]) for r in own.collect()], width))
         last = k == blocks - 1
         schema = f"{base}{', ' if base else ''}{'' if last else 'text string, '}n_words bigint, ranges array<array<bigint>>, items array<string>{', spans array<array<bigint>>' if last else ''}"
