@@ -11,6 +11,8 @@ from topkpaths.paths import budgeted
 from topkpaths.paths.layered import layered_paths
 from topkpaths.plans import registry
 
+from .helpers import duck, rows_of
+
 
 def best_chains(rows, k):
     """The k heaviest chains from the first layer to the last, by plain lists of the k best for each node."""
@@ -57,3 +59,11 @@ def test_budget_reads_buffers_to_the_end(spark, monkeypatch):
     r = heaviest_paths(literal(spark, edges), 5, 1, "budgeted", budget=25, block=64)
     assert not r.summary["exact"]
     assert [tuple(x["nodes"]) for x in r.paths.collect()] == [tuple(range(100, 106))]
+
+
+@pytest.mark.parametrize("name", ["j_full_whole", "g_induced_region"])
+def test_whole_tables(spark, sf, name):
+    got = rows_of(registry.queries()[name](spark, sf))
+    assert got[1] and got == duck(registry.oracles()[name], sf)
+    if name == "j_full_whole":
+        assert {r[0] is None for r in got[1]} == {r[1] is None for r in got[1]} == {True, False}

@@ -116,6 +116,8 @@ op("j_right", "select s_suppkey, count(l_orderkey) as n from (select * from line
     lambda t: t("lineitem").where("l_quantity > 49").join(t("supplier"), F.col("l_suppkey") == F.col("s_suppkey"), "right").groupBy("s_suppkey").agg(F.count("l_orderkey").alias("n")))
 op("j_full", "select a.k as x, b.k as y from (select c_custkey as k from customer where c_custkey % 2 = 0) a full join (select c_custkey as k from customer where c_custkey % 3 = 0) b on a.k = b.k")(
     lambda t: t("customer").where("c_custkey % 2 = 0").select(F.col("c_custkey").alias("x")).join(t("customer").where("c_custkey % 3 = 0").select(F.col("c_custkey").alias("y")), F.col("x") == F.col("y"), "full_outer"))
+op("j_full_whole", "select c_custkey as x, s_suppkey as y from customer full join supplier on c_custkey = s_suppkey and c_nationkey = s_nationkey")(
+    lambda t: t("customer").join(t("supplier"), (F.col("c_custkey") == F.col("s_suppkey")) & (F.col("c_nationkey") == F.col("s_nationkey")), "full_outer").select(F.col("c_custkey").alias("x"), F.col("s_suppkey").alias("y")))
 
 
 @op("j_cross_missing", "select a.n_nationkey as a, b.n_nationkey as b from nation a, nation b where a.n_nationkey < b.n_nationkey and not exists (select 1 from customer join orders on o_custkey = c_custkey join lineitem on l_orderkey = o_orderkey join supplier on l_suppkey = s_suppkey where l_quantity > 48 and c_nationkey = a.n_nationkey and s_nationkey = b.n_nationkey)")
