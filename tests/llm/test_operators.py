@@ -56,8 +56,54 @@ def test_substring_dedup(spark):
     assert got == brute_rlz(texts)
     kept = {r["doc_id"]: r["kept_text"] for r in substring_rlz.dedup(docs_of(spark, texts[:8]), with_text=True).collect()}
     assert kept[5] == "a b c d" and kept[6] == "" and kept[0] == ""
-    for r in substring_rlz.factors(docs_of(spark, texts)).collect():
-        assert r["n_words"] >= substring_rlz.WINDOW
+
+
+def brute_parse(keys, texts, window=35):
+    """Greedy factors against each window's first place, in the order of row keys."""
+    rows = [[w for w in __import__("re").split(r"[\x20\x09-\x0D]+", t or "") if w] for _, t in texts]
+    places = defaultdict(set)
+    for key, w in zip(keys, rows):
+        for p in range(len(w) - window + 1):
+            places[tuple(w[p : p + window])].add((*key, p))
+    many = Counter(tuple(w[p : p + window]) for w in rows for p in range(len(w) - window + 1))
+    out = []
+    for (i, _), key, w in zip(texts, keys, rows):
+        ref = [min(places[x]) if many[x] > 1 else None for x in (tuple(w[p : p + window]) for p in range(len(w) - window + 1))]
+        p = 0
+        while p < len(ref):
+            if ref[p] is None:
+                p += 1
+                continue
+            q = p
+            while q + 1 < len(ref) and ref[q + 1] == (*ref[q][:2], ref[q][2] + 1):
+                q += 1
+            out.append((i, key[0], p, q - p + window, ref[p][0], ref[p][2]))
+            p = q + window
+    return sorted(out, key=repr)
+
+
+def test_factors_are_the_greedy_parse(spark):
+    """Copies of copies, passages with other neighbours, a passage cut by another, self-overlap."""
+    r = random.Random(9)
+    fresh = lambda n: [f"v{r.randrange(10**6)}" for _ in range(n)]
+    a, b, c = fresh(80), fresh(70), fresh(90)
+    made = [a + b, fresh(20) + b + c + fresh(9), fresh(5) + a + b + c, a[20:] + b[:50], fresh(40) + c[30:] + a[:50], ["to", "be"] * 60, a[:60] + fresh(1) + a[25:] + ["to", "be"] * 30]
+    texts = [(i, " ".join(w)) for i, w in enumerate(made)] + [(3, " ".join(made[2])), (None, " ".join(c)), (None, " ".join(b + a)), (50, ""), (51, None)]
+    for repeat in range(3):
+        texts.append((60 + repeat, " ".join(sum((r.choice([a, b, c, fresh(30)])[r.randrange(20) : 30 + r.randrange(60)] for _ in range(6)), []))))
+    docs = docs_of(spark, texts)
+    key = {(x["doc_id"], x["text"]): (x["kid"], x["th"]) for x in substring_rlz.keyed(docs).collect()}
+    want = brute_parse([key[i, t or ""] for i, t in texts], texts)
+    assert sorted((tuple(x) for x in substring_rlz.factors(docs).collect()), key=repr) == want
+    assert any(x[1] != x[4] for x in want) and any(x[3] >= 150 for x in want)
+    assert sorted((tuple(x) for x in substring_rlz.dedup(docs).collect()), key=repr) == brute_rlz(texts)
+
+
+def test_substring_dedup_of_named_documents(spark):
+    """Ids may be texts."""
+    texts = [(None if i is None else f"d{i}", t) for i, t in awkward()]
+    docs = spark.createDataFrame(texts, "doc_id string, text string")
+    assert sorted((tuple(r) for r in substring_rlz.dedup(docs).collect()), key=repr) == brute_rlz(texts)
 
 
 def brute_join(texts):

@@ -8,6 +8,7 @@ import zlib
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegralType
 
 #: ASCII white space; words are runs of anything else.
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
@@ -18,11 +19,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none."""
+    """The folder that driver and executors share; a temporary one only where the session names none and runs on one machine."""
     found = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         found = spark.sparkContext.getCheckpointDir()
     if not found:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         found = tempfile.mkdtemp(prefix="topkpaths-")
         spark.sparkContext.setCheckpointDir(found)
         found = spark.sparkContext.getCheckpointDir()
@@ -38,13 +42,31 @@ def spill(df: DataFrame, tag: str) -> DataFrame:
     spark = df.sparkSession
     path = fresh_path(spark, tag)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.spilled_to = path
+    return out
+
+
+def release(*tables: DataFrame) -> None:
+    """Deletes spilled tables that nothing reads any more; other tables are left alone."""
+    for t in tables:
+        path = getattr(t, "spilled_to", None)
+        if path:
+            hadoop = t.sparkSession._jvm.org.apache.hadoop.fs.Path(path)
+            hadoop.getFileSystem(t.sparkSession._jsc.hadoopConfiguration()).delete(hadoop, True)
 
 
 def shuffle_width(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
+def number_of_id(df: DataFrame, name: str = "doc_id") -> Column:
+    """The id as a long: itself if it is an integer, else a hash of its text; null stays null."""
+    if isinstance(df.schema[name].dataType, IntegralType):
+        return F.col(name).cast("long")
+    return F.when(F.col(name).isNotNull(), F.xxhash64(F.col(name).cast("string")))
+
+
 def crc_of_id(name: str = "doc_id") -> Column:
     """crc32 of the id as text; a null id counts as an empty text."""
     return F.crc32(F.coalesce(F.col(name).cast("string"), F.lit("")).cast("binary"))
