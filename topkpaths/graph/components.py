@@ -61,7 +61,8 @@ def components(edges: DataFrame, keep: Callable[[DataFrame], DataFrame]) -> Data
         n = e.count()
         if n == 0:
             break
-        e = keep(e.coalesce(-(-n // CONTRACT_EDGES)).mapInArrow(_contractor(), "u bigint, v bigint"))
+        parts = -(-n // CONTRACT_EDGES)
+        e = keep((e.coalesce(1) if parts == 1 else e.repartition(parts)).mapInArrow(_contractor(), "u bigint, v bigint"))
         if n <= CONTRACT_EDGES:
             break  # one task has seen every edge
         loose = e.alias("x").join(e.alias("y"), F.col("x.v") == F.col("y.u"), "left_semi").limit(1).count() + e.groupBy("u").count().where("count > 1").limit(1).count()
