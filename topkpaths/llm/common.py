@@ -56,6 +56,21 @@ def release(*tables: DataFrame) -> None:
             hadoop.getFileSystem(t.sparkSession._jsc.hadoopConfiguration()).delete(hadoop, True)
 
 
+class Scratch:
+    """Spilled tables of one run, deleted together once its last table is written."""
+
+    def __init__(self):
+        self.tables: list[DataFrame] = []
+
+    def spill(self, df: DataFrame, tag: str) -> DataFrame:
+        self.tables.append(spill(df, tag))
+        return self.tables[-1]
+
+    def clear(self) -> None:
+        release(*self.tables)
+        self.tables = []
+
+
 def shuffle_width(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 

@@ -12,18 +12,22 @@ near copies that is a text close to all others. Both rounds make a number of pai
 family, however large, falls together. The last round compares what is left: classes of different components that
 share a posted gram.
 Filters before a pair's texts are read: sizes within 0.75; the places of the shared gram leave room for the grams needed,
-a = ceil(3 (n + m) / 7); and, as suffix filter, a count: a linked pair's posted prefixes share at least
-min(a - n + p) grams over both sides, p grams being posted, so the two short prefixes are intersected first.
+a = ceil(3 (n + m) / 7); a count: a linked pair's posted prefixes share at least min(a - n + p) grams over both sides, p
+grams being posted, so the two short prefixes are intersected first; and the suffix filter: pivots split both sets again and
+again, and two sets share at most the sum over the last parts of the smaller part. The pivots are the quantiles of the grams' hashes,
+the same for all sets, so a set is split once and not once a pair; the depth follows the set's size (some two to four
+grams a part) up to MAX_DEPTH, and of two sets the finer parts are merged.
 Every pair is verified once, on its texts' whole sets. Links within one component add nothing to the answer.
 
 Hot keys: a family's postings spread over its prefix grams, frequent grams stand last and are rarely posted; class and
 component joins are equi-joins over pre-aggregated sides.
 
-Edge cases: null, empty and wordless texts have no grams and link with nothing; with one to four words the whole
+Edge cases: ids may be of any type that has an order; null, empty and wordless texts have no grams and link with nothing; with one to four words the whole
 sequence is the one gram; equal rows are one class; rows with a null id take part (a set that only they hold is found again
 by a hash of its text), and a component of null ids alone has a null id, of which `keep_one` keeps one row; an empty table
-gives no rows; extra columns are ignored (`classes`) or kept (`keep_one`).
-Grams are compared by 64-bit hashes, classes by set size and 64 bits.
+gives no rows; extra columns are ignored (`classes`) or kept (`keep_one`); a very long text is one slice of its own.
+Grams are compared by 64-bit hashes. A class is named by 64 bits; where two sets share a name, which 128 bits tell, both get the other
+half's name before anything is joined.
 """
 
 from __future__ import annotations
@@ -43,8 +47,10 @@ common.by_value(__name__)
 GRAM = 5
 #: Slots of the count table (2^18 32-bit sums are 1 MB for every executor), in chunks of 2^12.
 SLOT_BITS, CHUNK_BITS = 18, 12
-#: Most ids that are broadcast (8 bytes each); more are joined by a shuffle.
-BROADCAST_IDS = 1_000_000
+#: Most bytes of ids (as text) that are broadcast; more are joined by a shuffle.
+BROADCAST_BYTES = 16_000_000
+#: The suffix filter splits a set at most so many times in two; bits of a class's first name.
+MAX_DEPTH, NAME_BITS = 9, 64
 #: Lists of at least so many classes get rounds of checks against their hub before all that is left is compared.
 HUB_LIST, HUB_ROUNDS = 12, 1
 _SALT = 0x5851F42D4C957F2D
@@ -68,15 +74,27 @@ def sets_of(data: np.ndarray, offsets: np.ndarray, tables: dict) -> tuple[np.nda
     return doc[new], grams[new]
 
 
-def signatures(doc: np.ndarray, grams: np.ndarray, n_docs: int) -> tuple[np.ndarray, np.ndarray]:
-    """(set size, 64-bit sum that names the set)"""
+def signatures(doc: np.ndarray, grams: np.ndarray, n_docs: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(set size, 64-bit sum that names the set, another name from both that sum and a second one)"""
     size = np.bincount(doc, minlength=n_docs)
-    sums = np.zeros(n_docs, np.uint64)
+    sums, other = np.zeros(n_docs, np.uint64), np.zeros(n_docs, np.uint64)
     has = np.flatnonzero(size)
     if len(has):
         first = np.concatenate(([0], np.cumsum(size[has])[:-1]))
-        sums[has] = mixed(np.add.reduceat(mixed(grams ^ np.uint64(_SALT)), first) + size[has].astype(np.uint64))
-    return size, sums
+        one = np.add.reduceat(mixed(grams ^ np.uint64(_SALT)), first) + size[has].astype(np.uint64)
+        two = np.add.reduceat(mixed(grams + np.uint64(_SALT)), first)
+        sums[has], other[has] = mixed(one) >> np.uint64(64 - NAME_BITS), mixed(one ^ mixed(two))
+    return size, sums, other
+
+
+def shapes(doc: np.ndarray, grams: np.ndarray, size: np.ndarray) -> pa.ListArray:
+    """How many grams of each document fall between neighbouring pivots."""
+    depth = np.clip(np.frexp(size)[1] - 2, 0, MAX_DEPTH).astype(np.int64)
+    parts = np.where(size > 0, np.int64(1) << depth, 0)
+    ends = np.concatenate(([0], np.cumsum(parts)))
+    part = ((grams >> np.uint64(1)) >> (63 - depth[doc]).astype(np.uint64)).astype(np.int64)
+    counts = np.bincount(ends[doc] + part, minlength=ends[-1]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(counts))
 
 
 def slot_of(grams: np.ndarray) -> np.ndarray:
@@ -87,7 +105,7 @@ def profile(batches):
     """A row a document, and at the end the task's counts by slot."""
     tables: dict = {}
     counts = np.zeros(1 << SLOT_BITS, np.int64)
-    names = ["doc_id", "key", "n", "sig", "chunk", "sums"]
+    names = ["doc_id", "key", "n", "sig", "other", "shape", "chunk", "sums"]
     kind = None
     for batch in batches:
         kind = batch.column("doc_id").type
@@ -95,12 +113,12 @@ def profile(batches):
         for lo, hi in slices(offs):
             doc, grams = sets_of(data, offs[lo : hi + 1], tables)
             counts += np.bincount(slot_of(grams), minlength=1 << SLOT_BITS)
-            size, sig = signatures(doc, grams, hi - lo)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(lo, hi - lo), batch.column("key").slice(lo, hi - lo), pa.array(size.astype(np.int32)), pa.array(signed(sig)), pa.nulls(hi - lo, pa.int32()), pa.nulls(hi - lo, pa.binary())], names=names)
+            size, sig, other = signatures(doc, grams, hi - lo)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(lo, hi - lo), batch.column("key").slice(lo, hi - lo), pa.array(size.astype(np.int32)), pa.array(signed(sig)), pa.array(signed(other)), shapes(doc, grams, size), pa.nulls(hi - lo, pa.int32()), pa.nulls(hi - lo, pa.binary())], names=names)
     if kind is not None and counts.any():
         k = 1 << (SLOT_BITS - CHUNK_BITS)
         blobs = [c.tobytes() for c in counts.reshape(k, -1)]
-        yield pa.RecordBatch.from_arrays([pa.nulls(k, kind), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int32()), pa.nulls(k, pa.int64()), pa.array(range(k), pa.int32()), pa.array(blobs, pa.binary())], names=names)
+        yield pa.RecordBatch.from_arrays([pa.nulls(k, kind), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int32()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.list_(pa.int32())), pa.array(range(k), pa.int32()), pa.array(blobs, pa.binary())], names=names)
 
 
 def adder(batches):
@@ -116,7 +134,9 @@ def prefix_size(n):
     return n - (3 * n + 3) // 4 + 1
 
 
-def poster(ranks):
+def poster(ranks, with_other: bool):
+    """A row for each gram of the prefix of each set, each set once a task."""
+
     def run(batches):
         tables: dict = {}
         seen: set = set()
@@ -125,8 +145,8 @@ def poster(ranks):
             data, offs = string_views(batch.column("text"))
             for lo, hi in slices(offs):
                 doc, grams = sets_of(data, offs[lo : hi + 1], tables)
-                size, sig = signatures(doc, grams, hi - lo)
-                names = sig.tolist()
+                size, sig, other = signatures(doc, grams, hi - lo)
+                names = other.tolist()
                 fresh = np.zeros(hi - lo, bool)
                 for i in np.flatnonzero(size).tolist():
                     if names[i] not in seen:
@@ -140,7 +160,9 @@ def poster(ranks):
                 pos = np.arange(len(doc)) - first
                 posted = pos < prefix_size(size[doc])
                 doc, grams, pos = doc[posted], grams[posted], pos[posted]
-                yield pa.RecordBatch.from_arrays([pa.array(signed(grams)), pa.array(signed(sig[doc])), pa.array(size[doc].astype(np.int32)), pa.array(pos.astype(np.int32))], names=["gram", "sig", "n", "pos"])
+                cols = [pa.array(signed(grams)), pa.array(signed(sig[doc])), pa.array(size[doc].astype(np.int32)), pa.array(pos.astype(np.int32))]
+                cols += [pa.array(signed(other[doc]))] * with_other
+                yield pa.RecordBatch.from_arrays(cols, names=["gram", "sig", "n", "pos", *["other"] * with_other])
 
     return run
 
@@ -157,13 +179,14 @@ def verifier(batches):
         for lo, hi in slices(both):
             da, ga = sets_of(a, ao[lo : hi + 1], tables)
             db, gb = sets_of(b, bo[lo : hi + 1], tables)
-            (na, sa), (nb, sb) = signatures(da, ga, hi - lo), signatures(db, gb, hi - lo)
+            (na, *sa), (nb, *sb) = signatures(da, ga, hi - lo), signatures(db, gb, hi - lo)
+            named = [np.logical_or(*(signed(x) == want[lo:hi] for x in s)) for s, want in ((sa, want_a), (sb, want_b))]
             doc, grams = np.concatenate((da, db)), np.concatenate((ga, gb))
             order = np.lexsort((grams, doc))
             doc, grams = doc[order], grams[order]
             twice = (doc[1:] == doc[:-1]) & (grams[1:] == grams[:-1])
             shared = np.bincount(doc[1:][twice], minlength=hi - lo)
-            good[lo:hi] = (100 * shared >= 75 * (na + nb - shared)) & (shared > 0) & (signed(sa) == want_a[lo:hi]) & (signed(sb) == want_b[lo:hi])
+            good[lo:hi] = (100 * shared >= 75 * (na + nb - shared)) & (shared > 0) & named[0] & named[1]
         take = pa.array(np.flatnonzero(good))
         yield pa.RecordBatch.from_arrays([batch.column("a").take(take), batch.column("b").take(take)], names=["a", "b"])
 
@@ -184,36 +207,44 @@ def _length_fits(x: str, y: str):
 
 def _key():
     """What tells rows with a null id apart: a hash of the text; null for all other rows."""
-    return F.when(F.col("doc_id").cast("long").isNull(), F.xxhash64(F.coalesce("text", F.lit(""))))
+    return F.when(F.col("doc_id").isNull(), F.xxhash64(F.coalesce("text", F.lit(""))))
 
 
-def verify(pairs: DataFrame, reps: DataFrame, docs: DataFrame, tag: str) -> DataFrame:
+def verify(pairs: DataFrame, reps: DataFrame, docs: DataFrame, tables: common.Scratch, tag: str) -> DataFrame:
     """(a, b) of the pairs that link; pairs: a, b (set names); reps: sig -> id of a row with that set, or its key if none has one."""
     sigs = pairs.select(F.col("a").alias("sig")).union(pairs.select(F.col("b").alias("sig"))).distinct()
-    need = common.spill(sigs.join(reps, "sig").select("sig", F.col("id").alias("rep_id"), F.col("key").alias("rep_key")), f"{tag}-need")
-    few = lambda df, n: F.broadcast(df) if n <= BROADCAST_IDS else df
-    n, n_keys = need.agg(F.count("rep_id"), F.count("rep_key")).first()
+    need = tables.spill(sigs.join(reps.select("sig", "id", "key"), "sig").select("sig", F.col("id").alias("rep_id"), F.col("key").alias("rep_key")), f"{tag}-need")
+    few = lambda df, n: F.broadcast(df) if n <= BROADCAST_BYTES else df
+    n, n_keys = need.agg(F.sum(F.octet_length(F.col("rep_id").cast("string")) + 8), F.count("rep_key") * 16).first()
     rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
-    ids = few(need.where("rep_id is not null").select("sig", "rep_id"), n)
-    texts = rows.join(ids, F.col("doc_id").cast("long") == F.col("rep_id")).select("sig", "text")
+    ids = few(need.where("rep_id is not null").select("sig", "rep_id"), n or 0)
+    texts = rows.join(ids, F.col("doc_id") == F.col("rep_id")).select("sig", "text")
     if n_keys:  # copies of a text have one key, so one of them is taken
         keys = few(need.where("rep_key is not null").select("sig", "rep_key"), n_keys)
-        nameless = rows.where(F.col("doc_id").cast("long").isNull()).select(_key().alias("key"), "text")
-        if n_keys > BROADCAST_IDS:
+        nameless = rows.where("doc_id is null").select(_key().alias("key"), "text")
+        if n_keys > BROADCAST_BYTES:
             nameless = nameless.groupBy("key").agg(F.first("text").alias("text"))
         texts = texts.union(nameless.join(keys, F.col("key") == F.col("rep_key")).groupBy("sig").agg(F.first("text").alias("text")))
     left = pairs.join(texts.select(F.col("sig").alias("a"), F.col("text").alias("text_a")), "a")
     full = left.join(texts.select(F.col("sig").alias("b"), F.col("text").alias("text_b")), "b").select("a", "b", "text_a", "text_b")
-    return common.spill(full.mapInArrow(verifier, "a bigint, b bigint").distinct(), f"{tag}-links")
+    return tables.spill(full.mapInArrow(verifier, "a bigint, b bigint").distinct(), f"{tag}-links")
+
+
+def _most_shared(a: str, b: str):
+    """Grams that two sets can share at most by their parts; the finer of the two is merged to the other's parts."""
+    merged = lambda x: F.transform(F.sequence(F.lit(1), (F.size(x) / 2).cast("int")), lambda i: F.element_at(x, 2 * i - 1) + F.element_at(x, 2 * i))
+    fit = lambda x, y: F.when(F.size(x) > F.size(y), merged(F.col(x))).otherwise(F.col(x))
+    return F.aggregate(F.zip_with(fit(a, b), fit(b, a), lambda x, y: F.least(x, y)), F.lit(0), lambda s, x: s + x)
 
 
-def promising(pairs: DataFrame, prefixes: DataFrame, tag: str) -> DataFrame:
-    """(a, b) of the pairs whose posted prefixes share enough grams; prefixes: sig, n, grams."""
-    side = lambda s: prefixes.select(F.col("sig").alias(s), F.col("n").alias(f"{s}n"), F.col("grams").alias(f"{s}g"))
+def promising(pairs: DataFrame, prefixes: DataFrame, tables: common.Scratch, tag: str) -> DataFrame:
+    """(a, b) of the pairs that the prefix count and the suffix filter leave; prefixes: sig, n, grams, shape."""
+    side = lambda s: prefixes.select(F.col("sig").alias(s), F.col("n").alias(f"{s}n"), F.col("grams").alias(f"{s}g"), F.col("shape").alias(f"{s}s"))
     posted = lambda s: F.col(f"{s}n") - F.floor((3 * F.col(f"{s}n") + 3) / 4) + 1
     least = F.greatest(F.lit(1), F.least(*[_needed("a", "b") - F.col(f"{s}n") + posted(s) for s in "ab"]))
     both = pairs.join(side("a"), "a").join(side("b"), "b")
-    return common.spill(both.where(F.size(F.array_intersect("ag", "bg")) >= least).select("a", "b"), tag)
+    fits = (F.size(F.array_intersect("ag", "bg")) >= least) & (_most_shared("as", "bs") >= _needed("a", "b"))
+    return tables.spill(both.where(fits).select("a", "b"), tag)
 
 
 def _pairs_of(joined: DataFrame, x: str, y: str) -> DataFrame:
@@ -225,67 +256,89 @@ def classes(docs: DataFrame) -> DataFrame:
     return _placed(docs).drop("least_key", "key")
 
 
+def _named(rows: DataFrame, shared_names: DataFrame | None) -> DataFrame:
+    """Sets that share a name get their other one."""
+    if shared_names is None:
+        return rows
+    hit = rows.join(shared_names.select("sig", F.lit(True).alias("hit")), "sig", "left")
+    return hit.withColumn("sig", F.when(F.col("hit"), F.col("other")).otherwise(F.col("sig"))).drop("hit", "other")
+
+
 def _placed(docs: DataFrame) -> DataFrame:
     """(doc_id, n_shingles, component_id, key, least_key) for every row; least_key: of a component of null ids alone, else null."""
-    spark = docs.sparkSession
+    spark, tables = docs.sparkSession, common.Scratch()
     rows = docs.select("doc_id", "text")
     kind = rows.schema["doc_id"].dataType.simpleString()
-    both = common.spill(rows.withColumn("key", _key()).mapInArrow(profile, f"doc_id {kind}, key bigint, n int, sig bigint, chunk int, sums binary"), "join-profile")
-    known = both.where("chunk is null").select("doc_id", F.col("doc_id").cast("long").alias("id"), "key", "n", "sig")
+    both = tables.spill(rows.withColumn("key", _key()).mapInArrow(profile, f"doc_id {kind}, key bigint, n int, sig bigint, other bigint, shape array<int>, chunk int, sums binary"), "join-profile")
+    known = both.where("chunk is null").select("doc_id", "key", "n", "sig", "other", "shape")
     slots = both.where("chunk is not null").select("chunk", "sums").repartition(min(common.shuffle_width(spark), 1 << (SLOT_BITS - CHUNK_BITS)), "chunk").mapInArrow(adder, "chunk int, sums binary").collect()  # 2^SLOT_BITS sums
     counts = np.zeros(1 << SLOT_BITS, np.int64)
     for chunk, sums in slots:
         counts[chunk << CHUNK_BITS : (chunk + 1) << CHUNK_BITS] = np.frombuffer(sums, np.int64)
     rank = spark.sparkContext.broadcast(np.minimum(np.log2(counts + 1) * 1024, 65535).astype(np.uint16))
-    reps = known.where("n > 0").groupBy("sig").agg(F.min("id").alias("id"), F.min("key").alias("key")).withColumn("key", F.when(F.col("id").isNull(), F.col("key")))
 
-    posted = rows.mapInArrow(poster(rank), "gram bigint, sig bigint, n int, pos int")
+    def named_by(sets: DataFrame) -> DataFrame:
+        return tables.spill(sets.where("n > 0").groupBy("sig").agg(F.min("doc_id").alias("id"), F.min("key").alias("key"), F.min("other").alias("low"), F.max("other").alias("high"), F.first("shape").alias("shape")), "join-reps")
+
+    reps = named_by(known)
+    shared_names = tables.spill(reps.where("low <> high").select("sig"), "join-names")
+    if shared_names.limit(1).count():
+        known = tables.spill(_named(known, shared_names).withColumn("other", F.col("sig")), "join-known")
+        reps = named_by(known)
+    else:
+        shared_names = None
+    reps = reps.select("sig", "id", F.when(F.col("id").isNull(), F.col("key")).alias("key"), "shape")
+
+    more = shared_names is not None
+    posted = _named(rows.mapInArrow(poster(rank, more), f"gram bigint, sig bigint, n int, pos int{', other bigint' if more else ''}"), shared_names)
     chain, group = Window.partitionBy("gram").orderBy("n", "sig"), Window.partitionBy("gram")
     live = posted.select("*", F.lag(F.struct("sig", "n", "pos")).over(chain).alias("p"), (F.min("sig").over(group) != F.max("sig").over(group)).alias("shared")).where("shared").drop("shared")
     live = live.where(F.col("p").isNull() | (F.col("p.sig") != F.col("sig")))
-    live = common.spill(live.select("gram", "sig", "n", "pos", F.col("p.sig").alias("psig"), F.col("p.n").alias("pn"), F.col("p.pos").alias("ppos")), "join-live")
-    prefixes = common.spill(live.groupBy("sig").agg(F.first("n").alias("n"), F.collect_list("gram").alias("grams")), "join-prefixes")
-    stars = lambda links: components(links, lambda df: common.spill(df, "join-stars"))
+    live = tables.spill(live.select("gram", "sig", "n", "pos", F.col("p.sig").alias("psig"), F.col("p.n").alias("pn"), F.col("p.pos").alias("ppos")), "join-live")
+    prefixes = live.groupBy("sig").agg(F.first("n").alias("n"), F.collect_list("gram").alias("grams"))
+    prefixes = tables.spill(prefixes.join(reps.select("sig", "shape"), "sig"), "join-prefixes")
+    stars = lambda links: components(links, lambda df: tables.spill(df, "join-stars"))
 
     # neighbours in the order of set size
     near = _pairs_of(live.where(F.col("psig").isNotNull() & _length_fits("", "p") & (_room("", "p") >= _needed("", "p"))), "", "p")
-    tried = promising(near, prefixes, "join-near")
-    links = verify(tried, reps, docs, "join-near")
+    tried = promising(near, prefixes, tables, "join-near")
+    links = verify(tried, reps, docs, tables, "join-near")
     root = stars(links)
 
     # long lists: each class with the list's hub, the class whose grams are the most shared
     for turn in range(HUB_ROUNDS):
-        open_ = _still_open(live, root)
+        open_ = _still_open(live, root, tables)
         size = open_.groupBy("gram").agg(F.count("*").alias("c")).where(F.col("c") >= HUB_LIST)
-        long_ = common.spill(open_.join(common.spill(size, "join-sizes"), "gram"), "join-long")
+        long_ = tables.spill(open_.join(tables.spill(size, "join-sizes"), "gram"), "join-long")
         weight = long_.groupBy("sig").agg(F.sum("c").alias("weight"))
         hub = long_.join(weight, "sig").groupBy("gram").agg(F.max(F.struct("weight", "sig", "n", "pos", "root")).alias("h"))
-        hub = common.spill(hub.select("gram", F.col("h.sig").alias("hsig"), F.col("h.n").alias("hn"), F.col("h.pos").alias("hpos"), F.col("h.root").alias("hroot")), "join-hubs")
+        hub = tables.spill(hub.select("gram", F.col("h.sig").alias("hsig"), F.col("h.n").alias("hn"), F.col("h.pos").alias("hpos"), F.col("h.root").alias("hroot")), "join-hubs")
         met = long_.join(hub, "gram").where((F.col("root") != F.col("hroot")) & _length_fits("", "h"))
-        fresh = promising(_pairs_of(met, "", "h").join(tried, ["a", "b"], "left_anti"), prefixes, "join-hub")
+        fresh = promising(_pairs_of(met, "", "h").join(tried, ["a", "b"], "left_anti"), prefixes, tables, "join-hub")
         tried = tried.union(fresh)
-        links = links.union(verify(fresh, reps, docs, "join-hub"))
+        links = links.union(verify(fresh, reps, docs, tables, "join-hub"))
         root = stars(links)
 
     # what is left: classes of different components that can share their first gram in this list
-    open_ = _still_open(live, root)
+    open_ = _still_open(live, root, tables)
     side = lambda s: open_.select("gram", *[F.col(c).alias(s + c) for c in ("sig", "n", "pos", "root")])
     met = side("x").join(side("y"), "gram").where((F.col("xsig") < F.col("ysig")) & (F.col("xroot") != F.col("yroot")) & _length_fits("x", "y") & (_room("x", "y") >= _needed("x", "y")))
-    far = promising(_pairs_of(met, "x", "y").join(tried, ["a", "b"], "left_anti"), prefixes, "join-far")
-    root = stars(links.union(verify(far, reps, docs, "join-far")))
+    far = promising(_pairs_of(met, "x", "y").join(tried, ["a", "b"], "left_anti"), prefixes, tables, "join-far")
+    root = stars(links.union(verify(far, reps, docs, tables, "join-far")))
 
-    placed = common.spill(known.join(root, F.col("sig") == F.col("node"), "left").select("doc_id", "id", "key", "n", F.coalesce("root", "sig").alias("root")), "join-placed")
-    least_id = common.spill(placed.where("n > 0").groupBy("root").agg(F.min("id").alias("component_id"), F.min("key").alias("least_key")), "join-ids")
+    placed = common.spill(known.join(root, F.col("sig") == F.col("node"), "left").select("doc_id", "key", "n", F.coalesce("root", "sig").alias("root")), "join-placed")
+    least_id = common.spill(placed.where("n > 0").groupBy("root").agg(F.min("doc_id").alias("component_id"), F.min("key").alias("least_key")), "join-ids")
+    tables.clear()
     out = placed.join(least_id, "root", "left")
-    return out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("id")).alias("component_id"), "key", F.when((F.col("n") > 0) & F.col("component_id").isNull(), F.col("least_key")).alias("least_key"))
+    return out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"), "key", F.when((F.col("n") > 0) & F.col("component_id").isNull(), F.col("least_key")).alias("least_key"))
 
 
-def _still_open(live: DataFrame, root: DataFrame) -> DataFrame:
+def _still_open(live: DataFrame, root: DataFrame, tables: common.Scratch) -> DataFrame:
     """The posting lists in which more than one component is left: gram, sig, n, pos, root."""
     named = live.select("gram", "sig", "n", "pos").join(root, F.col("sig") == F.col("node"), "left").select("gram", "sig", "n", "pos", F.coalesce("root", "sig").alias("root"))
-    named = common.spill(named, "join-named")
+    named = tables.spill(named, "join-named")
     several = named.groupBy("gram").agg((F.min("root") != F.max("root")).alias("several")).where("several").select("gram")
-    return common.spill(named.join(common.spill(several, "join-several"), "gram", "left_semi"), "join-open")
+    return tables.spill(named.join(tables.spill(several, "join-several"), "gram", "left_semi"), "join-open")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
@@ -294,14 +347,14 @@ def keep_one(docs: DataFrame) -> DataFrame:
     Of a component of null ids alone one row stays; rows without words and id all stay.
     """
     placed = common.spill(_placed(docs), "join-keep")
-    stay = placed.where(F.col("doc_id").cast("long") == F.col("component_id")).select("doc_id").distinct()
+    stay = placed.where(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
     names = docs.columns
     kept = docs.join(stay, "doc_id", "left_semi").select(*[docs[f"`{c}`"] for c in names])
     nameless = placed.where("component_id is null")
     if nameless.limit(1).count() == 0:
         return kept
     one = nameless.where("n_shingles > 0 and key = least_key").select("key").distinct()
-    tagged = docs.where(docs["doc_id"].cast("long").isNull()).select(F.struct(*[docs[f"`{c}`"] for c in names]).alias("row"), _key().alias("key"), F.coalesce("text", F.lit("")).rlike(r"[^\x20\x09-\x0D]").alias("worded"))
+    tagged = docs.where(docs["doc_id"].isNull()).select(F.struct(*[docs[f"`{c}`"] for c in names]).alias("row"), _key().alias("key"), F.coalesce("text", F.lit("")).rlike(r"[^\x20\x09-\x0D]").alias("worded"))
     first = tagged.where("worded").groupBy("key").agg(F.first("row").alias("row")).join(one, "key", "left_semi")
     return kept.unionByName(tagged.where("not worded").select("row.*")).unionByName(first.select("row.*"))
 
