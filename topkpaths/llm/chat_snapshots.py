@@ -4,11 +4,12 @@ A chat log often holds every state of a conversation. Each turn's fingerprint co
 sum of fingerprints gives every prefix of every conversation a (turns, lanes) key. A conversation whose full key is also
 a proper prefix of another goes; of conversations with the same full key the smallest id stays. Keys are compared after
 pre-aggregation, so a first turn shared by a third of all logs is one row a task. Running sums are made in two levels
-(inside stretches of turn numbers, then over stretches), so a single huge conversation is spread too.
+(inside stretches of turn numbers, then over stretches), so a single huge conversation is spread too. It is rendered in
+stretches as well: one row for each STRETCH turn numbers, whose texts joined in the order of `chunk` are the whole chat.
 
 Edge cases: null role or text counts as empty; equal turns of one conversation count each time; turns with one number form
-one step; a null conv_id is one conversation of its own; turns are compared by their logged numbers, counted from the
-conversation's first; an empty table gives no rows; extra columns are ignored.
+one step and stand in the order of their rendered text; a null turn counts as 0; a null conv_id is one conversation of its own; turns are compared by their logged numbers, counted from the
+conversation's first; an empty table gives no rows; extra columns are ignored; a very long text is one turn like any other.
 """
 
 from __future__ import annotations
@@ -57,10 +58,11 @@ def maximal(turns: DataFrame) -> DataFrame:
 
 
 def render(turns: DataFrame, kept: DataFrame) -> DataFrame:
-    """(conv_id, n_turns, chat): each turn as a role line and its text, in turn order."""
+    """(conv_id, n_turns, chunk, chat): each turn as a role line and its text, in turn order, a row for each stretch of turn numbers."""
     piece = F.concat(F.lit("<|"), F.coalesce("t.role", F.lit("")), F.lit("|>\n"), F.coalesce("t.text", F.lit("")), F.lit("\n"))
-    rows = turns.alias("t").join(kept.alias("k"), F.col("t.conv_id").eqNullSafe(F.col("k.conv_id"))).select("t.conv_id", "k.n_turns", F.struct(F.col("t.turn").alias("turn"), piece.alias("piece")).alias("x"))
-    return rows.groupBy("conv_id", "n_turns").agg(F.array_sort(F.collect_list("x")).alias("x")).select("conv_id", "n_turns", F.array_join(F.col("x.piece"), "").alias("chat"))
+    turn = F.coalesce("t.turn", F.lit(0)).cast("long")
+    rows = turns.alias("t").join(kept.alias("k"), F.col("t.conv_id").eqNullSafe(F.col("k.conv_id"))).select("t.conv_id", "k.n_turns", F.floor(turn / STRETCH).alias("chunk"), F.struct(turn.alias("turn"), piece.alias("piece")).alias("x"))
+    return rows.groupBy("conv_id", "n_turns", "chunk").agg(F.array_sort(F.collect_list("x")).alias("x")).select("conv_id", "n_turns", "chunk", F.array_join(F.col("x.piece"), "").alias("chat"))
 
 
 def op5_chat_snapshots(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -75,6 +77,6 @@ p as (select conv_id, step, count(*) over w as n, md5(string_agg(step::varchar |
 f as (select conv_id, max(n) as n, arg_max(k, n) as k from p group by conv_id),
 stay as (select n, k, min(conv_id) as conv_id from f group by n, k),
 m as (select conv_id, n from stay s where not exists (select 1 from p join f on p.conv_id = f.conv_id where p.n < f.n and p.n = s.n and p.k = s.k))
-select m.conv_id, m.n::bigint as n_turns, string_agg('<|' || role || '|>' || chr(10) || text || chr(10), '' order by turn, '<|' || role || '|>' || chr(10) || text) as chat
-from m join t on t.conv_id = m.conv_id group by m.conv_id, m.n
+select m.conv_id, m.n::bigint as n_turns, floor(turn / 512)::bigint as chunk, string_agg('<|' || role || '|>' || chr(10) || text || chr(10), '' order by turn, '<|' || role || '|>' || chr(10) || text) as chat
+from m join t on t.conv_id = m.conv_id group by m.conv_id, m.n, floor(turn / 512)
 """
