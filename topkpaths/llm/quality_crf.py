@@ -4,10 +4,11 @@ A line is seen through a few shares (capitals, symbols, bars, repeated words, di
 neighbours; two transition weights tie neighbouring labels. Forward and backward sums give each line's probability of
 being good, and the document's score is their mean weighted by line length.
 
-Training: lines carry their document's label; at most MAX_DOCS labelled documents, chosen by a hash of the id, are
-fitted on the driver by gradient ascent. Scoring runs over whole texts in Arrow batches, without a shuffle.
+Training: lines carry their document's label; at most MAX_DOCS labelled documents with at most MAX_LINES lines in all, chosen by
+a hash of the id, are fitted on the driver by gradient ascent. Only the lines' features travel there, no text (68 bytes a line). Scoring runs
+over whole texts in Arrow batches, without a shuffle.
 
-Edge cases: empty lines have no weight; null texts and texts without a visible line get the smoothed share of good ones
+Edge cases: an empty table gives no rows; a very long text is a slice of its own, and too long for MAX_LINES it isn't fitted; empty lines have no weight; null texts and texts without a visible line get the smoothed share of good ones
 among such texts in training (one half if there are none); without labels every score is one half; repeated rows and ties
 are scored alike; extra columns are ignored.
 """
@@ -24,8 +25,8 @@ from .kernels import SPACE, Words, slices, string_views
 
 common.by_value(__name__)
 
-#: Labelled documents used for fitting, at most.
-MAX_DOCS = 3000
+#: Labelled documents used for fitting, and their lines in all, at most.
+MAX_DOCS, MAX_LINES = 3000, 200_000
 THRESHOLD = 0.3
 FOLDS, HELD_OUT = 5, 0
 _SYMBOLS = b"#$%&*~^_=<>@\\+{}[]"
@@ -42,11 +43,11 @@ _UPPER, _LOWER, _DIGIT = _class(range(65, 91)), _class([*range(97, 123), *range(
 _SYMBOL, _BAR, _SHOUT, _STOP = _class(_SYMBOLS), _class(b"|"), _class(b"!"), _class(b".?!:;\"')")
 
 
-def line_features(data: np.ndarray, offsets: np.ndarray, tables: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(features, byte lengths, document) of the visible lines of a slice; offsets from 0."""
+def own_features(data: np.ndarray, offsets: np.ndarray, tables: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(features of the line itself, byte lengths, document) of the visible lines of a slice; offsets from 0."""
     n = len(data)
     if not n:
-        return np.zeros((0, 3 * _BASE + 3), np.float32), np.zeros(0), np.zeros(0, np.int64)
+        return np.zeros((0, _BASE), np.float32), np.zeros(0), np.zeros(0, np.int64)
     breaks = (data == 10) | (data == 13)
     edge = np.zeros(n + 1, bool)
     edge[offsets] = True
@@ -75,12 +76,23 @@ def line_features(data: np.ndarray, offsets: np.ndarray, tables: dict) -> tuple[
         np.ones_like(capital), capital, np.minimum(symbols, 3), np.minimum(bars, 1), np.minimum(shouts, 2), np.minimum(digits, 3), again, np.minimum(size / n_words, 30) / 10,
         np.log1p(size) / 10, n_words == 1, stop, capital > 0.6, symbols > 0.3, bars > 0.3, shouts > 0.3, again > 0.3, size / n_words > 15,
     ], axis=1).astype(np.float32)
+    return f, size, doc
+
+
+def with_neighbours(f: np.ndarray, doc: np.ndarray) -> np.ndarray:
+    """Each line's features, those of the line before and after it in its document, and whether there is none."""
     before, after = np.zeros_like(f), np.zeros_like(f)
     inner = doc[1:] == doc[:-1]
     before[1:][inner] = f[:-1][inner]
     after[:-1][inner] = f[1:][inner]
     ends = np.stack([before[:, 0] == 0, after[:, 0] == 0, (before[:, 0] == 0) & (after[:, 0] == 0)], axis=1).astype(np.float32)
-    return np.concatenate([f, before, after, ends], axis=1), size, doc
+    return np.concatenate([f, before, after, ends], axis=1)
+
+
+def line_features(data: np.ndarray, offsets: np.ndarray, tables: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(features, byte lengths, document) of the visible lines of a slice; offsets from 0."""
+    f, size, doc = own_features(data, offsets, tables)
+    return with_neighbours(f, doc), size, doc
 
 
 class Chains:
@@ -166,26 +178,40 @@ def score_slice(data: np.ndarray, offsets: np.ndarray, model: dict, tables: dict
     return np.clip(out, 0, 1), p, doc, size
 
 
-def train(docs: DataFrame, labels: DataFrame, max_docs: int = MAX_DOCS) -> dict:
+def _feature_rows(batches):
+    """The own features of the lines of each document, as bytes."""
+    tables: dict = {}
+    for batch in batches:
+        data, offs = string_views(batch.column("text"))
+        for lo, hi in slices(offs):
+            f, _, doc = own_features(data[offs[lo] : offs[hi]], offs[lo : hi + 1] - offs[lo], tables)
+            ends = np.searchsorted(doc, np.arange(hi - lo + 1))
+            blobs = [f[a:b].tobytes() for a, b in zip(ends[:-1], ends[1:])]
+            yield pa.RecordBatch.from_arrays([batch.column(c).slice(lo, hi - lo) for c in ("place", "th", "quality")] + [pa.array(np.diff(ends)), pa.array(blobs, pa.binary())], names=["place", "th", "quality", "lines", "features"])
+
+
+def train(docs: DataFrame, labels: DataFrame, max_docs: int = MAX_DOCS, max_lines: int = MAX_LINES) -> dict:
     """Fits the field on labelled documents outside the held-out fold."""
     known = labels.where(F.col("quality").isin(0, 1) & F.col("doc_id").isNotNull() & (F.pmod(common.crc_of_id(), F.lit(FOLDS)) != HELD_OUT))
     known = known.groupBy("doc_id").agg(F.min("quality").alias("quality")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_docs)
-    sample = docs.select("doc_id", "text").join(F.broadcast(known), "doc_id").select("text", "quality")  # at most max_docs rows
-    got = sample.toArrow()
-    if not got.num_rows:
+    sample = docs.select("doc_id", "text").join(F.broadcast(known), "doc_id")  # at most max_docs ids
+    rows = sample.select(F.xxhash64("doc_id").alias("place"), F.xxhash64("text").alias("th"), F.col("quality").cast("long").alias("quality"), "text")
+    rows = common.spill(rows.mapInArrow(_feature_rows, "place bigint, th bigint, quality bigint, lines bigint, features binary"), "quality-lines")
+    order = ["place", "th", "quality"]
+    few = rows.select(*order, "lines").where(F.col("lines") <= max_lines).orderBy(*order).limit(max_docs).collect()  # max_docs rows of numbers
+    taken = int((np.cumsum([r["lines"] for r in few], dtype=np.int64) <= max_lines).sum())
+    if not taken:
         return {"empty": 0.5}
-    data, offs = string_views(got.column("text"))
-    y_doc = got.column("quality").to_numpy().astype(np.int64)
-    tables: dict = {}
-    parts, blank = [], np.ones(len(y_doc), bool)
-    for lo, hi in slices(offs):
-        x, _, doc = line_features(data[offs[lo] : offs[hi]], offs[lo : hi + 1] - offs[lo], tables)
-        blank[lo + np.unique(doc)] = False
-        parts.append((x, doc + lo))
-    model = {"empty": float((1 + y_doc[blank].sum()) / (2 + blank.sum()))}
-    x, doc = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
+    here = F.struct(*order) <= F.struct(*[F.lit(few[taken - 1][c]).cast("long") for c in order])
+    got = rows.where(here & (F.col("lines") <= max_lines)).orderBy(*order).limit(taken).collect()  # max_lines lines of features
+    common.release(rows)
+    y_doc = np.array([r["quality"] for r in got], np.int64)
+    n = np.array([r["lines"] for r in got], np.int64)
+    model = {"empty": float((1 + y_doc[n == 0].sum()) / (2 + (n == 0).sum()))}
+    doc = np.repeat(np.arange(len(got)), n)
     if len(doc):
-        model |= fit(x, y_doc[doc], doc)
+        f = np.concatenate([np.frombuffer(r["features"], np.float32).reshape(-1, _BASE) for r in got])
+        model |= fit(with_neighbours(f, doc), y_doc[doc], doc)
     return model
 
 
