@@ -3,14 +3,18 @@
 Storing bytes as pictures: each payload byte is one 8x8 block of a grey baseline JPEG whose only coefficient is the
 block's mean. With a quantiser of 8 the mean is kept exactly, so every decoder shows the byte as the block's grey
 value. The Huffman table gives a difference of category c a code of 9 - c bits, so each block takes 10 bits (with the
-end-of-block bit) and coding and decoding are array operations; other baseline tables go through the general decoder.
+end-of-block bit) and coding and decoding are array operations; other frames go through the general decoder: baseline
+JPEG, grey or colour, any sampling factors, restarts, one scan or several, and the standard's Huffman tables where a frame brings none (as
+motion JPEG mostly does).
 
-Reading: the RIFF tree is parsed, frames are found through the idx1 index (or the movi list where there is none), each
-intra frame is decoded, and a cut is set where the histogram difference of neighbouring frames stands out against the
-running mean and spread of those before it. Shots become timed clip rows.
+Reading: the RIFF tree is parsed (several RIFF parts too), frames of the first video stream are found through the OpenDML index,
+else the idx1 index, else the movi list; each intra frame is decoded, and a cut is set where the histogram difference of
+neighbouring frames' luminance stands out against the running mean and spread of those before it. Shots become timed clip rows.
 
 Edge cases: null text is empty; the payload is padded with zeros to a positive multiple of 64 and its length is stored in
-the file; a file that is no AVI has no frames; equal texts give equal bytes; very long texts only add frames.
+the file; equal texts give equal bytes; very long texts only add frames; rows are kept one by one, repeated ids and null ids
+too; an empty table gives no rows; extra columns are ignored. `clips` gives media that can't be read one row with the reason: null, no AVI, no frames, or
+what is wrong with a frame; an empty frame repeats the one before it.
 """
 
 from __future__ import annotations
@@ -78,10 +82,39 @@ def encode_frame(samples: np.ndarray, head: bytes) -> bytes:
     return head + scan.replace(b"\xff", b"\xff\x00") + b"\xff\xd9"
 
 
+#: The Huffman tables of the JPEG standard's annex K, as counts by code length and values; the long tails of the AC values follow a rule.
+_STANDARD = {
+    0x00: (bytes([0, 1, 5, 1, 1, 1, 1, 1, 1, 0, 0, 0, 0, 0, 0, 0]), bytes(range(12))),
+    0x01: (bytes([0, 3, 1, 1, 1, 1, 1, 1, 1, 1, 1, 0, 0, 0, 0, 0]), bytes(range(12))),
+    0x10: (
+        bytes([0, 2, 1, 3, 3, 2, 4, 3, 5, 5, 4, 4, 0, 0, 1, 0x7D]),
+        bytes.fromhex("01020300041105122131410613516107227114328191a1082342b1c11552d1f02433627282090a161718191a25262728292a3435363738393a")
+        + bytes(16 * r + c for r in range(4, 16) for c in range({4: 3, 5: 3, 6: 3, 7: 3, 8: 3, 14: 1, 15: 1}.get(r, 2), 11)),
+    ),
+    0x11: (
+        bytes([0, 2, 1, 2, 4, 4, 3, 4, 7, 5, 4, 4, 0, 1, 2, 0x77]),
+        bytes.fromhex("000102031104052131061241510761711322328108144291a1b1c109233352f0156272d10a162434e125f11718191a262728292a35363738393a")
+        + bytes(16 * r + c for r in range(4, 16) for c in range({4: 3, 5: 3, 6: 3, 7: 3}.get(r, 2), 11)),
+    ),
+}
+_COS = np.where(np.arange(8)[:, None] == 0, np.sqrt(1 / 8), 0.5 * np.cos((2 * np.arange(8)[None, :] + 1) * np.arange(8)[:, None] * np.pi / 16))
+
+
 def _jpeg_parts(raw: bytes) -> dict:
-    at, out = 2, {"quant": {}, "huff": {}, "restart": 0}
+    """Tables, picture size, components (id, sampling, quantiser) and scans (components with their tables, restart interval, data)."""
+    if raw[:2] != b"\xff\xd8":
+        raise ValueError("no JPEG frame")
+    at, restart, out = 2, 0, {"quant": {}, "huff": {}, "scans": []}
     while at + 4 <= len(raw):
-        mark, size = raw[at + 1], struct.unpack(">H", raw[at + 2 : at + 4])[0]
+        if raw[at] != 0xFF:
+            raise ValueError("bad marker")
+        mark = raw[at + 1]
+        if mark in (0xFF, 0xD8):
+            at += 1 if mark == 0xFF else 2
+            continue
+        if mark == 0xD9:
+            break
+        size = struct.unpack(">H", raw[at + 2 : at + 4])[0]
         body = raw[at + 4 : at + 2 + size]
         at += 2 + size
         if mark == 0xDB:
@@ -96,91 +129,176 @@ def _jpeg_parts(raw: bytes) -> dict:
                 n = sum(counts)
                 out["huff"][body[0]] = (counts, body[17 : 17 + n])
                 body = body[17 + n :]
-        elif mark == 0xC0:
+        elif mark in (0xC0, 0xC1):
+            if body[0] != 8:
+                raise ValueError("not 8 bits a sample")
             out["rows"], out["cols"], parts = struct.unpack(">HHB", body[1:6])
             out["parts"] = [tuple(body[6 + 3 * i : 9 + 3 * i]) for i in range(parts)]
         elif mark == 0xDD:
-            out["restart"] = struct.unpack(">H", body)[0]
+            restart = struct.unpack(">H", body[:2])[0]
         elif mark == 0xDA:
-            out["tables"] = [(body[1 + 2 * i], body[2 + 2 * i]) for i in range(body[0])]
-            end = raw.rfind(b"\xff\xd9")
-            out["scan"] = raw[at : end if end >= at else len(raw)]
-            return out
-        elif 0xC1 <= mark <= 0xCF:
+            end = at
+            while True:  # the scan ends at a marker that is neither stuffing nor a restart
+                end = raw.find(b"\xff", end)
+                if end < 0 or end + 1 >= len(raw):
+                    end = len(raw)
+                    break
+                if raw[end + 1] == 0 or 0xD0 <= raw[end + 1] <= 0xD7:
+                    end += 2
+                else:
+                    break
+            out["scans"].append(([(body[1 + 2 * i], body[2 + 2 * i]) for i in range(body[0])], restart, raw[at:end], dict(out["huff"])))
+            at = end
+        elif 0xC2 <= mark <= 0xCF and mark != 0xC8:
             raise ValueError("not a baseline JPEG")
-    raise ValueError("no scan")
+    if not out["scans"] or not out.get("parts"):
+        raise ValueError("no scan")
+    if not out["rows"] or not out["cols"]:
+        raise ValueError("no size")
+    return out
 
 
-def _book(counts: bytes, values: bytes) -> dict:
-    book, code, k = {}, 0, 0
+def _book(counts: bytes, values: bytes) -> list:
+    """(code length, value) for each 16 bits that may come."""
+    book, code, k = [(0, 0)] * 65536, 0, 0
     for length, n in enumerate(counts, 1):
         for _ in range(n):
-            book[length, code] = values[k]
+            at, wide = code << (16 - length), 1 << (16 - length)
+            book[at : at + wide] = [(length, values[k])] * wide
             code, k = code + 1, k + 1
         code <<= 1
     return book
 
 
+_BOOKS: dict = {}
+
+
+def _kept_book(table) -> list:
+    """Books of a few tables are kept, as frames of a film share them."""
+    if table not in _BOOKS:
+        if len(_BOOKS) > 16:
+            _BOOKS.clear()
+        _BOOKS[table] = _book(*table)
+    return _BOOKS[table]
+
+
 def decode_frame(raw: bytes) -> np.ndarray:
-    """Grey samples (rows x cols of the first component); one value a block where the frame holds flat blocks only."""
+    """Luminance samples; one value a block where a grey frame holds flat blocks only (as `encode_frame` writes)."""
+    j = _jpeg_parts(raw)
+    if len(j["parts"]) == 1 and len(j["scans"]) == 1:
+        h, w = -(-j["rows"] // 8), -(-j["cols"] // 8)
+        _, restart, data, huff = j["scans"][0]
+        quant = j["quant"].get(j["parts"][0][2])
+        if not restart and quant is not None and quant[0] == 8 and huff.get(0) == (_DC_COUNTS, _DC_VALUES) and huff.get(16) == (_AC_COUNTS, _AC_VALUES) and (h * w) % 4 == 0:
+            b = np.zeros((h * w // 4, 8), np.uint8)
+            b[:, 3:] = np.frombuffer(data.replace(b"\xff\x00", b"\xff"), np.uint8)[: h * w * 10 // 8].reshape(-1, 5)
+            word = b.view(">u8").astype(np.uint64).ravel()
+            code = np.stack([(word >> np.uint64(s)) & np.uint64(1023) for s in (30, 20, 10, 0)], axis=1).ravel().astype(np.int64)
+            return (np.cumsum(_BACK[code], dtype=np.int32) + 128).astype(np.uint8).reshape(h, w)
+    return decode_planes(raw)[0]
+
+
+def decode_planes(raw: bytes) -> list[np.ndarray]:
+    """Every component at full size (rows x cols)."""
     j = _jpeg_parts(raw)
-    if len(j.get("parts", [])) != 1 or j["restart"]:
-        raise ValueError("only grey frames without restarts are read")
-    h, w = -(-j["rows"] // 8), -(-j["cols"] // 8)
-    scan = j["scan"].replace(b"\xff\x00", b"\xff")
-    quant = j["quant"][j["parts"][0][2]]
-    if j["huff"].get(0) == (_DC_COUNTS, _DC_VALUES) and j["huff"].get(16) == (_AC_COUNTS, _AC_VALUES) and quant[0] == 8 and (h * w) % 4 == 0:
-        b = np.zeros((h * w // 4, 8), np.uint8)
-        b[:, 3:] = np.frombuffer(scan, np.uint8)[: h * w * 10 // 8].reshape(-1, 5)
-        word = b.view(">u8").astype(np.uint64).ravel()
-        code = np.stack([(word >> np.uint64(s)) & np.uint64(1023) for s in (30, 20, 10, 0)], axis=1).ravel().astype(np.int64)
-        return (np.cumsum(_BACK[code], dtype=np.int32) + 128).astype(np.uint8).reshape(h, w)
-    return _decode_any(j, scan, quant, h, w)
-
-
-def _decode_any(j: dict, scan: bytes, quant: np.ndarray, h: int, w: int) -> np.ndarray:
-    bits = np.unpackbits(np.frombuffer(scan, np.uint8)).tolist()
-    tables = j["tables"][0][1]
-    dc, ac = _book(*j["huff"][tables >> 4]), _book(*j["huff"][16 | (tables & 15)])
-    at, level = 0, 0
-
-    def symbol(book):
+    rows, cols, parts = j["rows"], j["cols"], j["parts"]
+    across, down = [p[1] >> 4 for p in parts], [p[1] & 15 for p in parts]
+    if not all(across) or not all(down):
+        raise ValueError("bad sampling")
+    wide, high = max(across), max(down)
+    units = -(-cols // (8 * wide)), -(-rows // (8 * high))  # of one block of each sampling step: across, down
+    place = {p[0]: i for i, p in enumerate(parts)}
+    grids = [np.zeros((units[1] * v, units[0] * h, 64)) for h, v in zip(across, down)]
+    for members, restart, data, huff in j["scans"]:
+        chosen = [(place[c], _kept_book(_table(huff, t >> 4)), _kept_book(_table(huff, 16 | (t & 15)))) for c, t in members]
+        if len(chosen) == 1:  # one component: its own blocks, without the padding of the units
+            i = chosen[0][0]
+            size = -(-(-(-cols * across[i] // wide)) // 8), -(-(-(-rows * down[i] // high)) // 8)
+            order = [[(i, y, x) for x in range(size[0])] for y in range(size[1])]
+            steps = [[b] for line in order for b in line]
+        else:
+            steps = [[(i, v * down[i] + y, u * across[i] + x) for i, _, _ in chosen for y in range(down[i]) for x in range(across[i])] for v in range(units[1]) for u in range(units[0])]
+        books = {i: (dc, ac) for i, dc, ac in chosen}
+        for k, piece in enumerate(_between_restarts(data) if restart else [data]):
+            mine = steps[k * restart : (k + 1) * restart] if restart else steps
+            if mine:
+                _read_blocks(piece.replace(b"\xff\x00", b"\xff"), mine, books, grids)
+    out = []
+    for i, grid in enumerate(grids):
+        quant = j["quant"].get(parts[i][2])
+        if quant is None:
+            raise ValueError("no quantiser")
+        blocks = np.zeros_like(grid)
+        blocks[..., ZIGZAG] = grid * quant
+        y, x = grid.shape[:2]
+        flat = _COS.T @ blocks.reshape(y, x, 8, 8) @ _COS + 128
+        plane = np.clip(np.rint(flat), 0, 255).astype(np.uint8).transpose(0, 2, 1, 3).reshape(y * 8, x * 8)
+        line = np.arange(rows) * down[i] // high
+        out.append(plane[line][:, np.arange(cols) * across[i] // wide])
+    return out
+
+
+def _table(huff: dict, name: int) -> tuple[bytes, bytes]:
+    found = huff.get(name) or _STANDARD.get(name)
+    if found is None:
+        raise ValueError("no Huffman table")
+    return found
+
+
+def _between_restarts(data: bytes) -> list[bytes]:
+    out, at, seek = [], 0, 0
+    while (seek := data.find(b"\xff", seek)) >= 0 and seek + 1 < len(data):
+        if 0xD0 <= data[seek + 1] <= 0xD7:
+            out.append(data[at:seek])
+            at = seek + 2
+        seek += 2
+    return [*out, data[at:]]
+
+
+def _read_blocks(data: bytes, steps: list, books: dict, grids: list) -> None:
+    """Fills the coefficients of the blocks (in zigzag order) from one run of codes."""
+    stream, limit, at = data + b"\0" * 8, 8 * len(data), 0
+    level = dict.fromkeys(books, 0)
+
+    def peek(n: int) -> int:
+        first = at >> 3
+        return (int.from_bytes(stream[first : first + 4], "big") >> (32 - (at & 7) - n)) & ((1 << n) - 1)
+
+    def symbol(book) -> int:
         nonlocal at
-        code = 0
-        for length in range(1, 17):
-            code = (code << 1) | bits[at]
-            at += 1
-            if (length, code) in book:
-                return book[length, code]
-        raise ValueError("bad code")
-
-    def extra(n):
+        length, value = book[peek(16)]
+        at += length
+        if not length or at > limit:
+            raise ValueError("bad code")
+        return value
+
+    def extra(n: int) -> int:
         nonlocal at
         if not n:
             return 0
-        v = int("".join(map(str, bits[at : at + n])), 2)
+        v = peek(n)
         at += n
         return v if v >> (n - 1) else v - (1 << n) + 1
 
-    k = np.arange(8)
-    cos = np.where(k[:, None] == 0, np.sqrt(1 / 8), 0.5 * np.cos((2 * k[None, :] + 1) * k[:, None] * np.pi / 16))
-    out = np.zeros((h * 8, w * 8))
-    for n in range(h * w):
-        block = np.zeros(64)
-        level += extra(symbol(dc))
-        block[0] = level * quant[0]
-        i = 1
-        while i < 64:
-            s = symbol(ac)
-            if s == 0:
-                break
-            i += s >> 4
-            if s & 15:
-                block[ZIGZAG[i]] = extra(s & 15) * quant[i]
-            i += 1
-        y, x = divmod(n, w)
-        out[8 * y : 8 * y + 8, 8 * x : 8 * x + 8] = cos.T @ block.reshape(8, 8) @ cos + 128
-    return np.clip(np.rint(out), 0, 255).astype(np.uint8)[: j["rows"], : j["cols"]]
+    for blocks in steps:
+        for i, y, x in blocks:
+            dc, ac = books[i]
+            block = grids[i][y, x]
+            level[i] += extra(symbol(dc) & 15)
+            block[0] = level[i]
+            k = 1
+            while k < 64:
+                s = symbol(ac)
+                if s & 15:
+                    k += s >> 4
+                    if k > 63:
+                        raise ValueError("bad run")
+                    block[k] = extra(s & 15)
+                    k += 1
+                elif s == 0xF0:
+                    k += 16
+                else:
+                    break
 
 
 def _chunk(name: bytes, body: bytes) -> bytes:
@@ -219,39 +337,63 @@ def parse_avi(raw: bytes) -> dict:
     out: dict = {"frames": [], "rate": 0.0, "payload": None}
     if raw[:4] != b"RIFF" or raw[8:12] != b"AVI ":
         return out
-    movi, index, listed = None, None, []
+    state: dict = {"movi": None, "idx1": None, "indexes": [], "listed": [], "streams": 0, "video": None}
 
     def walk(at: int, end: int) -> None:
-        nonlocal movi, index
         while at + 8 <= end:
             name, size = raw[at : at + 4], struct.unpack("<I", raw[at + 4 : at + 8])[0]
             body = at + 8
-            if name == b"LIST":
-                if raw[body : body + 4] == b"movi":
-                    movi = body
+            if name in (b"LIST", b"RIFF"):
+                if raw[body : body + 4] == b"movi" and state["movi"] is None:
+                    state["movi"] = body
                 walk(body + 4, min(end, body + size))
             elif name == b"avih":
                 out["rate"] = 1e6 / max(1, struct.unpack("<I", raw[body : body + 4])[0])
+            elif name == b"strh":
+                if raw[body : body + 4] == b"vids" and state["video"] is None:
+                    state["video"] = state["streams"]
+                state["streams"] += 1
+            elif name == b"indx" and state["video"] == state["streams"] - 1:
+                state["indexes"].append((body, size))
             elif name == b"ICMT" and raw[body : body + 8] == b"payload=":
                 out["payload"] = int(raw[body + 8 : body + size].rstrip(b"\0"))
             elif name == b"idx1":
-                index = (body, size)
+                state["idx1"] = (body, size)
             elif name[2:] in (b"dc", b"db"):
-                listed.append((body, size))
+                state["listed"].append((name, body, size))
             at = body + size + (size & 1)
 
-    walk(12, len(raw))
-    if index and movi is not None:
-        body, size = index
+    walk(0, len(raw))
+    number = b"%02d" % (state["video"] or 0)
+    mine = lambda name: name[2:] in (b"dc", b"db") and name[:2] == number
+    if state["indexes"]:
+        out["frames"] = [f for body, _ in state["indexes"] for f in _open_index(raw, body)]
+    elif state["idx1"] and state["movi"] is not None:
+        body, size = state["idx1"]
+        movi = state["movi"]
         entries = [struct.unpack("<4sIII", raw[body + 16 * i : body + 16 * i + 16]) for i in range(size // 16)]
-        entries = [e for e in entries if e[0][2:] in (b"dc", b"db")]
+        entries = [e for e in entries if mine(e[0])]
         base = movi if not entries or raw[movi + entries[0][2] : movi + entries[0][2] + 4] == entries[0][0] else 0
         out["frames"] = [(base + e[2] + 8, e[3]) for e in entries]
     else:
-        out["frames"] = listed
+        out["frames"] = [(body, size) for name, body, size in state["listed"] if mine(name)]
     return out
 
 
+def _open_index(raw: bytes, at: int) -> list[tuple[int, int]]:
+    """Frames of an OpenDML index: an index of indexes, or one of chunks."""
+    per, _, kind, n = struct.unpack("<HBBI", raw[at : at + 8])
+    entry = at + 24
+    if kind == 0:
+        places = [struct.unpack("<QII", raw[entry + 16 * i : entry + 16 * i + 16])[0] for i in range(n)]
+        return [f for p in places for f in _open_index(raw, p + 8)]
+    if kind != 1 or per < 2:
+        raise ValueError("unknown index")
+    base = struct.unpack("<Q", raw[at + 12 : at + 20])[0]
+    rows = [struct.unpack("<II", raw[entry + 4 * per * i : entry + 4 * per * i + 8]) for i in range(n)]
+    return [(base + offset, size & 0x7FFFFFFF) for offset, size in rows]
+
+
 def shots_of(frames: list[np.ndarray]) -> list[tuple[int, int, float]]:
     """(first frame, frames, difference at its start)"""
     if not frames:
@@ -277,7 +419,12 @@ def padded(raw: bytes) -> bytes:
 
 def read_payload(raw: bytes) -> tuple[bytes, list[np.ndarray], dict]:
     info = parse_avi(raw)
-    frames = [decode_frame(raw[a : a + n]) for a, n in info["frames"]]
+    frames: list = []
+    for a, n in info["frames"]:
+        if n or not frames:
+            frames.append(decode_frame(raw[a : a + n]))
+        else:  # an empty frame shows the one before
+            frames.append(frames[-1])
     got = b"".join(f.tobytes() for f in frames)
     return (got if info["payload"] is None else got[: info["payload"]]), frames, info
 
@@ -289,32 +436,47 @@ def _storer(batches):
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.diff(offs)), pa.array(media, pa.binary())], names=["doc_id", "n_bytes", "media"])
 
 
+_CLIP = pa.struct([("clip", pa.int64()), ("first_frame", pa.int64()), ("frames", pa.int64()), ("start_s", pa.float64()), ("end_s", pa.float64()), ("difference", pa.float64())])
+CLIP = "clip: bigint, first_frame: bigint, frames: bigint, start_s: double, end_s: double, difference: double"
+
+
+def timed(frames: list[np.ndarray], rate: float) -> list[dict]:
+    """Shots as timed clips."""
+    rate = rate or 1.0
+    return [{"clip": k, "first_frame": a, "frames": n, "start_s": a / rate, "end_s": (a + n) / rate, "difference": float(d)} for k, (a, n, d) in enumerate(shots_of(frames))]
+
+
 def _measurer(batches):
     for batch in batches:
         rows = []
         for raw in batch.column("media").to_pylist():
             payload, frames, info = read_payload(raw)
-            shots = shots_of(frames)
+            found = timed(frames, info["rate"])
             mean = sum(int(f.sum()) for f in frames) / max(1, sum(f.size for f in frames))
-            feature = f"frames={len(frames)};rows={frames[0].shape[0] if frames else 0};mean={mean:.4f};shots=" + ",".join(f"{a}+{n}" for a, n, _ in shots)
-            rows.append((len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(raw), hashlib.sha256(raw).hexdigest(), feature))
-        cols = list(zip(*rows)) or [()] * 6
-        kinds = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("n_bytes"), *[pa.array(c, k) for c, k in zip(cols, kinds)]], names=["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"])
+            feature = f"frames={len(frames)};rows={frames[0].shape[0] if frames else 0};mean={mean:.4f};shots=" + ",".join(f"{c['first_frame']}+{c['frames']}" for c in found)
+            rows.append((len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(raw), hashlib.sha256(raw).hexdigest(), feature, found))
+        cols = list(zip(*rows)) or [()] * 7
+        kinds = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.list_(_CLIP)]
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("n_bytes"), *[pa.array(c, k) for c, k in zip(cols, kinds)]], names=["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "clips"])
+
+
+def clips_of(raw: bytes | None) -> tuple[list[dict], str | None]:
+    """(timed clips, why there are none)"""
+    if raw is None:
+        return [], "null"
+    try:
+        if raw[:4] != b"RIFF" or raw[8:12] != b"AVI ":
+            return [], "no AVI"
+        _, frames, info = read_payload(raw)
+    except (ValueError, KeyError, IndexError, struct.error, RecursionError) as e:
+        return [], f"{e}" if type(e) is ValueError else f"damaged ({type(e).__name__})"
+    return (timed(frames, info["rate"]), None) if frames else ([], "no frames")
 
 
 def _clipper(batches):
     for batch in batches:
-        for i, raw in enumerate(batch.column("media").to_pylist()):
-            try:
-                _, frames, info = read_payload(raw or b"")
-            except (ValueError, KeyError, IndexError, struct.error):
-                continue
-            shots, rate = shots_of(frames), info["rate"] or 1.0
-            if shots:
-                ids = batch.column("doc_id").slice(i, 1).take(pa.array(np.zeros(len(shots), np.int64)))
-                first, n, d = (np.array(x) for x in zip(*shots))
-                yield pa.RecordBatch.from_arrays([ids, pa.array(np.arange(len(shots))), pa.array(first), pa.array(n), pa.array(first / rate), pa.array((first + n) / rate), pa.array(d.astype(float))], names=["doc_id", "clip", "first_frame", "frames", "start_s", "end_s", "difference"])
+        found = [clips_of(raw) for raw in batch.column("media").to_pylist()]
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([c for c, _ in found], pa.list_(_CLIP)), pa.array([r for _, r in found], pa.string())], names=["doc_id", "clips", "reason"])
 
 
 def store(docs: DataFrame) -> DataFrame:
@@ -324,15 +486,16 @@ def store(docs: DataFrame) -> DataFrame:
 
 
 def measure(media: DataFrame) -> DataFrame:
-    """What the stored bytes hold, read back."""
+    """What the stored bytes hold, read back, with the timed clips."""
     rows = media.select("doc_id", "n_bytes", "media")
-    return rows.mapInArrow(_measurer, f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string")
+    return rows.mapInArrow(_measurer, f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string, clips array<struct<{CLIP}>>")
 
 
 def clips(media: DataFrame) -> DataFrame:
-    """Timed clip rows of any AVI column; what can't be read has none."""
+    """Timed clip rows of any AVI column: doc_id, clip, first_frame, frames, start_s, end_s, difference, reason (of what can't be read)."""
     rows = media.select("doc_id", "media")
-    return rows.mapInArrow(_clipper, f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, clip bigint, first_frame bigint, frames bigint, start_s double, end_s double, difference double")
+    found = rows.mapInArrow(_clipper, f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, clips array<struct<{CLIP}>>, reason string")
+    return found.select("doc_id", "reason", F.inline_outer("clips")).select("doc_id", "clip", "first_frame", "frames", "start_s", "end_s", "difference", "reason")
 
 
 def op10_media_avi(spark: SparkSession, sf_dir: str) -> DataFrame:
