@@ -10,7 +10,8 @@ MAX_ITEM_BYTES are dealt into blocks by id and text and the text passes the bloc
 shuffled.
 
 Edge cases: null or wordless texts have no words and no hits; an item without words has no window; equal windows of
-several items hit for all of them; repeated rows are judged one by one; an empty benchmark hits nothing; the windows of an
+several items hit for all of them; repeated rows are judged one by one; an empty document table gives no rows; an empty benchmark hits nothing;
+extra columns are ignored unless carried; a very long text is scanned as a whole like any other (some ten times its size in memory); the windows of an
 item with a null id hit like all others, but the list of items does not name it.
 """
 

@@ -7,7 +7,9 @@ and stripes are read in parallel. `block` (the range) and `seq` (the place in it
 Encoding: the tokenizer drops white space and no token spans it, so a text is encoded word by word, each different word
 once a task, through a table of bounded size.
 
-Edge cases: null texts are empty and give the end id alone; null doc_ids come first; equal doc_ids keep the order of
+The number of files follows the bytes of text, FILE_BYTES each, and is no smaller than the width of shuffles.
+
+Edge cases: a very long text is one row (an ORC row, as a text, is below 2 GB); null texts are empty and give the end id alone; null doc_ids come first; equal doc_ids keep the order of
 their texts; an empty table gives empty files and no rows; extra columns are ignored.
 """
 
@@ -30,8 +32,8 @@ from .kernels import string_views
 common.by_value(__name__)
 
 TOKENIZER, END_ID = "word_bpe_49k.json", 1
-#: Words whose ids are kept at a time.
-TABLE_WORDS = 400_000
+#: Words whose ids are kept at a time; bytes of text behind a file, about.
+TABLE_WORDS, FILE_BYTES = 400_000, 512_000_000
 ORC_OPTIONS = {"orc.bloom.filter.columns": "doc_id", "orc.bloom.filter.fpp": "0.01", "orc.create.index": "true", "orc.row.index.stride": "1000"}
 
 
@@ -144,7 +146,9 @@ def digester(batches):
 
 def write(docs: DataFrame, path: str, tokenizer: str = TOKENIZER, end_id: int = END_ID, files: int | None = None) -> None:
     """Writes doc_id, block, seq, tokens as ORC, in ascending doc_id."""
-    files = files or common.shuffle_width(docs.sparkSession)
+    if files is None:
+        size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+        files = max(common.shuffle_width(docs.sparkSession), -(-size // FILE_BYTES))
     id_type = docs.schema["doc_id"].dataType.simpleString()
     rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).repartitionByRange(files, F.col("doc_id").asc_nulls_first())
     rows = rows.sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text").select("doc_id", "text", F.spark_partition_id().alias("block"))
