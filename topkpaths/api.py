@@ -24,19 +24,20 @@ METHODS = {
     "beam": beam_search,
     "greedy": end_greedy,
 }
-#: Longest length that `auto` searches exactly, and the budget beyond it.
-EXACT_LENGTH, AUTO_BUDGET = 15, 100_000
 
 
 def heaviest_paths(g: Graph, length: int, k: int = 1, method: str = "auto", **options) -> PathResult:
-    """The k heaviest simple paths with exactly `length` edges; fewer if there are fewer."""
+    """The k heaviest simple paths with exactly `length` edges; fewer if there are fewer.
+
+    'auto' is exact, unless a `budget` of paths is given: then it is the budgeted search, whose summary tells whether the
+    budget sufficed.
+    """
     if length < 1 or k < 1:
         raise ValueError("length and k are at least 1")
     if method == "auto":
-        if length <= EXACT_LENGTH:
-            bands = 1 if g.small else 4
-            return canonical_growth(g, length, k, bands=bands, **options)
-        return budgeted_search(g, length, options.pop("budget", AUTO_BUDGET), k, **options)
+        if "budget" in options:
+            return budgeted_search(g, length, k=k, **options)
+        return canonical_growth(g, length, k, **({"bands": 1 if g.small else 4} | options))
     return METHODS[method](g, length, k=k, **options)
 
 

@@ -4,33 +4,66 @@ from __future__ import annotations
 
 import heapq
 
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .. import bounds
 from ..graph.model import Graph
-from . import expand
+from . import expand, neighbours, sequential
 from .neighbours import Neighbours
 from .ordered_buffers import Search
 from .result import PathResult
 
-#: Paths of a frozen buffer that completion reads at a time.
-TOP_ROWS = 2000
+#: Paths of a frozen buffer that completion reads at a time; ends of waiting paths that are looked up together.
+TOP_ROWS, LOOK_AHEAD = 2000, 256
+#: Paths up to which a search over a pulled graph runs in the driver's memory.
+MEMORY_PATHS = 1_000_000
 
 
-def budgeted_search(g: Graph, length: int, budget: int, k: int = 1, guard: str = "ends", block: int = 64, bound: str = "split") -> PathResult:
-    """Exact if the budget suffices; else completes the longest buffer greedily. summary: exact, j, bound, rho."""
+def budgeted_search(g: Graph, length: int, budget: int, k: int = 1, guard: str = "ends", block: int = 64, bound: str = "split", engine: str = "auto") -> PathResult:
+    """Exact if the budget suffices; else completes the longest buffer greedily. summary: exact, j, bound, rho.
+
+    engine 'memory': the buffers of a small undirected graph stay in the driver, a path at a time; 'tables': buffers are
+    tables; 'auto': memory where edges and budget are within PULL_EDGES and MEMORY_PATHS.
+    """
+    if engine == "auto":
+        engine = "memory" if g.n_edges <= neighbours.PULL_EDGES and budget <= MEMORY_PATHS and not g.directed else "tables"
+    if length > 1 and engine == "memory":
+        return _in_memory(g, length, budget, k, guard, bound)
     run = Search(g, length, guard, "drain", "plain", block, budget)
     got = run.more(k)
-    best = _known_best(run)
     if not run.stopped:
         return PathResult(got.paths, got.summary | {"exact": True, "rho": 1.0, "bound": None, "j": length}, got.steps, g.labels)
-    filled = [i for i, v in run.levels.items() if v.rows]
-    j = max(filled) if filled else 2
+    stored = {i: v.table().select("nodes", "w") for i, v in run.levels.items() if v.rows}
+    stored[1] = expand.canonical(expand.start_paths(g), g.directed).select("nodes", "w")
+    out = _finish(g, length, k, bound, {i: [] for i in range(1, length + 1)}, stored, _known_best(run), max(stored))
+    return PathResult(out.paths, out.summary | {"held": run.held}, run.steps, g.labels)
+
+
+def _in_memory(g: Graph, length: int, budget: int, k: int, guard: str, bound: str) -> PathResult:
+    rows = g.edges.select("src", "dst", "w").toArrow()  # at most PULL_EDGES rows
+    edges = list(zip(*(rows.column(c).to_pylist() for c in ("src", "dst", "w"))))
+    run = sequential.buffers(edges, length, k, guard, budget=budget, limit=neighbours.PULL_EDGES, trace=False)
+    if not run["stopped"]:
+        summary = {"exact": True, "rho": 1.0, "bound": None, "j": length, "held": run["held"], "exhausted": len(run["paths"]) < k, "edges_read": run["edges_read"], "joins": run["joins"], "built": run["built"], "duplicates": run["duplicates"]}
+        return PathResult(expand.answers(g.edges.sparkSession, run["paths"], length), summary, labels=g.labels)
+    heaps = {1: [(-w, (min(a, b), max(a, b))) for a, b, w in edges]}
+    heaps |= {i: [(e[0], e[1]) for e in run["buffers"][i]] for i in range(2, length + 1)}
+    filled = max((i for i in range(2, length + 1) if heaps[i]), default=1)
+    for h in heaps.values():
+        heapq.heapify(h)
+    best = {i: float(w) for i, w in run["best"].items()} | {1: float(g.max_w)}
+    out = _finish(g, length, k, bound, heaps, {}, best, filled)
+    return PathResult(out.paths, out.summary | {"held": run["held"]}, labels=g.labels)
+
+
+def _finish(g: Graph, length: int, k: int, bound: str, heaps: dict, stored: dict[int, DataFrame], best: dict[int, float], filled: int) -> PathResult:
+    j = max(2, filled)
     known = {i: w for i, w in best.items() if i < j}
     limit = bounds.split_bound(known, length, j, g.max_w) if bound == "split" else bounds.best_split_bound(known, length)
-    found = _complete(g, run, length, k)
+    found = _complete(g, length, k, heaps, stored)
     rho = bounds.rho(found[0][1] if found else None, limit)
-    return PathResult(expand.answers(g.edges.sparkSession, found, length), {"exact": False, "j": j, "bound": limit, "rho": rho, "held": run.held}, run.steps, g.labels)
+    return PathResult(expand.answers(g.edges.sparkSession, found, length), {"exact": False, "j": j, "bound": limit, "rho": rho})
 
 
 def _known_best(run: Search) -> dict[int, float]:
@@ -44,13 +77,15 @@ def _known_best(run: Search) -> dict[int, float]:
     return out
 
 
-def _complete(g: Graph, run: Search, length: int, k: int) -> list:
-    """Pops the best path of the longest buffer, extends it at both ends without a guard, steps back at dead ends."""
+def _complete(g: Graph, length: int, k: int, heaps: dict[int, list], stored: dict[int, DataFrame]) -> list:
+    """Pops the best path of the longest buffer, extends it at both ends without a guard, steps back at dead ends.
+
+    heaps: (-w, nodes) by length; stored: frozen buffers still to be read. The edges themselves are the last buffer to step back to,
+    so a path is found if the graph has one.
+    """
     near = Neighbours(g)
-    heaps: dict[int, list] = {i: [] for i in range(1, length + 1)}
-    seen: dict[int, set] = {i: set() for i in range(1, length + 1)}
+    seen: dict[int, set] = {i: set() for i in heaps}
     found: list = []
-    stored = {i: v.table() for i, v in run.levels.items() if v.rows}
     last: dict[int, tuple] = {}  # the last row read of a frozen buffer
 
     def fill(i: int) -> None:
@@ -60,7 +95,7 @@ def _complete(g: Graph, run: Search, length: int, k: int) -> list:
             if i in last:
                 w, nodes = -last[i][0], F.array(*[F.lit(x) for x in last[i][1]])
                 t = t.where((F.col("w") < w) | ((F.col("w") == w) & (F.col("nodes") > nodes)))
-            rows = [(-r["w"], tuple(r["nodes"])) for r in t.select("nodes", "w").orderBy(F.desc("w"), "nodes").limit(TOP_ROWS).collect()]
+            rows = [(-r["w"], tuple(r["nodes"])) for r in t.orderBy(F.desc("w"), "nodes").limit(TOP_ROWS).collect()]
             for r in rows:
                 heapq.heappush(heaps[i], r)
             if len(rows) < TOP_ROWS:
@@ -75,6 +110,8 @@ def _complete(g: Graph, run: Search, length: int, k: int) -> list:
         fill(level)
         if not heaps[level]:
             continue
+        if not near.whole:
+            near.prepare(n for _, n in heapq.nsmallest(LOOK_AHEAD, heaps[level]))
         w, nodes = heapq.heappop(heaps[level])
         if nodes in seen[level]:
             continue
@@ -82,14 +119,8 @@ def _complete(g: Graph, run: Search, length: int, k: int) -> list:
         if level == length:
             found.append((nodes, -w))
             continue
-        for x, _, t in near.of(nodes[-1]):
-            if t not in nodes:
-                heapq.heappush(heaps[level + 1], (w - x, _turned(nodes + (t,))))
-        for x, _, t in near.of(nodes[0]):
-            if t not in nodes:
-                heapq.heappush(heaps[level + 1], (w - x, _turned((t,) + nodes)))
+        for x, _, t in near.after(nodes):
+            heapq.heappush(heaps[level + 1], (w - x, near.turned((*nodes, t))))
+        for x, _, t in near.before(nodes):
+            heapq.heappush(heaps[level + 1], (w - x, near.turned((t, *nodes))))
     return found
-
-
-def _turned(nodes: tuple) -> tuple:
-    return nodes if nodes[0] < nodes[-1] else nodes[::-1]

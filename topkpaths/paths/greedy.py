@@ -2,34 +2,48 @@
 
 from __future__ import annotations
 
+from itertools import islice
 
 from ..graph.model import Graph
 from . import expand
 from .neighbours import Neighbours
 from .result import PathResult
 
-
-def end_greedy(g: Graph, length: int, k: int = 1, restarts: int = 10_000) -> PathResult:
-    near, found, tried = Neighbours(g), [], 0
-    starts = g.edges.orderBy("eid").limit(restarts + k).select("src", "dst", "w").toLocalIterator()
-    for row in starts:
-        path, weight = [row["src"], row["dst"]], row["w"]
-        while len(path) <= length:
-            left = [(w, -i, 0, t) for w, i, t in near.of(path[0]) if t not in path]
-            right = [(w, -i, 1, t) for w, i, t in near.of(path[-1]) if t not in path]
-            if not left and not right:
-                break
-            w, _, side, t = max(left + right)
-            weight += w
-            path = [*path, t] if side else [t, *path]
-        if len(path) == length + 1:
-            nodes = tuple(path if path[0] < path[-1] else path[::-1])
-            if (nodes, weight) not in found:
+#: Walks that go on side by side where neighbours are looked up by a join.
+SIDE_BY_SIDE = 256
+
+
+def end_greedy(g: Graph, length: int, k: int = 1, restarts: int | None = None, pull: int | None = None) -> PathResult:
+    """The first k different paths of the length, in the order of their start edges; restarts: start edges tried at most, None for all.
+
+    summary: restarts (start edges that led nowhere new) and found. Without enough paths every edge has been a start.
+    """
+    near, found, tried, seen = Neighbours(g, pull), [], 0, set()
+    edges = g.edges.orderBy("eid").select("src", "dst", "w")
+    starts = (edges if restarts is None else edges.limit(restarts + k)).toLocalIterator()
+    together = 1 if near.whole else SIDE_BY_SIDE
+    while len(found) < k and (rows := list(islice(starts, together))):
+        walks = [[(r["src"], r["dst"]), r["w"]] for r in rows]
+        going = [w for w in walks if len(w[0]) <= length]
+        while going:
+            near.prepare(w[0] for w in going)
+            going = [w for w in going if _step(near, w) and len(w[0]) <= length]
+        for path, weight in walks:
+            nodes = near.turned(path)
+            if len(path) == length + 1 and nodes not in seen and len(found) < k:
+                seen.add(nodes)
                 found.append((nodes, weight))
-        if len(found) >= k:
-            break
-        tried += 1
+            elif len(found) < k:
+                tried += 1
     return PathResult(expand.answers(g.edges.sparkSession, sorted(found, key=lambda r: (-r[1], r[0])), length), {"exact": False, "restarts": tried, "found": len(found)}, labels=g.labels)
 
 
-
+def _step(near: Neighbours, walk: list) -> bool:
+    """Adds the heaviest edge at either end (of equal ones the first by rank); False at a dead end."""
+    path, weight = walk
+    options = [(w, -i, side, t) for side, steps in ((0, near.before(path)), (1, near.after(path))) for w, i, t in steps]
+    if not options:
+        return False
+    w, _, side, t = max(options)
+    walk[:] = [(*path, t) if side else (t, *path), weight + w]
+    return True

@@ -1,33 +1,69 @@
-"""Adjacency for methods that walk node by node: pulled once if it is small, else looked up per node."""
+"""Adjacency for methods that walk node by node: pulled once if it is small, else looked up for many nodes by one join."""
 
 from __future__ import annotations
 
 from collections import defaultdict
+from collections.abc import Iterable
 
 from pyspark.sql import functions as F
 
 from ..graph.model import Graph
 
-#: Edges up to which the adjacency is pulled to the driver.
-PULL_EDGES = 400_000
+#: Edges up to which the adjacency is pulled to the driver; nodes that one lookup asks for, at most.
+PULL_EDGES, NODES_A_LOOKUP = 400_000, 1000
 
 
 class Neighbours:
-    def __init__(self, g: Graph):
-        self.g, self.known = g, {}
-        if g.n_edges <= PULL_EDGES:
-            near = defaultdict(list)
+    """Steps out of a path's last node (ahead) and into its first one; without direction both are the same."""
+
+    def __init__(self, g: Graph, pull: int | None = None):
+        self.g, self.lookups = g, 0
+        self.whole = g.n_edges <= (PULL_EDGES if pull is None else pull)
+        self.ahead: dict = {}
+        self.back: dict = {} if g.directed else self.ahead
+        if self.whole:
+            ahead, back = defaultdict(list), defaultdict(list)
             rows = g.edges.select("src", "dst", "w", "eid").toArrow()  # at most PULL_EDGES rows
             for a, b, w, i in zip(*(rows.column(c).to_pylist() for c in ("src", "dst", "w", "eid"))):
-                near[a].append((w, i, b))
-                near[b].append((w, i, a))
-            self.known, self.whole = near, True
+                ahead[a].append((w, i, b))
+                back[b].append((w, i, a))
+            if not g.directed:
+                for b, near in back.items():
+                    ahead[b].extend(near)
+            self.ahead, self.back = ahead, back if g.directed else ahead
+
+    def _fetch(self, nodes: Iterable[int], known: dict, inward: bool) -> None:
+        new = sorted({n for n in nodes if n not in known})
+        for at in range(0, len(new), NODES_A_LOOKUP):
+            some = new[at : at + NODES_A_LOOKUP]
+            wanted = self.g.edges.sparkSession.createDataFrame([(n,) for n in some], "head long")
+            rows = self.g.arcs(inward).join(F.broadcast(wanted), "head").select("head", "w", "eid", "tail").collect()  # edges of at most NODES_A_LOOKUP nodes
+            self.lookups += 1
+            known.update({n: [] for n in some})
+            for r in rows:
+                known[r["head"]].append((r["w"], r["eid"], r["tail"]))
+
+    def prepare(self, paths: Iterable[tuple]) -> None:
+        """Looks up what is unknown around the ends of many paths at once."""
+        if self.whole:
+            return
+        paths = list(paths)
+        if self.g.directed:
+            self._fetch((p[-1] for p in paths), self.ahead, False)
+            self._fetch((p[0] for p in paths), self.back, True)
         else:
-            self.whole = False
-
-    def of(self, node: int) -> list[tuple[int, int, int]]:
-        """(w, eid, other end) of the node's edges."""
-        if node not in self.known and not self.whole:
-            rows = self.g.arcs().where(F.col("head") == node).select("w", "eid", "tail").collect()  # one node's edges
-            self.known[node] = [tuple(r) for r in rows]
-        return self.known.get(node, [])
+            self._fetch((n for p in paths for n in (p[0], p[-1])), self.ahead, False)
+
+    def after(self, path) -> list[tuple[int, int, int]]:
+        """(w, eid, node) of the steps behind the last node."""
+        self.prepare([path])
+        return [x for x in self.ahead.get(path[-1], ()) if x[2] not in path]
+
+    def before(self, path) -> list[tuple[int, int, int]]:
+        """(w, eid, node) of the steps before the first node."""
+        self.prepare([path])
+        return [x for x in self.back.get(path[0], ()) if x[2] not in path]
+
+    def turned(self, nodes: tuple) -> tuple:
+        """The one writing of a path: without direction its smaller end comes first."""
+        return nodes if self.g.directed or nodes[0] < nodes[-1] else nodes[::-1]

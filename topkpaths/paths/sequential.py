@@ -14,10 +14,10 @@ MAX_EDGES = 5000
 class Small:
     """An undirected graph in memory: edges from the heaviest on, and sorted adjacency."""
 
-    def __init__(self, edges):
+    def __init__(self, edges, limit: int = MAX_EDGES):
         rows = sorted(((int(w), min(a, b), max(a, b)) for a, b, w in edges), key=lambda e: (-e[0], e[1], e[2]))
-        if len(rows) > MAX_EDGES:
-            raise ValueError(f"more than {MAX_EDGES} edges")
+        if len(rows) > limit:
+            raise ValueError(f"more than {limit} edges")
         self.edges = [(a, b, w, i) for i, (w, a, b) in enumerate(rows)]
         self.next = defaultdict(list)
         for a, b, w, i in self.edges:
@@ -59,15 +59,15 @@ def rank_scan(edges, length: int, k: int = 1, exact_ties: bool = False) -> dict:
     return {"paths": best, "edges_read": len(steps), "joins": joins, "built": built, "steps": steps}
 
 
-def buffers(edges, length: int, k: int = 1, guard: str = "ends", lazy: bool = False, budget: int | None = None, ends: str = "both") -> dict:
+def buffers(edges, length: int, k: int = 1, guard: str = "ends", lazy: bool = False, budget: int | None = None, ends: str = "both", limit: int = MAX_EDGES, trace: bool = True) -> dict:
     """Demand-driven ordered buffers: one release at a time. lazy: extensions come one by one, heaviest first.
 
     ends='one' (an ablation) grows each direction of a path at its last node only. Guards don't apply, and a path must
-    wait for its lighter beginning, so the bound of length 2 falls more slowly.
+    wait for its lighter beginning, so the bound of length 2 falls more slowly. limit: edges at most; trace: whether to note each step.
     """
     one = ends == "one"
     guard = "none" if one else guard
-    g = Small(edges)
+    g = Small(edges, limit)
     heap = {i: [] for i in range(2, length + 1)}  # (-w, nodes, first, last, peak, first eid, last eid)
     have = {i: set() for i in range(2, length + 1)}
     theta = {i: float(i * g.top) for i in range(2, length + 1)}
@@ -88,6 +88,7 @@ def buffers(edges, length: int, k: int = 1, guard: str = "ends", lazy: bool = Fa
             return
         have[level].add(nodes)
         count["built"] += 1
+        count["held"] += 1
         heapq.heappush(heap[level], (-w, nodes, first, last, peak, fe, le))
 
     def options(nodes, first, last, peak, fe, le):
@@ -123,7 +124,7 @@ def buffers(edges, length: int, k: int = 1, guard: str = "ends", lazy: bool = Fa
                 heapq.heappush(queue, (-(w + rest[at + 1][0]), path, w, rest, at + 1))
 
     def full():
-        return budget is not None and sum(map(len, heap.values())) >= budget
+        return budget is not None and count["held"] >= budget
 
     def step_edge():
         nonlocal read
@@ -145,6 +146,7 @@ def buffers(edges, length: int, k: int = 1, guard: str = "ends", lazy: bool = Fa
             top = heap[level][0] if heap[level] else None
             if top is not None and -top[0] > theta[level]:
                 heapq.heappop(heap[level])
+                count["held"] -= 1
                 best_of.setdefault(level, -top[0])
                 return top
             if theta[level] == bounds.NONE_LEFT or full():
@@ -163,7 +165,8 @@ def buffers(edges, length: int, k: int = 1, guard: str = "ends", lazy: bool = Fa
                     left = -heap[level - 1][0][0] if heap[level - 1] else bounds.NONE_LEFT
                     high = max(left, theta[level - 1])
                     theta[level] = high + g.top if high != bounds.NONE_LEFT else bounds.NONE_LEFT
-            steps.append((len(steps), level, None if theta[level] == bounds.NONE_LEFT else float(theta[level]), read, count["joins"], count["built"], count["duplicates"], sum(map(len, heap.values()))))
+            if trace:
+                steps.append((len(steps), level, None if theta[level] == bounds.NONE_LEFT else float(theta[level]), read, count["joins"], count["built"], count["duplicates"], count["held"]))
 
     while len(out) < k:
         got = pull(length) if length > 1 else None
@@ -173,4 +176,4 @@ def buffers(edges, length: int, k: int = 1, guard: str = "ends", lazy: bool = Fa
             out.append((canonical(got[1]), -got[0]))
     if length == 1:
         out = [((a, b), w) for a, b, w, _ in g.edges[:k]]
-    return {"paths": out, "edges_read": read, **{c: count[c] for c in ("joins", "built", "duplicates", "accesses")}, "steps": steps, "buffers": heap, "best": best_of, "stopped": full() and len(out) < k, "graph": g}
+    return {"paths": out, "edges_read": read, **{c: count[c] for c in ("joins", "built", "duplicates", "accesses")}, "steps": steps, "held": count["held"], "buffers": heap, "best": best_of, "stopped": full() and len(out) < k, "graph": g}
