@@ -2,28 +2,37 @@
 
 from __future__ import annotations
 
-from functools import lru_cache
+from functools import lru_cache, reduce
+
+from .graph.model import SCALE
 
 NONE_LEFT = float("-inf")
+#: How two weights make one, for each aggregate; all grow with both sides, which is all that the bounds need.
+COMBINED = {"sum": lambda a, b: a + b, "mean": lambda a, b: a + b, "min": min, "max": max, "product": lambda a, b: a * b / SCALE}
+
+
+def repeated(weight: float, n: int, agg: str = "sum") -> float:
+    """The weight of n edges of one weight."""
+    return reduce(COMBINED[agg], [weight] * n)
 
 
-def rank_scan_bound(last_read: float, heaviest: float, length: int) -> float:
+def rank_scan_bound(last_read: float, heaviest: float, length: int, agg: str = "sum") -> float:
     """No path with an unread edge weighs more."""
-    return last_read + (length - 1) * heaviest
+    return last_read if length == 1 else COMBINED[agg](last_read, repeated(heaviest, length - 1, agg))
 
 
-def first_bounds(length: int, heaviest: float) -> dict[int, float]:
-    return {i: i * heaviest for i in range(2, length + 1)}
+def first_bounds(length: int, heaviest: float, agg: str = "sum") -> dict[int, float]:
+    return {i: repeated(heaviest, i, agg) for i in range(2, length + 1)}
 
 
-def after_read(last_read: float) -> float:
+def after_read(last_read: float, agg: str = "sum") -> float:
     """Bound on length-2 paths still to come."""
-    return 2 * last_read
+    return repeated(last_read, 2, agg)
 
 
-def after_release(best_unreleased: float, bound: float, slack: float) -> float:
-    """Bound on paths one edge longer, after a release."""
-    return max(best_unreleased, bound) + slack
+def after_release(best_unreleased: float, bound: float, slack: float, agg: str = "sum") -> float:
+    """Bound on paths one edge longer, after a release; slack: the heaviest edge they can have more."""
+    return COMBINED[agg](max(best_unreleased, bound), slack)
 
 
 def split_bound(best: dict[int, float], length: int, j: int, heaviest: float) -> float:

@@ -50,8 +50,11 @@ def _band_limits(g: Graph, bands: int) -> list[int]:
     return [*dict.fromkeys([*out, g.n_edges])]
 
 
-def canonical_growth(g: Graph, length: int, k: int = 1, agg: str = "sum", seed: int | str | None = "beam", bands: int = 1, width: int = 200) -> PathResult:
-    """Exact top-k. seed: 'beam', a known lower bound on the k-th weight, or None; bands: slices of start edges."""
+def canonical_growth(g: Graph, length: int, k: int = 1, agg: str = "sum", seed: int | str | None = "beam", bands: int = 1, width: int = 200, counters: bool = False) -> PathResult:
+    """Exact top-k. seed: 'beam', a known lower bound on the k-th weight, or None; bands: slices of start edges.
+
+    counters: also counts joins (paths made at any length, which are all different), by jobs of their own.
+    """
     spark = g.edges.sparkSession
     best: list = []
     if seed == "beam" and length > 1 and g.n_edges:
@@ -60,7 +63,7 @@ def canonical_growth(g: Graph, length: int, k: int = 1, agg: str = "sum", seed:
     rest = expand.AGGREGATES[agg][1]
     slack = 1 if agg == "product" else 0  # products are rounded
     limits = _band_limits(g, bands)
-    steps = []
+    steps, joins, read = [], 0, 0
     for lo, hi in zip(limits, limits[1:]):
         edges = g.edges.where((F.col("eid") >= lo) & (F.col("eid") < hi))
         paths = expand.start_paths(g, agg, edges)
@@ -68,15 +71,17 @@ def canonical_growth(g: Graph, length: int, k: int = 1, agg: str = "sum", seed:
             paths = paths.where(rest(F.col("w"), F.col("last_w"), length - 1) >= tau - slack)
         for i in range(2, length + 1):
             paths = expand.extend_both(paths, g, "strict", agg)
+            joins += paths.count() if counters else 0
             if tau is not None:
                 paths = paths.where(rest(F.col("w"), F.greatest("first_w", "last_w"), length - i) >= tau - slack)
             if i % LEVELS_PER_PLAN == 0 and i < length:
                 paths = keep(paths, "growth")
         best = expand.better(best, [(r[0], r[1]) for r in expand.top(paths, k, g.directed, agg).collect()], k)  # k rows
         tau = best[-1][1] if len(best) >= k else tau
-        steps.append((len(steps), length, float(tau) if tau is not None else None, hi, 0, 0, 0, 0))
+        steps.append((len(steps), length, float(tau) if tau is not None else None, hi, joins, joins, 0, 0))
+        read = hi
         if tau is not None and hi < g.n_edges and agg in ("sum", "mean"):
             unread = g.edges.where(F.col("eid") == hi).first()["w"]
             if length * unread < tau:
                 break
-    return PathResult(expand.answers(spark, best, length, agg), {"exact": True, "exhausted": len(best) < k, "bands": len(steps)}, steps, g.labels)
+    return PathResult(expand.answers(spark, best, length, agg), {"exact": True, "exhausted": len(best) < k, "bands": len(steps), "edges_read": read} | ({"joins": joins, "built": joins, "duplicates": 0} if counters else {}), steps, g.labels)

@@ -14,39 +14,46 @@ from . import expand
 from .result import PathResult
 
 
-def edge_rank_scan(g: Graph, length: int, k: int = 1, block: int | str = "double", first: int = 64, ties: str = "exact", keep_partials: bool = False) -> PathResult:
+def edge_rank_scan(g: Graph, length: int, k: int = 1, block: int | str = "double", first: int = 64, ties: str = "exact", keep_partials: bool = False, agg: str = "sum", counters: bool = False) -> PathResult:
     """Reads the heaviest edges block by block; each block is joined with all edges read, at every position of a path.
 
     block: rows a round, or 'double'. ties: 'exact' reads on while an unread path could tie; 'source' stops at equality.
-    keep_partials: writes the partial paths of a round instead of rebuilding them inside one plan.
+    keep_partials: writes the partial paths of a round instead of rebuilding them inside one plan. agg: any aggregate; with
+    'max' an unread edge can stand beside the heaviest, so everything is read. counters: also counts joins (partial and whole paths made) and
+    paths built, by jobs of their own.
     """
     spark = g.edges.sparkSession
     best: list = []
-    read, size, steps = 0, first if block == "double" else int(block), []
+    read, size, steps, joins, built = 0, first if block == "double" else int(block), [], 0, 0
+    slack = 1 if agg == "product" else 0  # products are rounded
     while read < g.n_edges:
         hi = min(g.n_edges, read + size)
         fresh, old, all_ = g.prefix(hi, read), g.prefix(read), g.prefix(hi)
         found = []
         for left in range(length):  # old edges before the first new one, any edges behind it
-            paths = expand.start_paths(g, edges=fresh.edges)
+            paths = expand.start_paths(g, agg, fresh.edges)
             paths = paths if g.directed else expand.both_ways(paths)
             for _ in range(left):
-                paths = expand.extend_left(paths, g, old.arcs(inward=True))
+                paths = expand.extend_left(paths, g, old.arcs(inward=True), agg=agg)
+                joins += paths.count() if counters else 0
             for _ in range(length - 1 - left):
-                paths = expand.extend_right(paths, g, all_.arcs())
+                paths = expand.extend_right(paths, g, all_.arcs(), agg=agg)
+                joins += paths.count() if counters else 0
             found.append(keep(paths, "partials") if keep_partials else paths)
         made = reduce(DataFrame.union, found)
         if not g.directed:  # each undirected path comes once a direction
             made = made.where("element_at(nodes, 1) < element_at(nodes, -1)")
-        best = expand.better(best, [(r[0], r[1]) for r in expand.top(made, k, g.directed).collect()], k)  # k rows
+        built += made.count() if counters else 0
+        best = expand.better(best, [(r[0], r[1]) for r in expand.top(made, k, g.directed, agg).collect()], k)  # k rows
         last = g.edges.where(F.col("eid") == hi - 1).first()["w"]
         read = hi
-        theta = bounds.rank_scan_bound(last, g.max_w, length)
-        steps.append((len(steps), length, float(theta), read, 0, 0, 0, len(best)))
+        theta = bounds.rank_scan_bound(last, g.max_w, length, agg) + slack
+        steps.append((len(steps), length, float(theta), read, joins, built, 0, len(best)))
         if len(best) >= k and (best[-1][1] > theta if ties == "exact" else best[-1][1] >= theta):
             break
         size = size * 2 if block == "double" else size
-    return PathResult(expand.answers(spark, best, length), {"exact": True, "edges_read": read, "exhausted": len(best) < k}, steps, g.labels)
+    counted = {"joins": joins, "built": built, "duplicates": 0} if counters else {}
+    return PathResult(expand.answers(spark, best, length, agg), {"exact": True, "edges_read": read, "exhausted": len(best) < k} | counted, steps, g.labels)
 
 
 class Input:
