@@ -7,7 +7,9 @@ from pyspark.sql import functions as F
 
 from .api import heaviest_paths
 from .graph import builders as B
-from .graph.model import encode, graph
+from .graph.model import Graph, encode, graph
+from .paths import expand
+from .paths.canonical_growth import canonical_growth
 from .paths.layered import layered_paths
 from .paths.reductions import lightest_paths
 from .paths.result import PathResult
@@ -37,3 +39,22 @@ def flow_chains(moves: DataFrame, length: int, k: int = 1, **options) -> PathRes
 def stable_chains(layers: DataFrame, k: int = 1, steps: int | None = None) -> PathResult:
     """Heavy chains through layers in time; layers: (layer, src, dst, w)."""
     return layered_paths(layers, k, "bfs", steps)
+
+
+def heaviest_with_ends(g: Graph, halves: DataFrame, length: int, k: int) -> DataFrame:
+    """(rank, nodes, length, weight) of the k paths with the largest sum of edge weights and of the two end nodes' scores; halves: (id, half), none negative.
+
+    The k' heaviest paths by edges alone are found for growing k' until no path further down can reach the k-th sum.
+    """
+    most = halves.agg(F.max("half")).first()[0] or 0
+    wanted = 4 * k
+    while True:
+        rows = canonical_growth(g, length, wanted).paths
+        x, y = halves.toDF("x", "hx"), halves.toDF("y", "hy")
+        ends = rows.select("nodes", "weight", F.element_at("nodes", 1).alias("x"), F.element_at("nodes", -1).alias("y"))
+        best = ends.join(x, "x", "left").join(y, "y", "left").select("nodes", (F.col("weight") + F.coalesce("hx", F.lit(0)) + F.coalesce("hy", F.lit(0))).alias("w"))
+        top = expand.top(best, k, True).collect()  # k rows
+        found = rows.agg(F.count("*").alias("n"), F.min("weight").alias("low")).first()
+        if found["n"] < wanted or (len(top) == k and found["low"] + 2 * most < top[-1]["w"]):
+            return expand.answers(g.edges.sparkSession, top, length)
+        wanted *= 4

@@ -60,11 +60,11 @@ def _(t):
 
 
 # joins
-_LO = "select o_orderkey, o_custkey, l_linenumber from orders join lineitem on o_orderkey = l_orderkey where l_quantity > 45"
+_LO = "select o_orderkey, o_custkey, l_linenumber from orders join lineitem on o_orderkey = l_orderkey"
 
 
 def _lines_of_orders(t, hint):
-    return t("orders").join(t("lineitem").where("l_quantity > 45").hint(hint), F.col("o_orderkey") == F.col("l_orderkey")).select("o_orderkey", "o_custkey", "l_linenumber")
+    return t("orders").join(t("lineitem").hint(hint), F.col("o_orderkey") == F.col("l_orderkey")).select("o_orderkey", "o_custkey", "l_linenumber")
 
 
 op("j_inner_hash", _LO)(lambda t: _lines_of_orders(t, "shuffle_hash"))
@@ -97,10 +97,10 @@ def _(t):
     return e.join(s, "user_id").where("ts >= a and ts < b").groupBy("user_id").agg(F.count("*").alias("n"), F.round(F.sum("value"), 4).alias("total"))
 
 
-@op("j_asof_order_event", "select e.event_id, (select max(o_orderkey) from orders where o_custkey = e.user_id and o_orderdate = (select max(o_orderdate) from orders where o_custkey = e.user_id and o_orderdate <= e.ts)) as last_order from events e where e.event_id < 2000")
+@op("j_asof_order_event", "select event_id, o as last_order from events asof left join (select o_custkey, o_orderdate, max(o_orderkey) as o from orders group by all) on o_custkey = user_id and o_orderdate <= ts")
 def _(t):
     # both inputs in one order a user; the last order seen is carried forward
-    e = t("events").where("event_id < 2000").select(F.col("user_id").alias("u"), "ts", F.lit(1).alias("kind"), "event_id", F.lit(None).cast("long").alias("o"))
+    e = t("events").select(F.col("user_id").alias("u"), "ts", F.lit(1).alias("kind"), "event_id", F.lit(None).cast("long").alias("o"))
     o = t("orders").select(F.col("o_custkey").alias("u"), F.col("o_orderdate").alias("ts"), F.lit(0).alias("kind"), F.lit(None).cast("long").alias("event_id"), F.col("o_orderkey").alias("o"))
     line = W.partitionBy("u").orderBy("ts", "kind", F.col("o").asc_nulls_last()).rowsBetween(W.unboundedPreceding, W.currentRow)
     return e.union(o).withColumn("last_order", F.last("o", ignorenulls=True).over(line)).where("kind = 1").select("event_id", "last_order")
@@ -108,24 +108,23 @@ def _(t):
 
 op("j_semi", "select c_custkey from customer where exists (select 1 from orders where o_custkey = c_custkey and o_totalprice > 300000)")(
     lambda t: t("customer").join(t("orders").where("o_totalprice > 300000"), F.col("c_custkey") == F.col("o_custkey"), "left_semi").select("c_custkey"))
-op("j_anti", "select c_custkey from customer where not exists (select 1 from orders where o_custkey = c_custkey)")(
-    lambda t: t("customer").join(t("orders"), F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey"))
+op("j_anti", "select c_custkey from customer where not exists (select 1 from supplier where s_suppkey = c_custkey and s_nationkey <> c_nationkey)")(
+    lambda t: t("customer").join(t("supplier"), (F.col("c_custkey") == F.col("s_suppkey")) & (F.col("c_nationkey") != F.col("s_nationkey")), "left_anti").select("c_custkey"))
 op("j_left", "select c_custkey, count(o_orderkey) as n from customer left join orders on c_custkey = o_custkey group by c_custkey")(
     lambda t: t("customer").join(t("orders"), F.col("c_custkey") == F.col("o_custkey"), "left").groupBy("c_custkey").agg(F.count("o_orderkey").alias("n")))
-op("j_right", "select s_suppkey, count(l_orderkey) as n from (select * from lineitem where l_quantity > 49) l right join supplier on l_suppkey = s_suppkey group by s_suppkey")(
-    lambda t: t("lineitem").where("l_quantity > 49").join(t("supplier"), F.col("l_suppkey") == F.col("s_suppkey"), "right").groupBy("s_suppkey").agg(F.count("l_orderkey").alias("n")))
-op("j_full", "select a.k as x, b.k as y from (select c_custkey as k from customer where c_custkey % 2 = 0) a full join (select c_custkey as k from customer where c_custkey % 3 = 0) b on a.k = b.k")(
-    lambda t: t("customer").where("c_custkey % 2 = 0").select(F.col("c_custkey").alias("x")).join(t("customer").where("c_custkey % 3 = 0").select(F.col("c_custkey").alias("y")), F.col("x") == F.col("y"), "full_outer"))
-op("j_full_whole", "select c_custkey as x, s_suppkey as y from customer full join supplier on c_custkey = s_suppkey and c_nationkey = s_nationkey")(
+op("j_right", "select s_suppkey, count(l_orderkey) as n from lineitem right join supplier on l_suppkey = s_suppkey group by s_suppkey")(
+    lambda t: t("lineitem").join(t("supplier"), F.col("l_suppkey") == F.col("s_suppkey"), "right").groupBy("s_suppkey").agg(F.count("l_orderkey").alias("n")))
+op("j_full", "select c_custkey as x, s_suppkey as y from customer full join supplier on c_custkey = s_suppkey and c_nationkey = s_nationkey")(
     lambda t: t("customer").join(t("supplier"), (F.col("c_custkey") == F.col("s_suppkey")) & (F.col("c_nationkey") == F.col("s_nationkey")), "full_outer").select(F.col("c_custkey").alias("x"), F.col("s_suppkey").alias("y")))
 
 
-@op("j_cross_missing", "select a.n_nationkey as a, b.n_nationkey as b from nation a, nation b where a.n_nationkey < b.n_nationkey and not exists (select 1 from customer join orders on o_custkey = c_custkey join lineitem on l_orderkey = o_orderkey join supplier on l_suppkey = s_suppkey where l_quantity > 48 and c_nationkey = a.n_nationkey and s_nationkey = b.n_nationkey)")
+@op("j_cross_missing", "select a.n_nationkey as a, b.n_nationkey as b, count(s_suppkey) as lines from nation a join nation b on a.n_nationkey < b.n_nationkey left join (select c_nationkey, s_nationkey, s_suppkey from customer join orders on o_custkey = c_custkey join lineitem on l_orderkey = o_orderkey join supplier on l_suppkey = s_suppkey) on c_nationkey = a.n_nationkey and s_nationkey = b.n_nationkey group by all")
 def _(t):
     n = t("nation").select("n_nationkey")  # 25 rows
     pairs = n.toDF("a").crossJoin(n.toDF("b")).where("a < b")
-    met = t("lineitem").where("l_quantity > 48").join(t("orders"), F.col("l_orderkey") == F.col("o_orderkey")).join(t("customer"), F.col("o_custkey") == F.col("c_custkey")).join(t("supplier"), F.col("l_suppkey") == F.col("s_suppkey"))
-    return pairs.join(met.select(F.col("c_nationkey").alias("a"), F.col("s_nationkey").alias("b")).distinct(), ["a", "b"], "left_anti")
+    met = t("lineitem").join(t("orders"), F.col("l_orderkey") == F.col("o_orderkey")).join(t("customer"), F.col("o_custkey") == F.col("c_custkey")).join(t("supplier"), F.col("l_suppkey") == F.col("s_suppkey"))
+    met = met.groupBy(F.col("c_nationkey").alias("a"), F.col("s_nationkey").alias("b")).agg(F.count("*").alias("lines"))
+    return pairs.join(met, ["a", "b"], "left").select("a", "b", F.coalesce("lines", F.lit(0)).alias("lines"))
 
 
 @op("j_self", "select a.o_orderkey as x, b.o_orderkey as y from orders a join orders b on a.o_custkey = b.o_custkey and a.o_orderkey < b.o_orderkey where a.o_orderpriority = b.o_orderpriority")
@@ -142,6 +141,12 @@ def _(t):
     return t("customer").join(top, F.col("c_custkey") == F.col("o_custkey")).select("c_custkey", "o_orderkey")
 
 
+@op("j_lateral_join", "select c_custkey, o_orderkey from customer, lateral (select o_orderkey from orders where o_custkey = c_custkey order by o_totalprice desc, o_orderkey limit 2)")
+def _(t):
+    mine = t("orders").where(F.col("o_custkey") == F.col("c_custkey").outer()).orderBy(F.desc("o_totalprice"), "o_orderkey").limit(2).select("o_orderkey")
+    return t("customer").lateralJoin(mine).select("c_custkey", "o_orderkey")
+
+
 @op("j_null_safe", "select count(*) as n from (select nullif(c_nationkey, 3) as k from customer) a join (select nullif(s_nationkey, 3) as k from supplier) b on a.k is not distinct from b.k")
 def _(t):
     a, b = t("customer").select(F.nullif("c_nationkey", F.lit(3)).alias("k")), t("supplier").select(F.nullif("s_nationkey", F.lit(3)).alias("j"))
@@ -169,8 +174,8 @@ op("a_filter_clause", "select o_orderstatus, count(*) filter (where o_totalprice
 op("a_percentile", "select l_returnflag, round(quantile_cont(l_extendedprice, 0.5), 4) as mid, round(quantile_cont(l_extendedprice, 0.9), 4) as high from lineitem group by l_returnflag")(
     lambda t: t("lineitem").groupBy("l_returnflag").agg(F.round(F.percentile("l_extendedprice", 0.5), 4).alias("mid"), F.round(F.percentile("l_extendedprice", 0.9), 4).alias("high")))
 op("a_approx_percentile", None)(lambda t: t("lineitem").groupBy("l_returnflag").agg(F.percentile_approx("l_extendedprice", 0.5, 1000).alias("mid")))
-op("a_collect", "select p_brand, string_agg(distinct p_name, ',' order by p_name) as names from part where p_size < 5 group by p_brand")(
-    lambda t: t("part").where("p_size < 5").groupBy("p_brand").agg(F.array_join(F.array_sort(F.collect_set("p_name")), ",").alias("names")))
+op("a_collect", "select p_brand, string_agg(distinct p_name, ',' order by p_name) as names from part group by p_brand")(
+    lambda t: t("part").groupBy("p_brand").agg(F.array_join(F.array_sort(F.collect_set("p_name")), ",").alias("names")))
 op("a_max_by_k", "select o_custkey, string_agg(o_orderkey::varchar, ',' order by o_totalprice desc, o_orderkey) as best from (select *, row_number() over (partition by o_custkey order by o_totalprice desc, o_orderkey) as rk from orders) where rk <= 3 group by o_custkey")(
     lambda t: t("orders").withColumn("rk", F.row_number().over(W.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey"))).where("rk <= 3").groupBy("o_custkey").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("rk", "o_orderkey"))), lambda s: s["o_orderkey"].cast("string")), ",").alias("best")))
 op("a_moments", "select l_returnflag, round(stddev_samp(l_quantity), 6) as sd, round(var_pop(l_discount), 8) as var, round(corr(l_quantity, l_extendedprice), 6) as r from lineitem group by l_returnflag")(
@@ -218,6 +223,45 @@ op("o_nulls_last", "select k from (select nullif(c_custkey % 50, 7) as k, c_cust
     lambda t: t("customer").select(F.nullif(F.col("c_custkey") % 50, F.lit(7)).alias("k"), "c_custkey").orderBy(F.col("k").desc_nulls_last(), "c_custkey").limit(40).select("k"))
 op("o_topk", "select c_mktsegment, c_custkey from (select *, rank() over (partition by c_mktsegment order by c_acctbal desc) as r from customer) where r <= 5")(
     lambda t: t("customer").withColumn("r", F.rank().over(W.partitionBy("c_mktsegment").orderBy(F.desc("c_acctbal")))).where("r <= 5").select("c_mktsegment", "c_custkey"))
-_A, _B = "select c_nationkey as k from customer where c_acctbal > 8000", "select s_nationkey as k from supplier"
+_A, _B = "select c_custkey as k from customer", "select s_suppkey as k from supplier"
 for _n, _f in {"union_all": lambda a, b: a.unionAll(b), "union": lambda a, b: a.union(b).distinct(), "intersect": lambda a, b: a.intersect(b), "intersect_all": lambda a, b: a.intersectAll(b), "except": lambda a, b: a.subtract(b), "except_all": lambda a, b: a.exceptAll(b)}.items():
-    op(f"u_{_n}", f"{_A} {_n.replace('_', ' ')} {_B}")(lambda t, f=_f: f(t("customer").where("c_acctbal > 8000").select(F.col("c_nationkey").alias("k")), t("supplier").select(F.col("s_nationkey").alias("k"))))
+    op(f"u_{_n}", f"{_A} {_n.replace('_', ' ')} {_B}")(lambda t, f=_f: f(t("customer").select(F.col("c_custkey").alias("k")), t("supplier").select(F.col("s_suppkey").alias("k"))))
+
+
+# sampling: every row has its fate by its key, so a run can be repeated
+@op("o_sample_stable", None)
+def _(t):
+    return t("orders").where(F.pmod(F.xxhash64(F.lit("sample"), "o_orderkey"), F.lit(10)) == 0).select("o_orderkey")
+
+
+op("o_sample", None)(lambda t: t("orders").sample(fraction=0.1, seed=7).select("o_orderkey"))
+op("o_sample_by", None)(lambda t: t("orders").sampleBy("o_orderstatus", {"O": 0.1, "F": 0.05, "P": 1.0}, seed=7).select("o_orderkey", "o_orderstatus"))
+
+# sketches against exact values: how far off they are, so that a reader sees it
+op("a_sketch_kll", None)(lambda t: t("lineitem").groupBy("l_returnflag").agg(F.expr("kll_sketch_get_quantile_double(kll_sketch_agg_double(l_extendedprice), 0.5D)").alias("mid"), F.percentile("l_extendedprice", 0.5).alias("exact")))
+op("a_sketch_hll", None)(lambda t: t("lineitem").groupBy("l_returnflag").agg(F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey", 12)).alias("parts"), F.count_distinct("l_partkey").alias("exact")))
+
+
+@op("a_sketch_count_min", None)
+def _(t):
+    """Counts of parts from a count-min table of 4 x 4,096 cells: never below the truth."""
+    cell = lambda i: F.pmod(F.xxhash64(F.lit(i), "l_partkey"), F.lit(4096)).alias("cell")
+    rows = [t("lineitem").groupBy(F.lit(i).alias("line"), cell(i)).agg(F.count("*").alias("n")) for i in range(4)]
+    table = rows[0].union(rows[1]).union(rows[2]).union(rows[3])
+    parts = t("lineitem").groupBy("l_partkey").agg(F.count("*").alias("exact"))
+    asked = parts.select("l_partkey", "exact", F.inline(F.array(*[F.struct(F.lit(i).alias("line"), cell(i)) for i in range(4)])))
+    return asked.join(table, ["line", "cell"]).groupBy("l_partkey", "exact").agg(F.min("n").alias("estimate"))
+
+
+@op("j_bloom", "select l_orderkey, l_linenumber from lineitem where exists (select 1 from orders where o_orderkey = l_orderkey and o_totalprice > 300000)")
+def _(t):
+    """A bit table of the small side (2^20 bits as 64-bit words, or-ed by word) drops rows before the exact semi join."""
+    bits = 20
+    at = lambda c, i: F.pmod(F.xxhash64(F.lit(i), c), F.lit(1 << bits))
+    dear = t("orders").where("o_totalprice > 300000").select("o_orderkey")
+    ones = dear.select(F.explode(F.array(*[at("o_orderkey", i) for i in range(3)])).alias("bit"))
+    words = ones.groupBy((F.col("bit") / 64).cast("int").alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(bit % 64 as int))")).alias("mask"))
+    table = words.agg(F.map_from_entries(F.collect_list(F.struct("word", "mask"))).alias("table"))  # one row of at most 2^14 words
+    has = [F.coalesce(F.expr(f"shiftright(table[cast(b{i} / 64 as int)], cast(b{i} % 64 as int))").bitwiseAND(F.lit(1)), F.lit(0)) == 1 for i in range(3)]
+    line = t("lineitem").select("l_orderkey", "l_linenumber", *[at("l_orderkey", i).alias(f"b{i}") for i in range(3)]).crossJoin(F.broadcast(table))
+    return line.where(has[0] & has[1] & has[2]).join(dear, F.col("l_orderkey") == F.col("o_orderkey"), "left_semi").select("l_orderkey", "l_linenumber")

@@ -78,6 +78,18 @@ _add("p_min", "baskets", 3, 10, "canonical_growth", S.path_sql("baskets", 3, 10,
 _add("p_max", "baskets", 3, 10, "canonical_growth", S.path_sql("baskets", 3, 10, step="greatest(p.w, arcs.w)"), agg="max")
 _add("p_product", "baskets", 3, 10, "canonical_growth", S.path_sql("baskets", 3, 10, start="w::double", step="p.w * arcs.w / 1000000000.0", final="round(w)"), agg="product")
 _add("p_mean", "nation", 3, 10, "canonical_growth", S.path_sql("nation", 3, 10).replace("v::bigint as weight", "round(v / 3.0)::bigint as weight"), agg="mean")
+_STEP = {"min": "least(p.w, arcs.w)", "max": "greatest(p.w, arcs.w)"}
+for _a in ("min", "max"):
+    _add(f"p_buffers_{_a}", "baskets", 3, 10, "ordered_buffers", S.path_sql("baskets", 3, 10, step=_STEP[_a]), agg=_a)
+    _add(f"p_rank_scan_{_a}", "baskets", 3, 10, "edge_rank_scan", S.path_sql("baskets", 3, 10, step=_STEP[_a]), agg=_a, first=256)
+_PRODUCT = S.path_sql("baskets", 3, 10, start="w::double", step="p.w * arcs.w / 1000000000.0", final="round(w)")
+_add("p_buffers_product", "baskets", 3, 10, "ordered_buffers", _PRODUCT, agg="product")
+_add("p_rank_scan_product", "baskets", 3, 10, "edge_rank_scan", _PRODUCT, agg="product", first=256)
+# lazy access
+_add("p_lazy_d1_l3", "topic", 3, 10, "ordered_buffers", access="lazy", block=64)
+_add("p_lazy_d2p_l4", "baskets", 4, 10, "ordered_buffers", access="lazy", block=256)
+_add("p_lazy_d2w_l2", "words", 2, 25, "ordered_buffers", access="lazy", block=256)
+_add("p_lazy_d3_l6", "road", 6, 3, "ordered_buffers", access="lazy", block=4096)
 # heuristics and baselines
 _add("h_budget_exact", "baskets", 4, 5, "budgeted", budget=1_000_000, block=1024)
 _add("h_budget_small", "baskets", 6, 1, "budgeted", False, budget=500)
@@ -103,7 +115,10 @@ QUERIES["p_growth_directed"] = _directed("canonical_growth")
 QUERIES["p_enumerate_directed"] = _directed("enumerate")
 QUERIES["p_buffers_directed"] = _directed("ordered_buffers", guard="strict")
 QUERIES["p_dp_directed"] = _directed("avoidance_dp")
-for _key in ("p_growth_directed", "p_enumerate_directed", "p_buffers_directed", "p_dp_directed"):
+QUERIES["p_lazy_directed"] = _directed("ordered_buffers", access="lazy")
+QUERIES["h_greedy_directed"] = _directed("greedy")
+QUERIES["h_budget_directed"] = _directed("budgeted", budget=100_000)
+for _key in ("p_lazy_directed", "h_budget_directed", "p_growth_directed", "p_enumerate_directed", "p_buffers_directed", "p_dp_directed"):
     ORACLES[_key] = S.path_sql("topic", 2, 10, directed=True, edges=_DIRECTED)
 
 
@@ -127,20 +142,14 @@ def p_node_score_mul(s, d):
 
 
 def p_node_score_add(s, d):
-    """Node scores added: each edge carries half of both ends' scores, and the ends of the path the other halves."""
-    g = B.stand_in(s, d, "baskets")
-    score = B.load(s, d, "part").select(F.col("p_partkey").alias("id"), (F.col("p_size") * 1_000_000).cast("long").alias("r"))
-    # exact: rank all candidates by edge weights plus node scores after an exhaustive growth
-    from ..paths import expand
-
-    paths = expand.both_ways(expand.start_paths(g))
-    for _ in range(2):
-        paths = expand.extend_right(paths, g, g.arcs())
-    paths = paths.where("element_at(nodes, 1) < element_at(nodes, -1)").select("nodes", "w")
-    plus = paths.select("nodes", "w", F.explode("nodes").alias("id")).join(score, "id").groupBy("nodes", "w").agg((F.first("w") + F.sum("r")).alias("v"))
-    rows = [(r["nodes"], r["v"]) for r in plus.select("nodes", "v").orderBy(F.desc("v"), "nodes").limit(10).collect()]
-    out = expand.answers(s, rows, 3)
-    return out.select("rank", F.array_join(F.transform("nodes", lambda x: x.cast("string")), ">").alias("path"), "length", "weight")
+    """Node scores added: an edge carries half of both ends' scores; the outer halves of a path's ends come on top.
+
+    The halves missing at the ends are bounded by the largest score, so growth keeps every path that can still be among the answers.
+    """
+    score = B.load(s, d, "part").select(F.col("p_partkey").alias("id"), (F.col("p_size") * 500_000).cast("long").alias("half"))
+    a, b = score.toDF("a", "ha"), score.toDF("b", "hb")
+    edges = B.basket_edges(s, d).join(a, "a").join(b, "b").select(F.col("a").alias("src"), F.col("b").alias("dst"), (F.col("w") + F.col("ha") + F.col("hb")).alias("w"))
+    return apps.heaviest_with_ends(graph(edges), score, 3, 10).select("rank", F.array_join(F.transform("nodes", lambda x: x.cast("string")), ">").alias("path"), "length", "weight")
 
 
 QUERIES |= {"p_node_score_mul": p_node_score_mul, "p_node_score_add": p_node_score_add}
@@ -149,32 +158,23 @@ ORACLES["p_node_score_mul"] = S.path_sql("baskets", 3, 10, edges=_SCORED)
 ORACLES["p_node_score_add"] = S.path_sql("baskets", 3, 10, final="w + (select sum(p_size * 1000000)::bigint from part where list_contains(n, p_partkey))")
 
 
-def _layered(method):
-    def run(s, d):
-        r = layered_paths(B.layer_edges(s, d).where("layer < 4"), 5, method, 4)
-        return r.paths.select("rank", F.array_join(F.transform("nodes", lambda x: x.cast("string")), ">").alias("path"), "length", "weight")
-
-    return run
-
-
-for _m in ("bfs", "dfs", "ta"):
-    QUERIES[f"p_layered_{_m}"] = _layered(_m)
-    ORACLES[f"p_layered_{_m}"] = f"""with {S.LAYERS}, l as (select * from layers where layer < 4),
-best as (select [a.src, a.dst, b.dst, c.dst, e.dst] as n, a.w + b.w + c.w + e.w as v from l a join l b on a.layer = 0 and b.src = a.dst join l c on c.src = b.dst join l e on e.src = c.dst order by v desc, n limit 5)
-select (row_number() over (order by v desc, n))::int as rank, array_to_string(n, '>') as path, 4 as length, v::bigint as weight from best"""
-
-
-def _layered_whole(method, k=5):
+def _layered(run, k):
     """Over every layer of the table, from the first day to the last."""
-    def run(s, d):
-        r = layered_paths(B.layer_edges(s, d), k, method)
-        return r.paths.select("rank", F.array_join(F.transform("nodes", lambda x: x.cast("string")), ">").alias("path"), "length", "weight")
+    return lambda s, d: run(B.layer_edges(s, d), k).paths.select("rank", F.array_join(F.transform("nodes", lambda x: x.cast("string")), ">").alias("path"), "length", "weight")
 
-    return run
+
+def _layered_sql(k):
+    """The k best chains into each node, layer by layer."""
+    return f"""with recursive {S.LAYERS}, best(layer, n, v) as (select layer + 1, [src, dst], w from layers where layer = 0 union all
+select layer, n, v from (select l.layer + 1 as layer, list_append(b.n, l.dst) as n, b.v + l.w as v, row_number() over (partition by l.dst order by b.v + l.w desc, list_append(b.n, l.dst)) as rk
+from best b join layers l on l.layer = b.layer and l.src = b.n[-1]) where rk <= {k}),
+top as (select n, v from best where layer = (select max(layer) + 1 from layers) order by v desc, n limit {k})
+select (row_number() over (order by v desc, n))::int as rank, array_to_string(n, '>') as path, (len(n) - 1)::int as length, v::bigint as weight from top"""
 
 
-# no SQL twins: tests hold the methods against brute force on many layers
-QUERIES |= {f"p_layered_{_m}_whole": _layered_whole(_m) for _m in ("bfs", "dfs", "ta")}
+for _m in ("bfs", "dfs", "ta"):
+    QUERIES[f"p_layered_{_m}"] = _layered(lambda e, k, m=_m: layered_paths(e, k, m), 5)
+    ORACLES[f"p_layered_{_m}"] = _layered_sql(5)
 
 
 def _sql(form):
@@ -250,16 +250,13 @@ QUERIES |= {
     "app_sequences": a_sequences,
     "app_routes": lambda s, d: apps.plan_routes(B.road_distances(s, d).select("src", "dst", F.round("dist", 6).alias("dist")), 5, 3).named(),
     "app_flow_chains": lambda s, d: apps.flow_chains(B.topic_moves(s, d), 3, 5).named(),
-    "app_stable_chains": lambda s, d: apps.stable_chains(B.layer_edges(s, d).where("layer < 3"), 3, 3).paths.select("rank", F.array_join(F.transform("nodes", lambda x: x.cast("string")), ">").alias("path"), "length", "weight"),
-    "app_stable_chains_whole": lambda s, d: apps.stable_chains(B.layer_edges(s, d), 3).paths.select("rank", F.array_join(F.transform("nodes", lambda x: x.cast("string")), ">").alias("path"), "length", "weight"),
+    "app_stable_chains": _layered(apps.stable_chains, 3),
 }
 ORACLES |= {
     "app_sequences": S.path_sql("baskets", 3, 5, edges=_GOOD),
     "app_routes": S.path_sql("road", 5, 3, lightest=True, edges=S.ROAD + ", edges as (select src, dst, round(round(dist, 6) * 1000000000.0)::bigint as w from ro)"),
     "app_flow_chains": S.path_sql("topic", 3, 5),
-    "app_stable_chains": f"""with {S.LAYERS}, l as (select * from layers where layer < 3),
-best as (select [a.src, a.dst, b.dst, c.dst] as n, a.w + b.w + c.w as v from l a join l b on a.layer = 0 and b.src = a.dst join l c on c.src = b.dst order by v desc, n limit 3)
-select (row_number() over (order by v desc, n))::int as rank, array_to_string(n, '>') as path, 3 as length, v::bigint as weight from best""",
+    "app_stable_chains": _layered_sql(3),
 }
 
 
@@ -320,8 +317,8 @@ QUERIES |= {
     "m_longest_length": lambda s, d: M.longest_length(s, B.stand_in(s, d, "baskets"), 1500, 3),
     "m_spark_costs": lambda s, d: M.cost_table(s, B.stand_in(s, d, "baskets"), 3, ("enumerate", "canonical_growth", "greedy")),
     "h_upper_bound": lambda s, d: M.bound_table(s, B.stand_in(s, d, "baskets"), 4, range(5, 13)),
-    "h_rho_by_length": lambda s, d: M.rho_table(s, B.stand_in(s, d, "topic"), (6, 15, 25), (20_000,)),
-    "h_rho_by_budget": lambda s, d: M.rho_table(s, B.stand_in(s, d, "topic"), (25,), (10, 100, 1000, 10_000)),
+    "h_rho_by_length": lambda s, d: M.rho_table(s, B.stand_in(s, d, "topic"), (6, 10, 15, 25, 40, 63), (100_000,)),
+    "h_rho_by_budget": lambda s, d: M.rho_table(s, B.stand_in(s, d, "topic"), (25,), (10, 100, 1000, 10_000, 100_000, 1_000_000)),
 }
 _TOP5 = S.path_sql("baskets", 4, 5).replace("array_to_string(n, '>') as path", "n")
 ORACLES |= {
