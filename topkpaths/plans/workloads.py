@@ -122,13 +122,13 @@ _LONG = (10, 25, 40, 60, 80, 100)
 QUERIES = {
     "e_time_by_length_topic": _on("topic", by_length, {"dp": (2, 3), "rank scan": (2, 3), "buffers none": (2, 3), "buffers ends": (2, 3), "growth": (2, 3, 4, 5)}),
     "e_time_by_length_words": _on("words", by_length, {"dp": (2,), "rank scan": (2, 3), "buffers none": (2, 3), "buffers ends": (2, 3), "buffers lazy": (2, 3), "growth": (2, 3)}),
-    "e_time_by_length_baskets": _on("baskets", by_length, {"dp": (2, 4), "rank scan": (2, 4), "buffers none": (2, 4), "buffers ends": (2, 4), "growth": (2, 4, 8, 12, 16, 20)}),
+    "e_time_by_length_baskets": _on("baskets", by_length, {"dp": (2, 3), "rank scan": (2, 3), "buffers none": (2, 3), "buffers ends": (2, 3), "growth": (2, 3, 4, 8, 12, 16, 20)}),
     "e_time_by_length_road": _on("road", by_length, {"dp": (2,), "rank scan": (2, 4), "buffers none": (2, 4), "buffers ends": (2, 4), "growth": (2, 4, 8, 12, 16)}),
     "e_time_by_k_topic": _on("topic", by_k, 3, {"rank scan": (1, 100), "buffers ends": (1, 100), "growth": (1, 10, 25, 50, 75, 100)}),
     "e_time_by_k_baskets": _on("baskets", by_k, 4, {"rank scan": (1, 10, 50, 100), "buffers ends": (1, 10, 50, 100), "growth": (1, 10, 50, 100)}),
     "e_time_by_k_road": _on("road", by_k, 10, {"growth": (1, 10, 25, 50, 75, 100)}),
     "e_guard_by_length_topic": _on("topic", by_length, {"buffers none": (2, 3), "buffers ends": (2, 3), "buffers strict": (2, 3)}),
-    "e_guard_by_length_baskets": _on("baskets", by_length, {"buffers none": (2, 3, 4, 5), "buffers ends": (2, 3, 4, 5), "buffers strict": (2, 3, 4, 5)}),
+    "e_guard_by_length_baskets": _on("baskets", by_length, {"buffers none": (2, 3, 4), "buffers ends": (2, 3, 4), "buffers strict": (2, 3, 4)}),
     "e_guard_by_length_road": _on("road", by_length, {"buffers none": (2, 3, 4), "buffers ends": (2, 3, 4), "buffers strict": (2, 3, 4)}),
     "e_dp_nation": _on("nation", by_length, {"dp": (2, 3, 4), "growth": (2, 3, 4)}),
     "e_long_paths_topic": _on("topic", long_paths, (3, 10, 25, 40, 63), 100_000, 3),
@@ -139,8 +139,8 @@ QUERIES = {
     "e_threshold_decay": _on("baskets", threshold_decay, 3),
     "e_read_paths_topic": lambda s, d: heaviest_paths(B.stand_in(s, d, "topic"), 5, 1).named(),
     "e_read_paths_words": lambda s, d: heaviest_paths(B.stand_in(s, d, "words"), 3, 1).named(),
-    "e_longest_length": lambda s, d: longest(s, {n: B.stand_in(s, d, n) for n in ("topic", "baskets", "road")}, 200_000, 12, 20.0),
+    "e_longest_length": lambda s, d: longest(s, {n: B.stand_in(s, d, n) for n in ("topic", "baskets", "road")}, 50_000, 8, 4.0),
 }
 ORACLES: dict = {}
-for _g, _lengths, _labels in (("topic", (2, 3), ("rank scan", "buffers ends", "growth")), ("baskets", (2, 4), ("dp", "rank scan", "buffers none", "buffers lazy", "growth")), ("road", (2, 4), ("rank scan", "buffers ends", "buffers lazy", "growth"))):
+for _g, _lengths, _labels in (("topic", (2, 3), ("rank scan", "buffers ends", "growth")), ("baskets", (2, 3), ("dp", "rank scan", "buffers none", "growth")), ("road", (2, 4), ("rank scan", "buffers ends", "buffers lazy", "growth"))):
     QUERIES[f"e_best_{_g}"], ORACLES[f"e_best_{_g}"] = _best(_g, _lengths, _labels)
