@@ -134,6 +134,8 @@ QUERIES = {
     "e_long_paths_topic": _on("topic", long_paths, (3, 10, 25, 40, 63), 100_000, 3),
     "e_long_paths_words": _on("words", long_paths, (2, *_LONG), 100_000, 2),
     "e_long_paths_road": _on("road", long_paths, (4, *_LONG), 100_000, 4),
+    "e_rho_by_length": lambda s, d: M.rho_table(s, B.stand_in(s, d, "topic"), (6, 10, 15, 25, 40, 63), (100_000,)),
+    "e_rho_by_budget": lambda s, d: M.rho_table(s, B.stand_in(s, d, "topic"), (25,), (10, 100, 1000, 10_000, 100_000, 1_000_000)),
     "e_access_counts_topic": _on("topic", access_counts, (3,)),
     "e_access_counts_baskets": _on("baskets", access_counts, (2, 3)),
     "e_threshold_decay": _on("baskets", threshold_decay, 3),
