@@ -141,7 +141,7 @@ QUERIES = {
     "e_threshold_decay": _on("baskets", threshold_decay, 3),
     "e_read_paths_topic": lambda s, d: heaviest_paths(B.stand_in(s, d, "topic"), 5, 1).named(),
     "e_read_paths_words": lambda s, d: heaviest_paths(B.stand_in(s, d, "words"), 3, 1).named(),
-    "e_longest_length": lambda s, d: longest(s, {n: B.stand_in(s, d, n) for n in ("topic", "baskets", "road")}, 50_000, 8, 4.0),
+    "e_longest_length": lambda s, d: longest(s, {n: B.stand_in(s, d, n) for n in ("topic", "baskets")}, 20_000, 4, 4.0),
 }
 ORACLES: dict = {}
 for _g, _lengths, _labels in (("topic", (2, 3), ("rank scan", "buffers ends", "growth")), ("baskets", (2, 3), ("dp", "rank scan", "buffers none", "growth")), ("road", (2, 4), ("rank scan", "buffers ends", "buffers lazy", "growth"))):
