@@ -14,6 +14,25 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Items of a session that are paired in one place; a longer session is dealt into parts.
+SESSION_PART = 512
+
+
+def session_pairs(s: DataFrame, part: int = SESSION_PART) -> DataFrame:
+    """(a, b), a < b, of each session; s: different rows (session, item).
+
+    A session of more than `part` items is dealt into parts by the item's hash, and each two parts meet in a block of
+    their own: no key holds more than the pairs of two parts, and no pair is met twice.
+    """
+    long_ones = s.groupBy("session").agg(F.ceil(F.count("*") / F.lit(part)).cast("int").alias("parts")).where("parts > 1")
+    dealt = s.join(long_ones, "session", "left").select("session", "item", F.coalesce("parts", F.lit(1)).alias("parts"))
+    dealt = dealt.withColumn("own", F.when(F.col("parts") == 1, 0).otherwise(F.pmod(F.xxhash64("item"), F.col("parts")).cast("int")))
+    x = dealt.select("session", F.col("own").alias("lo"), F.explode(F.sequence("own", F.col("parts") - 1)).alias("hi"), F.col("item").alias("a"))
+    y = dealt.select("session", F.explode(F.sequence(F.lit(0), F.col("own"))).alias("lo"), F.col("own").alias("hi"), F.col("item").alias("b"))
+    met = x.join(y, ["session", "lo", "hi"]).where((F.col("lo") < F.col("hi")) | (F.col("a") < F.col("b")))
+    return met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+
+
 def pair_counts(sessions: DataFrame, min_item: int = 1, min_support: int = 1) -> DataFrame:
     """(a, b, both, na, nb) of items a < b that share sessions; sessions: (session, item)."""
     s = sessions.where("session is not null and item is not null").distinct()
@@ -21,8 +40,7 @@ def pair_counts(sessions: DataFrame, min_item: int = 1, min_support: int = 1) ->
     if min_item > 1:
         freq = freq.where(F.col("n") >= min_item)
         s = s.join(freq.select("item"), "item", "left_semi")
-    x, y = s.select("session", F.col("item").alias("a")), s.select("session", F.col("item").alias("b"))
-    both = x.join(y, "session").where("a < b").groupBy("a", "b").agg(F.count("*").alias("both")).where(F.col("both") >= min_support)
+    both = session_pairs(s).groupBy("a", "b").agg(F.count("*").alias("both")).where(F.col("both") >= min_support)
     return both.join(freq.select(F.col("item").alias("a"), F.col("n").alias("na")), "a").join(freq.select(F.col("item").alias("b"), F.col("n").alias("nb")), "b")
 
 
@@ -58,13 +76,51 @@ def flipped(distances: DataFrame) -> DataFrame:
     return distances.crossJoin(F.broadcast(top)).select("src", "dst", nano(1 - F.col("dist") / F.col("top")).alias("w"))  # one row
 
 
-def knn(vectors: DataFrame, k: int = 2) -> DataFrame:
-    """(src, dst, dist): the k nearest by cosine distance; vectors: (id, v). All pairs in blocks: small sets only."""
-    unit = F.sqrt(F.aggregate("v", F.lit(0.0), lambda s, x: s + x.cast("double") * x.cast("double")))
-    n = vectors.select("id", F.transform("v", lambda x: x.cast("double")).alias("v"), unit.alias("norm"))
-    a, b = n.toDF("a", "va", "na"), n.toDF("b", "vb", "nb")
-    dot = F.aggregate(F.zip_with("va", "vb", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    d = a.join(b, F.col("a") != F.col("b")).select("a", "b", F.round(1 - dot / (F.col("na") * F.col("nb")), 9).alias("dist"))
+#: Vectors in one block of the nearest-neighbour search.
+KNN_BLOCK = 2_048
+
+
+def _nearest(k: int):
+    """Kernel over (own ids and vectors, other ids and vectors) of two blocks: each own row's k nearest among the others."""
+    import numpy as np
+    import pyarrow as pa
+
+    def matrix(cell):
+        flat = cell.values
+        return flat.flatten().to_numpy(zero_copy_only=False).astype("float64").reshape(len(flat), -1)
+
+    def run(batches):
+        for batch in batches:
+            for i in range(batch.num_rows):
+                ids, own, others, there = (batch.column(c)[i] for c in range(4))
+                a, b = ids.values.to_numpy(), others.values.to_numpy()
+                va, vb = matrix(own), matrix(there)
+                with np.errstate(invalid="ignore", divide="ignore"):
+                    d = np.round(1 - (va @ vb.T) / (np.linalg.norm(va, axis=1)[:, None] * np.linalg.norm(vb, axis=1)[None, :]), 9)
+                d[np.isnan(d)] = np.inf
+                d[a[:, None] == b[None, :]] = np.inf
+                by_id = np.argsort(b, kind="stable")
+                pick = by_id[np.argsort(d[:, by_id], axis=1, kind="stable")[:, :k]]
+                best = np.take_along_axis(d, pick, 1)
+                found = np.isfinite(best).ravel()
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(a, pick.shape[1])[found]), pa.array(b[pick].ravel()[found]), pa.array(best.ravel()[found])], names=["a", "b", "dist"])
+
+    return run
+
+
+def knn(vectors: DataFrame, k: int = 2, block: int = KNN_BLOCK) -> DataFrame:
+    """(src, dst, dist): the k nearest by cosine distance; vectors: (id, v), of one dimension. Null and zero vectors have no neighbours.
+
+    Exact. Vectors are packed into blocks of a bounded size; each two blocks meet as one row, whose task multiplies them
+    and gives k rows a vector, so that a vector's ranking holds k rows a block.
+    """
+    rows = keep(vectors.where("id is not null and v is not null").select(F.col("id").cast("long").alias("id"), F.transform("v", lambda x: x.cast("double")).alias("v")), "vectors")
+    blocks = max(1, -(-rows.count() // block))
+    packed = rows.groupBy(F.pmod(F.xxhash64("id"), F.lit(blocks)).alias("no")).agg(F.collect_list("id").alias("ids"), F.collect_list("v").alias("vs"))  # some `block` rows
+    packed = keep(packed, "blocks")
+    own = packed.select(F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))).alias("no"), F.col("ids").alias("a"), F.col("vs").alias("va"))
+    met = own.join(packed, "no").select("a", "va", F.col("ids").alias("b"), F.col("vs").alias("vb"))
+    d = met.mapInArrow(_nearest(k), "a long, b long, dist double")
     near = d.withColumn("rk", F.row_number().over(Window.partitionBy("a").orderBy("dist", "b"))).where(F.col("rk") <= k)
     return near.select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst"), "dist").distinct()
 

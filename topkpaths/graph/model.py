@@ -14,6 +14,8 @@ from ..runtime import keep
 SCALE = 1_000_000_000
 #: Edges up to which adjacency is broadcast (four longs each, both directions) and ranked by one window.
 SMALL_EDGES = 200_000
+#: Labels up to which a dictionary is numbered by one window.
+SMALL_LABELS = 200_000
 
 
 def nano(weight: Column) -> Column:
@@ -37,16 +39,20 @@ def dropped(edges: DataFrame) -> DataFrame:
     return edges.select(reason.alias("reason")).where("reason is not null").groupBy("reason").count()
 
 
-def rank_edges(edges: DataFrame, small: bool) -> DataFrame:
-    """eid: the place in (w desc, src, dst). Large tables are range-sorted and get per-range offsets, never one window."""
-    order = [F.col("w").desc(), F.col("src"), F.col("dst")]
+def numbered(rows: DataFrame, order: list[Column], name: str, small: bool) -> DataFrame:
+    """name: the place (from 0) in a total order. Large tables are range-sorted and get per-range offsets, never one window."""
     if small:
-        return edges.withColumn("eid", (F.row_number().over(Window.orderBy(*order)) - 1).cast("long"))
-    sorted_ = edges.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("at", F.monotonically_increasing_id())
-    parts = keep(sorted_.select("src", "dst", "w", F.shiftright("at", 33).alias("part"), F.col("at").bitwiseAND((1 << 33) - 1).alias("place")), "edges-sorted")
+        return rows.withColumn(name, (F.row_number().over(Window.orderBy(*order)) - 1).cast("long"))
+    sorted_ = rows.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("at", F.monotonically_increasing_id())
+    parts = keep(sorted_.select(*rows.columns, F.shiftright("at", 33).alias("part"), F.col("at").bitwiseAND((1 << 33) - 1).alias("place")), f"{name}-sorted")
     sizes = parts.groupBy("part").agg(F.count("*").alias("n"))  # one row a range
     offsets = sizes.select("part", F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
-    return parts.join(offsets, "part").select("src", "dst", "w", (F.col("base") + F.col("place")).alias("eid"))
+    return parts.join(offsets, "part").select(*rows.columns, (F.col("base") + F.col("place")).alias(name))
+
+
+def rank_edges(edges: DataFrame, small: bool) -> DataFrame:
+    """eid: the place in (w desc, src, dst)."""
+    return numbered(edges, [F.col("w").desc(), F.col("src"), F.col("dst")], "eid", small)
 
 
 @dataclass
@@ -94,7 +100,8 @@ def graph(edges: DataFrame, directed: bool = False, labels: DataFrame | None = N
 def encode(edges: DataFrame, a: str, b: str) -> tuple[DataFrame, DataFrame]:
     """Replaces labels by longs in sorted order: (edges with src, dst, dictionary of id, label)."""
     names = edges.select(F.col(a).alias("label")).union(edges.select(F.col(b).alias("label"))).where("label is not null").distinct()
-    ids = keep(names.withColumn("id", F.row_number().over(Window.orderBy("label")).cast("long")), "labels")
+    names = keep(names, "names")
+    ids = keep(numbered(names, [F.col("label")], "id", names.count() <= SMALL_LABELS).select("label", (F.col("id") + 1).alias("id")), "labels")
     x, y = ids.select(F.col("label").alias(a), F.col("id").alias("src")), ids.select(F.col("label").alias(b), F.col("id").alias("dst"))
     return edges.join(x, a).join(y, b), ids
 

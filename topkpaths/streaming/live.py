@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..graph.builders import cooccurrence, event_items
-from ..graph.model import graph
+from ..graph.builders import MEASURES, event_items
+from ..graph.model import graph, nano
 from ..paths.canonical_growth import canonical_growth
 from ..runtime import scratch
 
@@ -94,17 +94,40 @@ def open_sessions(events: DataFrame, gap_s: int = 21600) -> DataFrame:
     return rows.groupBy("user_id").applyInPandasWithState(step, "user_id long, start_us long, n long", "start long, last long, n long", "append", GroupStateTimeout.EventTimeTimeout)
 
 
+def _sessions_of(rows: DataFrame) -> DataFrame:
+    return rows.select(F.to_date("ts").alias("day"), "user_id", F.col("k").alias("item")).where("day is not null and user_id is not null and item is not null").distinct()
+
+
 def live_top(spark: SparkSession, source: tuple[str, str], length: int, k: int) -> DataFrame:
-    """Top-k paths on the co-occurrence graph of all events so far, found anew after each batch; the last state is given."""
-    seen: list[str] = []
+    """Top-k paths on the co-occurrence graph of all events so far, found anew after each batch; the last state is given.
+
+    Pair and item counts are carried on: a batch is paired with what its own days' sessions held before, so it reads the days it
+    touches and the counts, not the history. Each batch's state lies under its number, so a repeated batch replaces its own.
+    """
+    base = scratch(spark, "live")
+    counts = "a long, b long, n long"  # a pair's sessions; b is null: an item's
     state: dict = {}
 
     def put(batch: DataFrame, n: int) -> None:
-        path = scratch(spark, "live")
-        batch.select(F.concat_ws(":", "user_id", F.to_date("ts")).alias("session"), F.col("k").alias("item")).write.parquet(path)
-        seen.append(path)
-        pairs = cooccurrence(spark.read.parquet(*seen), "dice", 0.0)
-        state["top"] = canonical_growth(graph(pairs.select(F.col("a").alias("src"), F.col("b").alias("dst"), "w")), length, k).named()
+        now = _sessions_of(batch)
+        days = [r[0] for r in now.select("day").distinct().collect()]  # days of one batch
+        old = spark.read.schema("user_id long, item long, batch int, day date").parquet(f"{base}/seen") if state else spark.createDataFrame([], "user_id long, item long, batch int, day date")
+        old = old.where((F.col("batch") < n) & F.col("day").isin(days)).select("day", "user_id", "item")
+        now.join(old, ["day", "user_id", "item"], "left_anti").write.mode("overwrite").partitionBy("day").parquet(f"{base}/seen/batch={n}")
+        new = spark.read.schema("user_id long, item long, day date").parquet(f"{base}/seen/batch={n}")
+        both = old.join(new.select("day", "user_id").distinct(), ["day", "user_id"], "left_semi").withColumn("fresh", F.lit(False)).unionByName(new.withColumn("fresh", F.lit(True)))
+        x = both.select("day", "user_id", F.col("item").alias("a"), F.col("fresh").alias("fa"))
+        y = both.select("day", "user_id", F.col("item").alias("b"), F.col("fresh").alias("fb"))
+        pairs = x.join(y, ["day", "user_id"]).where("a < b and (fa or fb)").select("a", "b", F.lit(1).alias("n"))
+        gained = pairs.unionByName(new.select(F.col("item").alias("a"), F.lit(None).cast("long").alias("b"), F.lit(1).alias("n")))
+        before = spark.read.schema(counts).parquet(state["counts"]) if state else spark.createDataFrame([], counts)
+        path = f"{base}/counts-{n}"
+        before.unionByName(gained).groupBy("a", "b").agg(F.sum("n").alias("n")).write.mode("overwrite").parquet(path)
+        total = spark.read.schema(counts).parquet(path)
+        items = total.where("b is null")
+        met = total.where("b is not null").select("a", "b", F.col("n").alias("both")).join(items.select("a", F.col("n").alias("na")), "a").join(items.select(F.col("a").alias("b"), F.col("n").alias("nb")), "b")
+        edges = met.select(F.col("a").alias("src"), F.col("b").alias("dst"), nano(MEASURES["dice"]()).alias("w"))
+        state.update(counts=path, top=canonical_growth(graph(edges), length, k).named())
 
     q = stream(spark, source, None).writeStream.foreachBatch(put).option("checkpointLocation", scratch(spark, "live-state")).trigger(availableNow=True).start()
     q.awaitTermination()
