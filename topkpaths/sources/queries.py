@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from ..graph import builders as B
 from ..plans import sqlgen as S
 from ..runtime import scratch
-from . import files
+from . import arc_source, files
 
 _EDGES = "with " + S.GRAPHS["baskets"] + " select src, dst, w from edges"
 
@@ -32,6 +32,23 @@ def _arc_file(s, d):
     return files.read_arcs(s, path)
 
 
+def _arc_source(s, d):
+    """The same arc files by the registered format, in ranges of 4 KB."""
+    path = scratch(s, "arcs")
+    files.write_arcs(_edges(s, d), path)
+    arc_source.register(s)
+    return s.read.format("arcs").option("splitBytes", 4096).load(path)
+
+
+def _arc_stream(s, d):
+    from ..streaming.live import drained
+
+    path = scratch(s, "arcs")
+    files.write_arcs(_edges(s, d), path)
+    arc_source.register(s)
+    return drained(s.readStream.format("arcs").load(path))
+
+
 def _dot(s, d):
     path = scratch(s, "dot")
     files.write_dot(_edges(s, d), path)
@@ -64,11 +81,13 @@ QUERIES = {
     "s_orc_roundtrip": _trip("orc"),
     "s_parquet_roundtrip": _trip("parquet"),
     "s_arc_file": _arc_file,
+    "s_arc_source": _arc_source,
+    "s_arc_stream": _arc_stream,
     "s_dot": _dot,
     "s_edge_list": _edge_list,
     "s_band_pruning": _bands,
     "s_paths_json": _paths,
 }
-ORACLES = dict.fromkeys(["s_csv_roundtrip", "s_json_roundtrip", "s_orc_roundtrip", "s_parquet_roundtrip", "s_arc_file", "s_dot", "s_edge_list"], _EDGES)
+ORACLES = dict.fromkeys(["s_csv_roundtrip", "s_json_roundtrip", "s_orc_roundtrip", "s_parquet_roundtrip", "s_arc_file", "s_arc_source", "s_arc_stream", "s_dot", "s_edge_list"], _EDGES)
 ORACLES["s_band_pruning"] = "with " + S.GRAPHS["baskets"] + ", r as (select *, row_number() over (order by w desc, src, dst) - 1 as eid, count(*) over () as n from edges) select src, dst, w, eid from r where eid * 8 // n <= 1"
 ORACLES["s_paths_json"] = S.path_sql("baskets", 3, 5)
