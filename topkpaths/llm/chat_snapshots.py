@@ -46,10 +46,10 @@ def prefixes(turns: DataFrame) -> DataFrame:
     return steps.alias("s").join(whole.alias("w"), on).select("s.conv_id", "s.step", *[(F.col(f"s.{c}") + F.col(f"w.{c}_before")).alias(c) for c in ("n", *lanes)])
 
 
-def maximal(turns: DataFrame) -> DataFrame:
-    """(conv_id, n_turns) of the conversations that stay."""
+def maximal(turns: DataFrame, scratch: common.Scratch | None = None) -> DataFrame:
+    """(conv_id, n_turns) of the conversations that stay; the prefixes lie in `scratch`, to be cleared once the result is written."""
     keys = ["n", *[f"k{k}" for k in range(_LANES)]]
-    rows = common.spill(prefixes(turns), "chat-prefixes")
+    rows = (scratch or common.Scratch()).spill(prefixes(turns), "chat-prefixes")
     full = rows.groupBy("conv_id").agg(F.max_by(F.struct(*keys), "step").alias("full")).select("conv_id", "full.*")
     ends = full.withColumn("ends", F.lit(True))
     inner = rows.alias("r").join(full.alias("f"), F.col("r.conv_id").eqNullSafe(F.col("f.conv_id"))).where("r.n < f.n").select(*[F.col(f"r.{c}").alias(c) for c in keys]).distinct()
@@ -67,7 +67,10 @@ def render(turns: DataFrame, kept: DataFrame) -> DataFrame:
 
 def op5_chat_snapshots(spark: SparkSession, sf_dir: str) -> DataFrame:
     turns = common.table(spark, sf_dir, "conversations")
-    return render(turns, common.spill(maximal(turns), "chat-kept"))
+    scratch = common.Scratch()
+    kept = common.spill(maximal(turns, scratch), "chat-kept")
+    scratch.clear()
+    return render(turns, kept)
 
 
 ORACLE = """
