@@ -3,7 +3,7 @@
 import corpus_pipeline as p
 from topkpaths.llm import common, decontaminate, quality_crf, source_mix, token_orc
 
-from .test_operators import brute_join
+from .test_operators import awkward, brute_join
 
 
 def test_stages(spark, sf):
@@ -28,3 +28,65 @@ def test_stages(spark, sf):
     assert len(rows[5]) == len(rows[4])
     assert sum(r["n_tokens"] for r in rows[5]) == max(r["start"] + r["n_tokens"] for r in rows[5])
     assert token_orc.END_ID == 1 and p.run(spark, sf).count() == len(rows[5])
+
+
+EXTRA = "row string, gram long, block int, key string, size int, place string, score double, repeats int, copy int, ranges int, quality int, component_id long"
+
+
+def awkward_docs(spark):
+    """Nulls in every column, empty, short and very long texts, repeated rows, copies, a passage of the benchmark, clashing columns."""
+    long = " ".join(f"l{i % 977}x{i}" for i in range(250_000))  # longer than a slice of the scans
+    secret = " ".join(f"s{i}" for i in range(12))
+    texts = [*awkward(), (50, long), (51, long + " end"), (None, "held " + secret), (52, "held " + secret + " too"), (53, "#$%^ |||| " * 40)]
+    rows = [(i, t, None if k % 3 == 0 else "en", None if k % 4 == 0 else f"s{k % 3}", None if k % 5 == 0 else 1, "x", 1, 2, None, 3, "p", 0.1, 9, 8, 7, 6, 5) for k, (i, t) in enumerate(texts)]
+    return spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, " + EXTRA).repartition(3), secret
+
+
+def stored(spark, tmp_path, docs, secret):
+    sf = str(tmp_path)
+    docs.write.parquet(f"{sf}/documents.parquet")
+    spark.createDataFrame([(8, 1, 0), (9, 1, None), (20, 1, 0), (53, 0, 1), (53, 0, 1), (7, None, 0), (None, 1, 0)], "doc_id long, quality int, toxic int").write.parquet(f"{sf}/labels.parquet")
+    spark.createDataFrame([(None, secret), ("2", None), ("3", ""), ("4", "one")], "item_id string, text string").write.parquet(f"{sf}/benchmark.parquet")
+    return sf
+
+
+def plain_rows(df):
+    return sorted((tuple(r) for r in df.collect()), key=repr)
+
+
+def test_stages_on_awkward_rows(spark, tmp_path):
+    docs, secret = awkward_docs(spark)
+    sf = stored(spark, tmp_path, docs, secret)
+    docs = common.table(spark, sf, "documents")
+    stages, rows = dict(p.STAGES), plain_rows(docs)
+    for name, stage in p.STAGES[:-1]:
+        assert stage(spark, docs, sf).columns == docs.columns, name
+
+    model = quality_crf.train(docs, common.table(spark, sf, "labels"))
+    numbered = spark.createDataFrame([(k, r[1]) for k, r in enumerate(rows)], "doc_id long, text string")
+    good = {r["doc_id"] for r in quality_crf.score(numbered, model).where("score >= 0.3").collect()}
+    assert plain_rows(stages["quality"](spark, docs, sf)) == [r for k, r in enumerate(rows) if k in good] and 0 < len(good) < len(rows)
+
+    low = brute_join([r[:2] for r in rows])
+    first = {i for i, _, c in low if i is not None and i == c}
+    got = plain_rows(stages["near_duplicates"](spark, docs, sf))
+    assert [r for r in got if r[0] is not None] == [r for r in rows if r[0] in first]
+    assert all(r[0] is not None for r in got)  # both rows without an id are copies of documents
+
+    bench = {k: t for k, t in enumerate([secret, None, "", "one"])}
+    clean = [r for r in rows if not list(decontaminate.brute({0: r[1]}, bench).values())[0][-1]]
+    assert plain_rows(stages["decontaminate"](spark, docs, sf)) == clean and len(clean) < len(rows) - 2
+
+    times = sorted((r["doc_id"], r["size"], r["repeats"]) if r["doc_id"] is not None else (-1, r["size"], r["repeats"]) for r in source_mix.mix(docs).collect())
+    assert len(plain_rows(stages["mix"](spark, docs, sf))) == sum(n for *_, n in times)
+
+    index = sorted((r["start"], r["n_tokens"], r["doc_id"]) for r in stages["tokens"](spark, docs, sf).collect())
+    assert len(index) == len(rows) and [i for *_, i in index] == sorted((r[0] for r in rows), key=lambda i: (i is not None, i))
+    assert all(a + n == b for (a, n, _), (b, _, _) in zip(index, index[1:])) and {n for _, n, i in index if i in (0, 1)} == {1}
+    assert p.run(spark, sf).count() > 0
+
+
+def test_empty_tables_pass_all_stages(spark, tmp_path):
+    docs, secret = awkward_docs(spark)
+    sf = stored(spark, tmp_path, docs.where("false"), secret)
+    assert p.run(spark, sf).collect() == []
