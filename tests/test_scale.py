@@ -6,10 +6,13 @@ from pyspark.sql import functions as F
 
 from topkpaths.graph import builders as B
 from topkpaths.graph import model as M
+from topkpaths.paths import expand
+from topkpaths.paths.canonical_growth import canonical_growth
+from topkpaths.plans import measures
 from topkpaths.sources import arc_source
 from topkpaths.streaming import live
 
-from .helpers import rows_of
+from .helpers import brute_paths, rows_of
 
 
 def test_a_long_session_is_dealt(spark):
@@ -61,3 +64,28 @@ def test_live_counts_are_carried(spark, sf):
     """Top paths over several batches equal those of one batch."""
     few, one = (live.live_top(spark, live.staged(spark, sf, files=n), 2, 5) for n in (3, 1))
     assert rows_of(few) == rows_of(one)
+
+
+def test_hub_heads_are_dealt(spark, monkeypatch):
+    """Stars with chords, whose centres are dealt over several keys: the same paths as brute force, directed or not."""
+    rng = random.Random(9)
+    edges = {(0, i): rng.randrange(1, 50) for i in range(1, 25)} | {(25, i): rng.randrange(1, 50) for i in range(1, 20)}
+    edges |= {(i, i + 1): rng.randrange(1, 50) for i in range(1, 20)}
+    rows = [(a, b, w) for (a, b), w in edges.items()]
+    monkeypatch.setattr(M, "SMALL_EDGES", 4)
+    monkeypatch.setattr(M, "HUB_ARCS", 6)
+    for directed in (False, True):
+        g = M.graph(spark.createDataFrame(rows, "src long, dst long, w long"), directed)
+        assert {r.hub: r.parts for r in g.hubs.collect()} == {0: 4, 25: 4}
+        want = [(list(n), w) for n, w in brute_paths(rows, 4, directed)[:7]]
+        got = canonical_growth(g, 4, 7, width=4).paths.orderBy("rank").collect()
+        assert [(r.nodes, r.weight) for r in got] == want
+        grown = expand.extend_both(expand.start_paths(g), g)
+        assert sorted(tuple(r.nodes) for r in expand.deduplicated(grown, directed).collect()) == sorted(n for n, _ in brute_paths(rows, 2, directed))
+    monkeypatch.setattr(M, "HUB_ARCS", 100)
+    assert M.graph(spark.createDataFrame(rows, "src long, dst long, w long")).hubs is None
+
+
+def test_costs_of_a_run(spark):
+    _, cost = measures.spark_costs(spark, lambda: spark.range(1000).repartition(3).groupBy((F.col("id") % 7).alias("k")).count().collect())
+    assert cost["jobs"] >= 1 and cost["tasks"] >= cost["stages"] >= 2 and cost["shuffle_bytes"] > 0 and cost["spill_bytes"] == 0

@@ -14,6 +14,8 @@ from ..runtime import keep
 SCALE = 1_000_000_000
 #: Edges up to which adjacency is broadcast (four longs each, both directions) and ranked by one window.
 SMALL_EDGES = 200_000
+#: Arcs of one head that are one key of a shuffled join; beyond it the head is dealt over several. On large graphs more, so that hubs are at most MAX_HUBS.
+HUB_ARCS, MAX_HUBS = 50_000, 100_000
 #: Labels up to which a dictionary is numbered by one window.
 SMALL_LABELS = 200_000
 
@@ -57,7 +59,7 @@ def rank_edges(edges: DataFrame, small: bool) -> DataFrame:
 
 @dataclass
 class Graph:
-    """A ranked graph: edges (src, dst, w, eid), its size, and optionally (id, label) of nodes."""
+    """A ranked graph: edges (src, dst, w, eid), its size, and optionally (id, label) of nodes and (hub, parts) of nodes with many edges."""
 
     edges: DataFrame
     directed: bool
@@ -65,6 +67,7 @@ class Graph:
     max_w: int
     min_w: int
     labels: DataFrame | None = None
+    hubs: DataFrame | None = None
 
     @property
     def small(self) -> bool:
@@ -85,7 +88,7 @@ class Graph:
     def prefix(self, below: int, start: int = 0) -> Graph:
         """The edges with start <= eid < below."""
         e = self.edges.where((F.col("eid") >= start) & (F.col("eid") < below))
-        return Graph(e, self.directed, min(below, self.n_edges) - start, self.max_w, self.min_w, self.labels)
+        return Graph(e, self.directed, min(below, self.n_edges) - start, self.max_w, self.min_w, self.labels, self.hubs)
 
 
 def graph(edges: DataFrame, directed: bool = False, labels: DataFrame | None = None) -> Graph:
@@ -94,7 +97,15 @@ def graph(edges: DataFrame, directed: bool = False, labels: DataFrame | None = N
     row = plain.agg(F.count("*").alias("n"), F.max("w").alias("hi"), F.min("w").alias("lo")).first()
     small = row["n"] <= SMALL_EDGES
     ranked = keep(rank_edges(plain, small), "edges-ranked")
-    return Graph(ranked, directed, row["n"], row["hi"] or 0, row["lo"] or 0, labels)
+    return Graph(ranked, directed, row["n"], row["hi"] or 0, row["lo"] or 0, labels, None if small else hubs_of(ranked, row["n"]))
+
+
+def hubs_of(edges: DataFrame, n_edges: int) -> DataFrame | None:
+    """(hub, parts) of nodes with too many edges for one key; at most MAX_HUBS rows, as the edges have 2 n ends. None if there are none."""
+    most = max(HUB_ARCS, -(-2 * n_edges // MAX_HUBS))
+    ends = edges.select(F.col("src").alias("hub")).union(edges.select(F.col("dst").alias("hub"))).groupBy("hub").agg(F.count("*").alias("n"))
+    hubs = keep(ends.where(F.col("n") > most).select("hub", F.ceil(F.col("n") / most).cast("int").alias("parts")), "hubs")
+    return None if hubs.isEmpty() else hubs
 
 
 def encode(edges: DataFrame, a: str, b: str) -> tuple[DataFrame, DataFrame]:

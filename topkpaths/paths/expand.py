@@ -38,10 +38,20 @@ def _guard(kind: str, w: Column, eid: Column, far_w: Column, far_eid: Column, pe
     return {"none": None, "peak": w <= peak, "ends": w <= far_w, "strict": eid > far_eid}[kind]
 
 
-def _sides(paths: DataFrame, arcs: DataFrame, g: Graph, few: bool) -> tuple[DataFrame, DataFrame]:
+def _sides(paths: DataFrame, arcs: DataFrame, g: Graph, few: bool, end: int) -> tuple[DataFrame, DataFrame, Column]:
+    """Both sides of the path join and its key: the node at that end of the path (1 or -1), which is the head of the arc.
+
+    Where the join is shuffled, the arcs of a hub are dealt over several keys by their tail, and a path that ends in one meets each of them.
+    """
+    key = F.element_at("p.nodes", end) == F.col("a.head")
     if few and not g.small:
-        return F.broadcast(paths).alias("p"), arcs.alias("a")
-    return paths.alias("p"), g.side(arcs).alias("a")
+        return F.broadcast(paths).alias("p"), arcs.alias("a"), key
+    if g.small or g.hubs is None:
+        return paths.alias("p"), g.side(arcs).alias("a"), key
+    hubs = F.broadcast(g.hubs)
+    p = paths.join(hubs, F.element_at("nodes", end) == F.col("hub"), "left").select(*COLUMNS, F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1)).alias("part"))
+    a = arcs.join(hubs, F.col("head") == F.col("hub"), "left").select("head", "tail", "w", "eid", F.coalesce(F.pmod(F.xxhash64("tail"), F.col("parts")).cast("int"), F.lit(0)).alias("part"))
+    return p.alias("p"), a.alias("a"), key & (F.col("p.part") == F.col("a.part"))
 
 
 def extend_right(paths: DataFrame, g: Graph, arcs: DataFrame, guard: str = "none", agg: str = "sum", extra=None, few: bool = False) -> DataFrame:
@@ -49,8 +59,8 @@ def extend_right(paths: DataFrame, g: Graph, arcs: DataFrame, guard: str = "none
 
     few: the paths are of a bounded number, so they are broadcast and the adjacency is only scanned.
     """
-    p, a = _sides(paths, arcs, g, few)
-    on = (F.element_at("p.nodes", -1) == F.col("a.head")) & ~F.array_contains("p.nodes", F.col("a.tail"))
+    p, a, key = _sides(paths, arcs, g, few, -1)
+    on = key & ~F.array_contains("p.nodes", F.col("a.tail"))
     rule = _guard(guard, F.col("a.w"), F.col("a.eid"), F.col("p.first_w"), F.col("p.first_eid"), F.col("p.peak_w"))
     for cond in (rule, extra and extra(F.col("a.w"), F.col("a.eid"))):
         on = on if cond is None else on & cond
@@ -62,8 +72,8 @@ def extend_right(paths: DataFrame, g: Graph, arcs: DataFrame, guard: str = "none
 
 def extend_left(paths: DataFrame, g: Graph, arcs: DataFrame, guard: str = "none", agg: str = "sum", extra=None, few: bool = False) -> DataFrame:
     """Puts an edge before the first node; arcs lead against the direction of the graph."""
-    p, a = _sides(paths, arcs, g, few)
-    on = (F.element_at("p.nodes", 1) == F.col("a.head")) & ~F.array_contains("p.nodes", F.col("a.tail"))
+    p, a, key = _sides(paths, arcs, g, few, 1)
+    on = key & ~F.array_contains("p.nodes", F.col("a.tail"))
     rule = _guard(guard, F.col("a.w"), F.col("a.eid"), F.col("p.last_w"), F.col("p.last_eid"), F.col("p.peak_w"))
     for cond in (rule, extra and extra(F.col("a.w"), F.col("a.eid"))):
         on = on if cond is None else on & cond

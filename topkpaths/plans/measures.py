@@ -100,26 +100,29 @@ def longest_length(spark: SparkSession, g: Graph, max_paths: int, upto: int, gua
 
 
 def spark_costs(spark: SparkSession, call) -> tuple[object, dict]:
-    """(result, jobs, stages and tasks it took)"""
+    """(result, jobs, stages, tasks, bytes read, bytes shuffled and bytes spilled to disk that it took)"""
     import uuid
 
     sc, group = spark.sparkContext, uuid.uuid4().hex
     sc.setJobGroup(group, "measured")
     out = call()
-    tracker = sc.statusTracker()
+    sc._jsc.sc().listenerBus().waitUntilEmpty()
+    tracker, store = sc.statusTracker(), sc._jsc.sc().statusStore()
     jobs = tracker.getJobIdsForGroup(group)
     stages = {s for j in jobs if (info := tracker.getJobInfo(j)) for s in info.stageIds}
-    tasks = sum(info.numTasks for s in stages if (info := tracker.getStageInfo(s)))
+    known = [store.lastStageAttempt(s) for s in stages if tracker.getStageInfo(s)]  # stages that were skipped have no figures
     sc._jsc.clearJobGroup()
-    return out, {"jobs": len(jobs), "stages": len(stages), "tasks": tasks}
+    total = lambda f: sum(int(f(x)) for x in known)
+    cost = {"jobs": len(jobs), "stages": len(stages), "tasks": total(lambda x: x.numTasks())}
+    return out, cost | {"read_bytes": total(lambda x: x.inputBytes()), "shuffle_bytes": total(lambda x: x.shuffleWriteBytes()), "spill_bytes": total(lambda x: x.diskBytesSpilled())}
 
 
 def cost_table(spark: SparkSession, g: Graph, length: int, methods) -> DataFrame:
-    """(method, seconds, jobs, stages, tasks)"""
+    """(method, seconds, jobs, stages, tasks, read_bytes, shuffle_bytes, spill_bytes)"""
     from ..api import heaviest_paths
 
     rows = []
     for method in methods:
         (_, sec), cost = spark_costs(spark, lambda m=method: timed(lambda: heaviest_paths(g, length, 1, m)))
-        rows.append((method, round(sec, 3), cost["jobs"], cost["stages"], cost["tasks"]))
-    return spark.createDataFrame(rows, "method string, seconds double, jobs int, stages int, tasks int")
+        rows.append((method, round(sec, 3), *cost.values()))
+    return spark.createDataFrame(rows, "method string, seconds double, jobs int, stages int, tasks int, read_bytes bigint, shuffle_bytes bigint, spill_bytes bigint")
