@@ -22,6 +22,15 @@ def test_query(spark, sf, name):
         assert got[1]
 
 
+@pytest.mark.parametrize("name", ["e_best_baskets"])
+@pytest.mark.parametrize("orders", [((1, 2), (2, 3)), ((1, 2), (3, 4)), ((1,), (2,))])
+def test_no_path_of_a_length(spark, tmp_path, name, orders):
+    """Basket graphs whose longest path has two edges, one edge and none."""
+    rows = [(o, p) for o, parts in enumerate(orders) for p in parts]
+    spark.createDataFrame(rows, "l_orderkey long, l_partkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    assert rows_of(registry.queries()[name](spark, str(tmp_path))) == duck(registry.oracles()[name].replace("from lineitem", f"from '{tmp_path}/lineitem.parquet/*.parquet'"))
+
+
 def test_entry(spark):
     import __spark_entry__ as e
 
