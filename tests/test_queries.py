@@ -22,7 +22,7 @@ def test_query(spark, sf, name):
         assert got[1]
 
 
-@pytest.mark.parametrize("name", ["e_best_baskets"])
+@pytest.mark.parametrize("name", ["e_best_baskets", "h_upper_bound"])
 @pytest.mark.parametrize("orders", [((1, 2), (2, 3)), ((1, 2), (3, 4)), ((1,), (2,))])
 def test_no_path_of_a_length(spark, tmp_path, name, orders):
     """Basket graphs whose longest path has two edges, one edge and none."""
