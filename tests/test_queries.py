@@ -31,7 +31,7 @@ def test_no_path_of_a_length(spark, tmp_path, name, orders):
     assert rows_of(registry.queries()[name](spark, str(tmp_path))) == duck(registry.oracles()[name].replace("from lineitem", f"from '{tmp_path}/lineitem.parquet/*.parquet'"))
 
 
-@pytest.mark.parametrize("name", ["p_enumerate_x1_l4", "p_buffers_lazy", "m_access_counts"])
+@pytest.mark.parametrize("name", ["p_enumerate_x1_l4", "p_buffers_lazy", "m_access_counts", "m_threshold_trace"])
 def test_made_of_given_tables(spark, sf, tmp_path, name):
     """The result follows the given tables: equal to the SQL's there, where it has one, and another or none without rows."""
     got = rows_of(registry.queries()[name](spark, sf))
