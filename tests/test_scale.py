@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 
 from topkpaths.graph import builders as B
 from topkpaths.graph import model as M
+from topkpaths.graph import pair_blocks
 from topkpaths.paths import expand
 from topkpaths.paths.canonical_growth import canonical_growth
 from topkpaths.plans import measures
@@ -89,3 +90,30 @@ def test_hub_heads_are_dealt(spark, monkeypatch):
 def test_costs_of_a_run(spark):
     _, cost = measures.spark_costs(spark, lambda: spark.range(1000).repartition(3).groupBy((F.col("id") % 7).alias("k")).count().collect())
     assert cost["jobs"] >= 1 and cost["tasks"] >= cost["stages"] >= 2 and cost["shuffle_bytes"] > 0 and cost["spill_bytes"] == 0
+
+
+def test_word_pairs_are_counted_in_blocks(spark):
+    """The graph of words is the same by blocks and by a join of all pairs, and only sessions are shuffled for it."""
+    sf = "/root/testdata/sf0.01"
+    (blocks, by_blocks), (plain, by_pairs) = (measures.spark_costs(spark, lambda m=m: sorted(map(tuple, B.word_edges(spark, sf, m).collect()))) for m in (None, 0))
+    assert blocks == plain and len(blocks) > 20_000
+    assert by_blocks["shuffle_bytes"] < by_pairs["shuffle_bytes"] / 3
+
+
+def test_dice_pairs_in_slices(spark):
+    """Few pairs a slice, an item in every session, a very long session, sessions of one or no item; cuts at an exact Dice value."""
+    rng = random.Random(8)
+    sessions = [["all", *{f"w{min(rng.randrange(50), rng.randrange(50))}" for _ in range(rng.randrange(9))}] for _ in range(300)] + [[f"w{i}" for i in range(400)], ["all"], []]
+    df = spark.createDataFrame([(s,) for s in sessions], "items array<string>").repartition(3)
+    sizes, shared = {}, {}
+    for s in sessions:
+        for a in s:
+            sizes[a] = sizes.get(a, 0) + 1
+            for b in s:
+                if a < b:
+                    shared[a, b] = shared.get((a, b), 0) + 1
+    for cut, least, support in ((0.1, 1, 1), (0.2, 5, 3), (1.0, 1, 1)):
+        want = sorted((a, b, c, sizes[a], sizes[b]) for (a, b), c in shared.items() if min(sizes[a], sizes[b]) >= least and c >= support and 2.0 * c / (sizes[a] + sizes[b]) >= cut)
+        for few in (7, 100_000):
+            assert want and sorted(map(tuple, pair_blocks.dice_pairs(df, cut, least, support, slice_pairs=few).collect())) == want
+    assert pair_blocks.dice_pairs(df.where("false"), 0.1).count() == 0 and pair_blocks.dice_pairs(df, 0.1, max_items=3) is None
