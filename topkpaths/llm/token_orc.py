@@ -5,7 +5,7 @@ stores the id lists with integer run-length encoding; row indexes and Bloom filt
 and stripes are read in parallel. `block` (the range) and `seq` (the place in it) keep the order of equal doc_ids.
 
 Encoding: the tokenizer drops white space and no token spans it, so a text is encoded word by word, each different word
-once a task, through a table of bounded size.
+once a slice of some megabytes of texts, through a table of bounded size that a worker keeps.
 
 The number of files follows the bytes of text, FILE_BYTES each, and is no smaller than the width of shuffles.
 
@@ -16,24 +16,26 @@ their texts; an empty table gives empty files and no rows; extra columns are ign
 from __future__ import annotations
 
 import json
+import struct
 import sys
 import types
 import zlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from . import common
-from .kernels import string_views
+from .kernels import slices, string_views
 
 common.by_value(__name__)
 
 TOKENIZER, END_ID = "word_bpe_49k.json", 1
-#: Words whose ids are kept at a time; bytes of text behind a file, about.
-TABLE_WORDS, FILE_BYTES = 400_000, 512_000_000
+#: Words whose ids are kept at a time; bytes of text encoded at a time, and behind a file, about.
+TABLE_WORDS, SLICE_BYTES, FILE_BYTES = 400_000, 4_000_000, 512_000_000
 ORC_OPTIONS = {"orc.bloom.filter.columns": "doc_id", "orc.bloom.filter.fpp": "0.01", "orc.create.index": "true", "orc.row.index.stride": "1000"}
 
 
@@ -59,6 +61,8 @@ class WordIds(dict):
 
     A plain word (Latin-1 letters between runs of punctuation) is cut into these runs here and only new runs go to the
     tokenizer's model; any other word goes through the whole tokenizer.
+
+    A full half of the table becomes the older half; words found there move to the newer one, so that common words stay.
     """
 
     MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"
@@ -68,7 +72,7 @@ class WordIds(dict):
         from tokenizers import Tokenizer
 
         tokenizer = Tokenizer.from_file(path)
-        self.encode, self.model, self.runs = tokenizer.encode, tokenizer.model, {}
+        self.encode, self.model, self.runs, self.older, self.older_runs = tokenizer.encode, tokenizer.model, {}, {}, {}
         described = json.loads(tokenizer.to_str())
         # the short way is that of a lower-casing vocabulary that cuts letters from marks
         self.plain = described["model"].get("end_of_word_suffix") == "</w>" and "Lowercase" in json.dumps(described["normalizer"]) and "ByteLevel" in json.dumps(described["pre_tokenizer"])
@@ -76,14 +80,23 @@ class WordIds(dict):
     def run(self, part: str) -> bytes:
         got = self.runs.get(part)
         if got is None:
-            if len(self.runs) >= TABLE_WORDS:
-                self.runs.clear()
-            got = self.runs[part] = np.array([t.id for t in self.model.tokenize(part.translate(self.LETTERS))], "<u4").tobytes()
+            if len(self.runs) >= TABLE_WORDS // 2:
+                self.runs, self.older_runs = {}, self.runs
+            got = self.runs[part] = self.older_runs.get(part) or self.tokens(part)
         return got
 
+    def tokens(self, part: str) -> bytes:
+        ids = [t.id for t in self.model.tokenize(part if part.isascii() else part.translate(self.LETTERS))]
+        return struct.pack(f"<{len(ids)}I", *ids)
+
     def __missing__(self, word: bytes) -> bytes:
-        if len(self) >= TABLE_WORDS:
+        if len(self) >= TABLE_WORDS // 2:
+            self.older = dict(self)
             self.clear()
+        ids = self.older.get(word)
+        if ids is not None:
+            self[word] = ids
+            return ids
         text = word.decode("utf-8", "replace")
         tail = text.lstrip(self.MARKS)
         core = tail.rstrip(self.MARKS)
@@ -94,12 +107,14 @@ class WordIds(dict):
             if len(core) < len(tail):
                 ids += self.run(tail[len(core) :])
         else:
-            ids = np.array(self.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+            ids = self.encode(text, add_special_tokens=False).ids
+            ids = struct.pack(f"<{len(ids)}I", *ids)
         self[word] = ids
         return ids
 
-    def of(self, raw: bytes) -> bytes:
-        return b"".join(map(self.__getitem__, raw.split()))
+
+def binary_like(kind: pa.DataType) -> pa.DataType:
+    return pa.large_binary() if pa.types.is_large_string(kind) else pa.binary()
 
 
 def kept_table(path: str) -> WordIds:
@@ -111,24 +126,29 @@ def kept_table(path: str) -> WordIds:
 
 
 def encoder(name: str, end_id: int):
-    end, views = np.array([end_id], "<u4").tobytes(), string_views
+    end, views, cuts = np.array([end_id], "<u4").tobytes(), string_views, slices
 
     def run(batches):
         table, seq = kept_table(tokenizer_path(name)), 0
         for batch in batches:
-            data, offs = views(batch.column("text"))
-            at, n = 0, batch.num_rows
-            while at < n:  # list columns of at most about 8 million ids
-                parts, size, first = [], 0, at
-                while at < n and size < 32_000_000:
-                    parts.append(table.of(data[offs[at] : offs[at + 1]].tobytes()) + end)
-                    size += len(parts[-1])
-                    at += 1
-                ends = np.concatenate(([0], np.cumsum([len(p) // 4 for p in parts]))).astype(np.int32)
-                lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.frombuffer(b"".join(parts), "<i4")))
-                cut = batch.slice(first, at - first)
-                yield pa.RecordBatch.from_arrays([cut.column("doc_id"), cut.column("block"), pa.array(np.arange(seq, seq + len(parts))), lists], names=["doc_id", "block", "seq", "tokens"])
-                seq += len(parts)
+            texts = batch.column("text")
+            for first, last in cuts(views(texts)[1], SLICE_BYTES):
+                lists = pc.ascii_split_whitespace(texts.slice(first, last - first))
+                coded = lists.flatten().dictionary_encode()
+                # each different word of the slice once, and the end of a document as one word more
+                ids = [*map(table.__getitem__, coded.dictionary.cast(binary_like(texts.type)).to_pylist()), end]
+                sizes = np.fromiter(map(len, ids), np.int64, len(ids)) // 4
+                pool, begins = np.frombuffer(b"".join(ids), "<i4"), np.cumsum(sizes) - sizes
+                upto = np.cumsum(np.diff(lists.offsets.to_numpy()))
+                words = np.insert(coded.indices.to_numpy(), upto, len(ids) - 1)
+                long = sizes[words]
+                ends = np.cumsum(long)
+                values = pool[np.repeat(begins[words] - ends + long, long) + np.arange(ends[-1])]
+                offsets = np.concatenate(([0], ends[upto + np.arange(len(upto))])).astype(np.int32)
+                cut = batch.slice(first, last - first)
+                tokens = pa.ListArray.from_arrays(pa.array(offsets), pa.array(values))
+                yield pa.RecordBatch.from_arrays([cut.column("doc_id"), cut.column("block"), pa.array(np.arange(seq, seq + last - first)), tokens], names=["doc_id", "block", "seq", "tokens"])
+                seq += last - first
 
     return run
 
