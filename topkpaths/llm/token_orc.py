@@ -5,7 +5,8 @@ stores the id lists with integer run-length encoding; row indexes and Bloom filt
 and stripes are read in parallel. `block` (the range) and `seq` (the place in it) keep the order of equal doc_ids.
 
 Encoding: the tokenizer drops white space and no token spans it, so a text is encoded word by word, each different word
-once a slice of some megabytes of texts, through a table of bounded size that a worker keeps.
+once a slice of some megabytes of texts. The different words of a slice are cut into letters and the marks around them by
+one pass over the column; what is different among these is looked up in a table of bounded size that a worker keeps.
 
 The number of files follows the bytes of text, FILE_BYTES each, and is no smaller than the width of shuffles.
 
@@ -56,65 +57,89 @@ def _byte_letters() -> dict[int, str]:
     return {c: "".join(sign[b] for b in chr(c).encode()) for c in range(128, 256)}
 
 
-class WordIds(dict):
-    """word -> its ids as little-endian 32-bit integers.
+class Halves(dict):
+    """A table of bounded size over a function. A full half of it becomes the older half; what is found there moves to the newer one, so that what is common stays."""
 
-    A plain word (Latin-1 letters between runs of punctuation) is cut into these runs here and only new runs go to the
-    tokenizer's model; any other word goes through the whole tokenizer.
+    def __init__(self, made):
+        self.made, self.older = made, {}
 
-    A full half of the table becomes the older half; words found there move to the newer one, so that common words stay.
+    def __missing__(self, key):
+        if len(self) >= TABLE_WORDS // 2:
+            self.older = dict(self)
+            self.clear()
+        got = self.older.get(key)
+        if got is None:
+            got = self.made(key)
+        self[key] = got
+        return got
+
+
+class WordIds(Halves):
+    """word -> its ids as little-endian 32-bit integers.
+
+    A plain word (Latin-1 letters between runs of punctuation) is cut into these runs and only new runs go to the
+    tokenizer's model; any other word goes through the whole tokenizer. `pooled` does this for a column of words.
     """
 
     MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"
     LETTERS = _byte_letters()
+    #: A plain word, by a pattern of the column functions: its first marks, its letters, its last marks.
+    PLAIN = "^(?P<head>[{0}]*)(?P<core>[{1}]+)(?P<tail>[{0}]*)$".format("".join(f"\\x{ord(c):02x}" for c in MARKS), "".join(c for c in map(chr, range(256)) if c.isalpha()))
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
+        super().__init__(self.ids)
         tokenizer = Tokenizer.from_file(path)
-        self.encode, self.model, self.runs, self.older, self.older_runs = tokenizer.encode, tokenizer.model, {}, {}, {}
+        self.encode, self.model, self.runs = tokenizer.encode, tokenizer.model, Halves(self.tokens)
         described = json.loads(tokenizer.to_str())
         # the short way is that of a lower-casing vocabulary that cuts letters from marks
         self.plain = described["model"].get("end_of_word_suffix") == "</w>" and "Lowercase" in json.dumps(described["normalizer"]) and "ByteLevel" in json.dumps(described["pre_tokenizer"])
 
-    def run(self, part: str) -> bytes:
-        got = self.runs.get(part)
-        if got is None:
-            if len(self.runs) >= TABLE_WORDS // 2:
-                self.runs, self.older_runs = {}, self.runs
-            got = self.runs[part] = self.older_runs.get(part) or self.tokens(part)
-        return got
-
     def tokens(self, part: str) -> bytes:
+        if not part:
+            return b""
         ids = [t.id for t in self.model.tokenize(part if part.isascii() else part.translate(self.LETTERS))]
         return struct.pack(f"<{len(ids)}I", *ids)
 
-    def __missing__(self, word: bytes) -> bytes:
-        if len(self) >= TABLE_WORDS // 2:
-            self.older = dict(self)
-            self.clear()
-        ids = self.older.get(word)
-        if ids is not None:
-            self[word] = ids
-            return ids
+    def ids(self, word: bytes) -> bytes:
         text = word.decode("utf-8", "replace")
         tail = text.lstrip(self.MARKS)
         core = tail.rstrip(self.MARKS)
         if self.plain and core.isalpha() and (core.isascii() or max(core) <= "\xff") and "<|" not in text:
-            ids = self.run(core.lower())
-            if len(tail) < len(text):
-                ids = self.run(text[: len(text) - len(tail)]) + ids
-            if len(core) < len(tail):
-                ids += self.run(tail[len(core) :])
-        else:
-            ids = self.encode(text, add_special_tokens=False).ids
-            ids = struct.pack(f"<{len(ids)}I", *ids)
-        self[word] = ids
-        return ids
+            return self.runs[text[: len(text) - len(tail)]] + self.runs[core.lower()] + self.runs[tail[len(core) :]]
+        ids = self.encode(text, add_special_tokens=False).ids
+        return struct.pack(f"<{len(ids)}I", *ids)
 
 
-def binary_like(kind: pa.DataType) -> pa.DataType:
-    return pa.large_binary() if pa.types.is_large_string(kind) else pa.binary()
+    def pooled(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all words in a row, how many each has); words: different ones."""
+        size, parts = len(words), []
+        long = pa.types.is_large_string(words.type)
+        cut = pc.extract_regex(words, self.PLAIN) if self.plain and size else pa.nulls(size, pa.struct([(x, words.type) for x in ("head", "core", "tail")]))
+        plain = pc.and_(cut.is_valid(), pc.invert(pc.match_substring(words, "<|")))
+        at, other = (np.flatnonzero(x.to_numpy(zero_copy_only=False)) for x in (plain, pc.invert(plain)))
+        cut = cut.filter(plain)
+        pools, counts, where = [], np.zeros((size, 3), np.int64), np.zeros((size, 3), np.int64)
+        for k, x in enumerate(("head", "core", "tail")):
+            part = cut.field(x)
+            coded = (pc.utf8_lower(part) if k == 1 else part).dictionary_encode()
+            parts.append((k, at, coded.indices.to_numpy(), [*map(self.runs.__getitem__, coded.dictionary.to_pylist())]))
+        rest = words.filter(pc.invert(plain)).cast(pa.large_binary() if long else pa.binary()).to_pylist()
+        parts.append((1, other, np.arange(len(rest)), [*map(self.__getitem__, rest)]))
+        base = 0
+        for k, rows, index, ids in parts:
+            n = np.fromiter(map(len, ids), np.int64, len(ids)) // 4
+            counts[rows, k], where[rows, k] = n[index], (base + np.cumsum(n) - n)[index]
+            pools.append(b"".join(ids))
+            base += int(n.sum())
+        return gathered(np.frombuffer(b"".join(pools), "<i4"), where.ravel(), counts.ravel()), counts.sum(axis=1)
+
+
+def gathered(pool: np.ndarray, begins: np.ndarray, long: np.ndarray) -> np.ndarray:
+    """The ranges of the pool that begin there and are so long, one behind the other."""
+    ends = np.cumsum(long)
+    return pool[np.repeat(begins - ends + long, long) + np.arange(ends[-1] if len(ends) else 0)]
 
 
 def kept_table(path: str) -> WordIds:
@@ -126,7 +151,7 @@ def kept_table(path: str) -> WordIds:
 
 
 def encoder(name: str, end_id: int):
-    end, views, cuts = np.array([end_id], "<u4").tobytes(), string_views, slices
+    end, views, cuts = np.array([end_id], "<u4").view("<i4"), string_views, slices
 
     def run(batches):
         table, seq = kept_table(tokenizer_path(name)), 0
@@ -136,15 +161,13 @@ def encoder(name: str, end_id: int):
                 lists = pc.ascii_split_whitespace(texts.slice(first, last - first))
                 coded = lists.flatten().dictionary_encode()
                 # each different word of the slice once, and the end of a document as one word more
-                ids = [*map(table.__getitem__, coded.dictionary.cast(binary_like(texts.type)).to_pylist()), end]
-                sizes = np.fromiter(map(len, ids), np.int64, len(ids)) // 4
-                pool, begins = np.frombuffer(b"".join(ids), "<i4"), np.cumsum(sizes) - sizes
+                pool, sizes = table.pooled(coded.dictionary)
+                pool, sizes = np.append(pool, end), np.append(sizes, 1)
                 upto = np.cumsum(np.diff(lists.offsets.to_numpy()))
-                words = np.insert(coded.indices.to_numpy(), upto, len(ids) - 1)
+                words = np.insert(coded.indices.to_numpy(), upto, len(sizes) - 1)
                 long = sizes[words]
-                ends = np.cumsum(long)
-                values = pool[np.repeat(begins[words] - ends + long, long) + np.arange(ends[-1])]
-                offsets = np.concatenate(([0], ends[upto + np.arange(len(upto))])).astype(np.int32)
+                values = gathered(pool, (np.cumsum(sizes) - sizes)[words], long)
+                offsets = np.concatenate(([0], np.cumsum(long)[upto + np.arange(len(upto))])).astype(np.int32)
                 cut = batch.slice(first, last - first)
                 tokens = pa.ListArray.from_arrays(pa.array(offsets), pa.array(values))
                 yield pa.RecordBatch.from_arrays([cut.column("doc_id"), cut.column("block"), pa.array(np.arange(seq, seq + last - first)), tokens], names=["doc_id", "block", "seq", "tokens"])
