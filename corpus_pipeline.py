@@ -32,8 +32,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def clean_of_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without a passage of a test item; items with a null id count, items without words and null texts don't."""
-    rows = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("row"), docs["text"])
-    found = decontaminate.find(rows, common.table(spark, sf_dir, "benchmark"), carry=("row",))
+    rows = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("row"))
+    found = decontaminate.find(rows, common.table(spark, sf_dir, "benchmark"), carry=("row",), inside=("row", common.place_of(docs, "text")))
     return found.where(F.size("ranges") == 0).select("row.*")
 
 

@@ -131,14 +131,14 @@ def char_spans(raw: bytes, ranges: list[list[int]]) -> list[list[int]]:
 _RANGES, _ITEMS = pa.list_(pa.list_(pa.int64())), pa.list_(pa.string())
 
 
-def scanner(patterns, views, last: bool):
-    """views: the kernel that gives a column's bytes; last: whether to give offsets and drop the text."""
+def scanner(patterns, views, last: bool, inside: tuple[str, int] | None = None):
+    """views: the kernel that gives a column's bytes; last: whether to give offsets and drop the text; inside: the struct column, and the place in it, that hold the text instead."""
     key = uuid.uuid4().hex
 
     def run(batches):
         codes, automaton = kept_automaton(key, patterns)
         for batch in batches:
-            data, offs = views(batch.column("text"))
+            data, offs = views(batch.column("text") if inside is None else batch.column(inside[0]).field(inside[1]))
             n_words, ranges, items, spans = [], [], [], []
             old_r, old_i = batch.column("ranges").to_pylist(), batch.column("items").to_pylist()
             for i in range(batch.num_rows):
@@ -153,17 +153,18 @@ def scanner(patterns, views, last: bool):
                     spans.append(char_spans(raw, r) if r else [])
             keep = [batch.column(c) for c in batch.schema.names if c not in ("text", "ranges", "items", "n_words")]
             names = [c for c in batch.schema.names if c not in ("text", "ranges", "items", "n_words")]
-            mid = [] if last else [batch.column("text")]
+            mid = [] if last or inside else [batch.column("text")]
             more = [pa.array(n_words, pa.int64()), pa.array(ranges, _RANGES), pa.array(items, _ITEMS)] + ([pa.array(spans, _RANGES)] if last else [])
-            yield pa.RecordBatch.from_arrays([*keep, *mid, *more], names=[*names, *(["text"] * (not last)), "n_words", "ranges", "items", *(["spans"] * last)])
+            yield pa.RecordBatch.from_arrays([*keep, *mid, *more], names=[*names, *(["text"] * len(mid)), "n_words", "ranges", "items", *(["spans"] * last)])
 
     return run
 
 
-def find(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, max_bytes: int = MAX_ITEM_BYTES, carry: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+def find(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, max_bytes: int = MAX_ITEM_BYTES, carry: tuple[str, ...] = ("doc_id",), inside: tuple[str, int] | None = None) -> DataFrame:
     """Columns `carry` and n_words, ranges (of words), items, spans (of characters), one row a document.
 
-    A carried `text` must be given under another name.
+    A carried `text` must be given under another name. inside: a carried struct, and the place in it, that hold the text, which then has no column
+    of its own and goes to the workers once.
     """
     from .kernels import string_views
 
@@ -175,13 +176,13 @@ def find(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, max_bytes:
     fields = [f for f in docs.schema.fields if f.name in carry]
     types = {f.name: f.dataType for f in fields}
     base = ", ".join(f"`{c}` {types[c].simpleString()}" for c in carry)
-    out = docs.select(*kept, docs["text"].alias("text"), F.lit(0).cast("long").alias("n_words"), F.array().cast("array<array<bigint>>").alias("ranges"), F.array().cast("array<string>").alias("items"))
+    out = docs.select(*kept, *([docs["text"].alias("text")] if inside is None else []), F.lit(0).cast("long").alias("n_words"), F.array().cast("array<array<bigint>>").alias("ranges"), F.array().cast("array<string>").alias("items"))
     for k in range(blocks):
         own = items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == k) if blocks > 1 else items
         patterns = spark.sparkContext.broadcast(patterns_of([(r[0], r[1]) for r in own.collect()], width))
         last = k == blocks - 1
-        schema = f"{base}{', ' if base else ''}{'' if last else 'text string, '}n_words bigint, ranges array<array<bigint>>, items array<string>{', spans array<array<bigint>>' if last else ''}"
-        out = out.mapInArrow(scanner(patterns, string_views, last), schema)
+        schema = f"{base}{', ' if base else ''}{'' if last or inside else 'text string, '}n_words bigint, ranges array<array<bigint>>, items array<string>{', spans array<array<bigint>>' if last else ''}"
+        out = out.mapInArrow(scanner(patterns, string_views, last, inside), schema)
     return out
 
 

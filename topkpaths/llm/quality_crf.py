@@ -215,13 +215,14 @@ def train(docs: DataFrame, labels: DataFrame, max_docs: int = MAX_DOCS, max_line
     return model
 
 
-def scorer(model: dict):
+def scorer(model: dict, inside: tuple[str, int] | None = None):
+    """inside: the struct column, and the place in it, that hold the text instead of a column of its own."""
     views, cut = string_views, slices
 
     def run(batches):
         tables: dict = {}
         for batch in batches:
-            data, offs = views(batch.column("text"))
+            data, offs = views(batch.column("text") if inside is None else batch.column(inside[0]).field(inside[1]))
             out = np.full(batch.num_rows, model["empty"])
             for lo, hi in cut(offs):
                 out[lo:hi] = score_slice(data[offs[lo] : offs[hi]], offs[lo : hi + 1] - offs[lo], model, tables)[0]
@@ -259,11 +260,11 @@ def label_lines(docs: DataFrame, model: dict) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, model: dict, threshold: float = THRESHOLD) -> DataFrame:
-    """The rows whose score reaches the threshold, columns unchanged; the text is scored where it lies."""
+    """The rows whose score reaches the threshold, columns unchanged; the text is scored where it lies, in its row."""
     names = docs.columns
-    rows = docs.select(F.struct(*[docs[c] for c in names]).alias("row"), docs["text"].alias("text"))
+    rows = docs.select(F.struct(*[docs[c] for c in names]).alias("row"))
     kind = rows.schema["row"].dataType.simpleString()
-    return rows.mapInArrow(scorer(model), f"row {kind}, score double").where(F.col("score") >= threshold).select("row.*")
+    return rows.mapInArrow(scorer(model, ("row", common.place_of(docs, "text"))), f"row {kind}, score double").where(F.col("score") >= threshold).select("row.*")
 
 
 def op1_quality_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
