@@ -6,7 +6,7 @@ and stripes are read in parallel. `block` (the range) and `seq` (the place in it
 
 Encoding: the tokenizer drops white space and no token spans it, so a text is encoded word by word, each different word
 once a slice of some megabytes of texts. The different words of a slice are cut into letters and the marks around them by
-one pass over the column; what is different among these is looked up in a table of bounded size that a worker keeps.
+one pass over the column; what is different among these is looked up in a table of bounded size, which a worker empties at the end of a task.
 
 The number of files follows the bytes of text, FILE_BYTES each, and is no smaller than the width of shuffles.
 
@@ -36,7 +36,7 @@ common.by_value(__name__)
 
 TOKENIZER, END_ID = "word_bpe_49k.json", 1
 #: Words whose ids are kept at a time; bytes of text encoded at a time, and behind a file, about.
-TABLE_WORDS, SLICE_BYTES, FILE_BYTES = 400_000, 4_000_000, 512_000_000
+TABLE_WORDS, SLICE_BYTES, FILE_BYTES = 200_000, 4_000_000, 512_000_000
 ORC_OPTIONS = {"orc.bloom.filter.columns": "doc_id", "orc.bloom.filter.fpp": "0.01", "orc.create.index": "true", "orc.row.index.stride": "1000"}
 
 
@@ -102,6 +102,12 @@ class WordIds(Halves):
         ids = [t.id for t in self.model.tokenize(part if part.isascii() else part.translate(self.LETTERS))]
         return struct.pack(f"<{len(ids)}I", *ids)
 
+    def forget(self) -> None:
+        """Empties all tables; the tokenizer stays."""
+        for table in (self, self.runs):
+            table.clear()
+            table.older = {}
+
     def ids(self, word: bytes) -> bytes:
         text = word.decode("utf-8", "replace")
         tail = text.lstrip(self.MARKS)
@@ -143,7 +149,7 @@ def gathered(pool: np.ndarray, begins: np.ndarray, long: np.ndarray) -> np.ndarr
 
 
 def kept_table(path: str) -> WordIds:
-    """The worker process keeps its table from task to task."""
+    """The worker process keeps its tokenizer from task to task; a task leaves the table empty, as idle workers hold what they have."""
     state = sys.modules.setdefault("_topkpaths_worker_state", types.ModuleType("_topkpaths_worker_state"))
     if path not in state.__dict__:
         state.__dict__[path] = WordIds(path)
@@ -172,6 +178,8 @@ def encoder(name: str, end_id: int):
                 tokens = pa.ListArray.from_arrays(pa.array(offsets), pa.array(values))
                 yield pa.RecordBatch.from_arrays([cut.column("doc_id"), cut.column("block"), pa.array(np.arange(seq, seq + last - first)), tokens], names=["doc_id", "block", "seq", "tokens"])
                 seq += last - first
+        table.forget()
+        pa.default_memory_pool().release_unused()
 
     return run
 
