@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common
-from .kernels import SPACE, Words, slices, string_views
+from .kernels import SPACE, Words, slices, string_views, tidy
 
 common.by_value(__name__)
 
@@ -196,7 +196,7 @@ def train(docs: DataFrame, labels: DataFrame, max_docs: int = MAX_DOCS, max_line
     known = known.groupBy("doc_id").agg(F.min("quality").alias("quality")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_docs)
     sample = docs.select("doc_id", "text").join(F.broadcast(known), "doc_id")  # at most max_docs ids
     rows = sample.select(F.xxhash64("doc_id").alias("place"), F.xxhash64("text").alias("th"), F.col("quality").cast("long").alias("quality"), "text")
-    rows = common.spill(rows.mapInArrow(_feature_rows, "place bigint, th bigint, quality bigint, lines bigint, features binary"), "quality-lines")
+    rows = common.spill(rows.mapInArrow(tidy(_feature_rows), "place bigint, th bigint, quality bigint, lines bigint, features binary"), "quality-lines")
     order = ["place", "th", "quality"]
     few = rows.select(*order, "lines").where(F.col("lines") <= max_lines).orderBy(*order).limit(max_docs).collect()  # max_docs rows of numbers
     taken = int((np.cumsum([r["lines"] for r in few], dtype=np.int64) <= max_lines).sum())
@@ -250,7 +250,7 @@ def line_labeller(model: dict):
 def score(docs: DataFrame, model: dict) -> DataFrame:
     """(doc_id, score)"""
     rows = docs.select("doc_id", "text")
-    return rows.mapInArrow(scorer(model), f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, score double")
+    return rows.mapInArrow(tidy(scorer(model)), f"doc_id {rows.schema['doc_id'].dataType.simpleString()}, score double")
 
 
 def label_lines(docs: DataFrame, model: dict) -> DataFrame:
@@ -264,7 +264,7 @@ def keep_good(docs: DataFrame, model: dict, threshold: float = THRESHOLD) -> Dat
     names = docs.columns
     rows = docs.select(F.struct(*[docs[c] for c in names]).alias("row"))
     kind = rows.schema["row"].dataType.simpleString()
-    return rows.mapInArrow(scorer(model, ("row", common.place_of(docs, "text"))), f"row {kind}, score double").where(F.col("score") >= threshold).select("row.*")
+    return rows.mapInArrow(tidy(scorer(model, ("row", common.place_of(docs, "text")))), f"row {kind}, score double").where(F.col("score") >= threshold).select("row.*")
 
 
 def op1_quality_crf(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from . import common
-from .kernels import slices, string_views
+from .kernels import slices, string_views, tidy
 
 common.by_value(__name__)
 
@@ -145,7 +145,25 @@ class WordIds(Halves):
 def gathered(pool: np.ndarray, begins: np.ndarray, long: np.ndarray) -> np.ndarray:
     """The ranges of the pool that begin there and are so long, one behind the other."""
     ends = np.cumsum(long)
-    return pool[np.repeat(begins - ends + long, long) + np.arange(ends[-1] if len(ends) else 0)]
+    at = np.arange(ends[-1] if len(ends) else 0)
+    at += np.repeat(begins - ends + long, long)
+    return pool[at]
+
+
+def encoded(table: WordIds, texts: pa.Array, end: np.ndarray) -> pa.ListArray:
+    """The ids of each text and the end id: each different word of the slice once, and the end of a document as one word more."""
+    lists = pc.ascii_split_whitespace(texts)
+    coded, upto = lists.flatten().dictionary_encode(), np.cumsum(np.diff(lists.offsets.to_numpy()))
+    del lists  # a copy of the texts
+    pool, sizes = table.pooled(coded.dictionary)
+    pool, sizes = np.append(pool, end), np.append(sizes, 1)
+    words = np.insert(coded.indices.to_numpy(), upto, len(sizes) - 1)
+    del coded
+    long = sizes[words]
+    offsets = np.concatenate(([0], np.cumsum(long)[upto + np.arange(len(upto))])).astype(np.int32)
+    begins = (np.cumsum(sizes) - sizes)[words]
+    del words
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(gathered(pool, begins, long)))
 
 
 def kept_table(path: str) -> WordIds:
@@ -164,24 +182,13 @@ def encoder(name: str, end_id: int):
         for batch in batches:
             texts = batch.column("text")
             for first, last in cuts(views(texts)[1], SLICE_BYTES):
-                lists = pc.ascii_split_whitespace(texts.slice(first, last - first))
-                coded = lists.flatten().dictionary_encode()
-                # each different word of the slice once, and the end of a document as one word more
-                pool, sizes = table.pooled(coded.dictionary)
-                pool, sizes = np.append(pool, end), np.append(sizes, 1)
-                upto = np.cumsum(np.diff(lists.offsets.to_numpy()))
-                words = np.insert(coded.indices.to_numpy(), upto, len(sizes) - 1)
-                long = sizes[words]
-                values = gathered(pool, (np.cumsum(sizes) - sizes)[words], long)
-                offsets = np.concatenate(([0], np.cumsum(long)[upto + np.arange(len(upto))])).astype(np.int32)
                 cut = batch.slice(first, last - first)
-                tokens = pa.ListArray.from_arrays(pa.array(offsets), pa.array(values))
-                yield pa.RecordBatch.from_arrays([cut.column("doc_id"), cut.column("block"), pa.array(np.arange(seq, seq + last - first)), tokens], names=["doc_id", "block", "seq", "tokens"])
+                # not kept in a name: it would stay while the next slice is encoded
+                yield pa.RecordBatch.from_arrays([cut.column("doc_id"), cut.column("block"), pa.array(np.arange(seq, seq + last - first)), encoded(table, texts.slice(first, last - first), end)], names=["doc_id", "block", "seq", "tokens"])
                 seq += last - first
         table.forget()
-        pa.default_memory_pool().release_unused()
 
-    return run
+    return tidy(run)
 
 
 def digester(batches):
@@ -213,7 +220,7 @@ def read(spark: SparkSession, path: str, id_type: str = "bigint") -> DataFrame:
 def index(stored: DataFrame) -> DataFrame:
     """doc_id, start, n_tokens, ids_crc32 of stored documents: running sums inside a block and over the few blocks."""
     id_type = stored.schema["doc_id"].dataType.simpleString()
-    rows = stored.mapInArrow(digester, f"doc_id {id_type}, block int, seq bigint, n_tokens bigint, ids_crc32 bigint")
+    rows = stored.mapInArrow(tidy(digester), f"doc_id {id_type}, block int, seq bigint, n_tokens bigint, ids_crc32 bigint")
     rows = common.spill(rows, "token-index")
     inside = Window.partitionBy("block").orderBy("seq").rowsBetween(Window.unboundedPreceding, -1)
     blocks = rows.groupBy("block").agg(F.sum("n_tokens").alias("n"))
