@@ -9,7 +9,10 @@ from pyspark.sql import functions as F
 from topkpaths.api import heaviest_paths
 from topkpaths.graph.builders import literal
 from topkpaths.graph.model import graph
-from topkpaths.paths import neighbours
+from topkpaths.paths import budgeted, neighbours
+
+from .helpers import brute_paths
+from .test_directed import nano
 
 
 def some_edges(seed, nodes=12, n=40):
@@ -68,3 +71,25 @@ def test_many_edges_in_the_driver(spark):
         assert len(set(nodes)) == 41
         assert w == sum(weight[a if (a + 1) % n == b else b] for a, b in zip(nodes, nodes[1:]))
     assert len(found) == len(walked) == 1 and peak < 200 * n
+
+
+@pytest.mark.parametrize("patience", [1, 4])
+def test_waiting_paths_are_not_lost(spark, patience, monkeypatch):
+    """Completion in any order of waiting gives every path of the length in the end."""
+    monkeypatch.setattr(budgeted, "PATIENCE", patience)
+    monkeypatch.setattr(budgeted, "PART_PATIENCE", 2 * patience)
+    for seed, length in ((3, 4), (4, 5), (5, 6)):
+        edges = [(a, b, w) for a, b, w in some_edges(seed, 9, 14)] + [(a + 50, b + 50, w) for a, b, w in some_edges(seed + 10, 8, 11)]
+        plain = brute_paths(nano(edges, False), length, False)
+        for engine in ("memory", "tables") if seed == 3 else ("memory",):
+            got = answers(heaviest_paths(literal(spark, edges), length, 10**4, "budgeted", budget=20, engine=engine))
+            assert len(got) == len(set(got)) and sorted(got) == sorted(plain), (seed, engine)
+
+
+def test_crowded_corners(spark):
+    """Heavy cliques with fewer nodes than the length have more paths than can ever be tried; the answer is the light chain."""
+    cliques = [(100 * c + a, 100 * c + b, 0.9) for c in (1, 2, 3) for a in range(22) for b in range(a)]
+    chain = [(1000 + i, 1001 + i, 0.1) for i in range(30)]
+    r = heaviest_paths(literal(spark, cliques + chain), 25, 1, "budgeted", budget=400)
+    (nodes, w), = answers(r)
+    assert w == 25 * 10**8 and min(nodes) >= 1000 and not r.summary["exact"]
